@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from bundlemv.llm import mixing, simhash
+from bundlemv.llm import mixing, pii, quality, simhash
 
 
 def queries() -> dict:
     return {
+        "op5_personal_data": pii.op5,
+        "op6_quality_discriminant": quality.op6,
         "op7_mix_sources": mixing.op7,
         "op10_simhash_components": simhash.op10,
     }
