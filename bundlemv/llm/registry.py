@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from bundlemv.llm import mixing, pii, quality, simhash
+from bundlemv.llm import mixing, packing, pii, quality, simhash
 
 
 def queries() -> dict:
@@ -10,6 +10,7 @@ def queries() -> dict:
         "op5_personal_data": pii.op5,
         "op6_quality_discriminant": quality.op6,
         "op7_mix_sources": mixing.op7,
+        "op9_pack_sequences": packing.op9,
         "op10_simhash_components": simhash.op10,
     }
 
