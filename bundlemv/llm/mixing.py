@@ -104,17 +104,30 @@ def mix_sources(
     )
 
 
-def repeat_rows(mixed: DataFrame, text_col: str = "text") -> DataFrame:
+def repeat_rows(mixed: DataFrame, text_col: str = "text", taken: str = "__taken", size: str = "__words") -> DataFrame:
     """The mix itself: a row per repetition; a fractional repetition holds the first words of its text.
 
-    Needs columns ``size`` and ``taken`` and drops them.
+    Reads the columns ``taken`` and ``size`` and drops them.
     """
-    whole = F.when(F.col("size") > 0, F.expr("taken div size")).otherwise(F.lit(0)).cast("int")
-    left = F.when(F.col("size") > 0, F.expr("taken % size")).otherwise(F.lit(0)).cast("int")
+    some = F.col(size) > 0
+    whole = F.when(some, F.expr(f"`{taken}` div `{size}`")).otherwise(F.lit(0)).cast("int")
+    left = F.when(some, F.expr(f"`{taken}` % `{size}`")).otherwise(F.lit(0)).cast("int")
     copies = F.concat(F.array_repeat(F.lit(-1), whole), F.when(left > 0, F.array(left)).otherwise(F.array().cast("array<int>")))
-    first = F.array_join(F.slice(F.split(F.ltrim(F.regexp_replace(text_col, r"[\x20\x09-\x0D]+", " ")), " "), 1, F.col("__n")), " ")
+    words = F.split(F.ltrim(F.regexp_replace(text_col, r"[\x20\x09-\x0D]+", " ")), " ")
+    head = F.array_join(F.slice(words, 1, F.greatest("__n", F.lit(0))), " ")
     out = mixed.withColumn("__n", F.explode(copies))
-    return out.withColumn(text_col, F.when(F.col("__n") < 0, F.col(text_col)).otherwise(first)).drop("__n", "size", "source_size", "target", "taken")
+    return out.withColumn(text_col, F.when(F.col("__n") < 0, F.col(text_col)).otherwise(head)).drop("__n", taken, size)
+
+
+def mixed_documents(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), max_epochs: int = 3, seed: int = 7, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
+    """The columns of ``docs``; each row as often as the mix takes it, the last repetition maybe in part.
+
+    Documents without words are no part of a mix.
+    """
+    held = docs.select(F.struct(*docs.columns).alias("__doc"), F.col(id_col), F.col(text_col), F.col(source_col))
+    mixed = mix_sources(held, weights, max_epochs, seed, id_col, text_col, source_col, keep=("__doc",))
+    taken = mixed.where("taken > 0").select("__doc.*", F.col("taken").alias("__taken"), F.col("size").alias("__words"))
+    return repeat_rows(taken, text_col)
 
 
 def op7(spark, sf_dir):

@@ -40,10 +40,32 @@ PLAIN = re.compile(r"[\t\n\r\x20-\x7e¡-©«-±´¶-¸»¿-ÿ]*")
 SPLIT = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zµß-öø-ÿ]+|[0-9]|[^\sa-z0-9µß-öø-ÿ]+")
 
 
+def byte_letters() -> dict[int, str]:
+    """The printable letter that stands for each byte in byte-level vocabularies."""
+    shown = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    hidden = [b for b in range(256) if b not in shown]
+    return {b: chr(b) for b in shown} | {b: chr(256 + i) for i, b in enumerate(hidden)}
+
+
+class WordIds(dict):
+    """Ids of a word as little-endian unsigned 32-bit numbers, merged on first use."""
+
+    def __init__(self, model):
+        super().__init__()
+        self.model, self.letters = model, byte_letters()
+
+    def __missing__(self, word: str) -> bytes:
+        if len(self) >= CACHE_WORDS:
+            self.clear()
+        form = word if word.isascii() else "".join([self.letters[b] for b in word.encode()])
+        self[word] = ids = np.array([t.id for t in self.model.tokenize(form)], dtype="<u4").tobytes()
+        return ids
+
+
 class WordTokenizer:
     """``encode`` of a tokenizer that lower-cases, splits into words and merges within words.
 
-    A word's ids depend on the word alone, so each distinct word is encoded once and kept.
+    A word's ids depend on the word alone, so frequent words are merged once and kept.
     """
 
     def __init__(self, path: str):
@@ -51,22 +73,13 @@ class WordTokenizer:
 
         self.whole = Tokenizer.from_file(path)
         self.special = [t.content for t in self.whole.get_added_tokens_decoder().values()]
-        self.words: dict[str, bytes] = {}
+        self.words = WordIds(self.whole.model)
 
     def encode(self, text: str) -> bytes:
         """Ids as little-endian unsigned 32-bit numbers."""
         if not PLAIN.fullmatch(text) or "<|" in text and any(t in text for t in self.special):
             return np.array(self.whole.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
-        words, known = SPLIT.findall(text.lower()), self.words
-        try:
-            return b"".join([known[w] for w in words])
-        except KeyError:
-            if len(known) > CACHE_WORDS:
-                known.clear()
-            new = [w for w in set(words) if w not in known]
-            for w, e in zip(new, self.whole.encode_batch(new, add_special_tokens=False)):
-                known[w] = np.array(e.ids, dtype="<u4").tobytes()
-            return b"".join([known[w] for w in words])
+        return b"".join(map(self.words.__getitem__, SPLIT.findall(text.lower())))
 
 
 @lru_cache(2)

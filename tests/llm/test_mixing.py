@@ -55,13 +55,23 @@ def test_odd_inputs(spark):
 
 def test_repetitions(spark):
     docs = docs_frame(spark, ["a b c", " d  e f g", "h", None])
-    mixed = spark.createDataFrame([(0, 7), (1, 2), (2, 0), (3, 0)], "doc_id long, taken long")
-    rows = docs.drop("size").join(mixed, "doc_id").withColumn("size", mixing.word_count(docs.text))
-    rows = rows.selectExpr("*", "0L as source_size", "0D as target")
+    mixed = spark.createDataFrame([(0, 7), (1, 2), (2, 0), (3, 0)], "doc_id long, __taken long")
+    rows = docs.join(mixed, "doc_id").withColumn("__words", mixing.word_count(docs.text))
     got = sorted((r.doc_id, r.text) for r in mixing.repeat_rows(rows).collect())
     assert got == [(0, "a"), (0, "a b c"), (0, "a b c"), (1, "d e")]
 
 
+def test_mixed_documents(spark, tiny):
+    docs = spark.read.parquet(f"{tiny}/documents.parquet")
+    out = mixing.mixed_documents(docs)
+    assert out.columns == docs.columns and out.schema.simpleString() == docs.schema.simpleString()
+    want = {r.doc_id: r.taken for r in mixing.mix_sources(docs).collect() if r.taken}
+    got = {}
+    for r in out.collect():
+        got[r.doc_id] = got.get(r.doc_id, 0) + len(r.text.split())
+    assert got == want
+
+
 def test_plain_plan(spark, tiny):
     plan = mixing.op7(spark, tiny)._jdf.queryExecution().toString()
     assert "Python" not in plan and "Arrow" not in plan
