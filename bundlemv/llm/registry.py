@@ -2,18 +2,20 @@
 
 from __future__ import annotations
 
-from bundlemv.llm import mixing, packing, pii, quality, simhash
+from bundlemv.llm import additive, mixing, packing, pii, quality, simhash, topk
 
 
 def queries() -> dict:
     return {
+        "op1_exact_top_k": topk.op1,
         "op5_personal_data": pii.op5,
         "op6_quality_discriminant": quality.op6,
         "op7_mix_sources": mixing.op7,
+        "op8_additive_search": additive.op8,
         "op9_pack_sequences": packing.op9,
         "op10_simhash_components": simhash.op10,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op7_mix_sources": mixing.OP7_SQL}
+    return {"op1_exact_top_k": topk.OP1_SQL, "op7_mix_sources": mixing.OP7_SQL}
