@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from bundlemv.llm import additive, mixing, packing, pii, quality, simhash, topk
+from bundlemv.llm import additive, langid, mixing, packing, pii, quality, simhash, topk
 
 
 def queries() -> dict:
     return {
         "op1_exact_top_k": topk.op1,
+        "op4_language_mixture": langid.op4,
         "op5_personal_data": pii.op5,
         "op6_quality_discriminant": quality.op6,
         "op7_mix_sources": mixing.op7,
