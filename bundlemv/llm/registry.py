@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from bundlemv.llm import additive, langid, mixing, packing, pii, quality, simhash, topk
+from bundlemv.llm import additive, langid, mixing, packing, pii, quality, simhash, topk, warc
 
 
 def queries() -> dict:
     return {
         "op1_exact_top_k": topk.op1,
+        "op3_warc_archive": warc.op3,
         "op4_language_mixture": langid.op4,
         "op5_personal_data": pii.op5,
         "op6_quality_discriminant": quality.op6,
@@ -19,4 +20,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_exact_top_k": topk.OP1_SQL, "op7_mix_sources": mixing.OP7_SQL}
+    return {"op1_exact_top_k": topk.OP1_SQL, "op3_warc_archive": warc.OP3_SQL, "op7_mix_sources": mixing.OP7_SQL}
