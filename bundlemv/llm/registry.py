@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from bundlemv.llm import additive, langid, mixing, packing, pii, quality, simhash, topk, warc
+from bundlemv.llm import additive, langid, mixing, packing, pii, quality, simhash, suffix_dedup, topk, warc
 
 
 def queries() -> dict:
     return {
         "op1_exact_top_k": topk.op1,
+        "op2_suffix_dedup": suffix_dedup.op2,
         "op3_warc_archive": warc.op3,
         "op4_language_mixture": langid.op4,
         "op5_personal_data": pii.op5,
