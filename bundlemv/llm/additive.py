@@ -34,9 +34,11 @@ from bundlemv.session import materialise
 
 #: Vectors that codebooks are fitted on, at most.
 SAMPLE = 8192
-BOOKS, WORDS, BEAM = 8, 64, 4
+BOOKS, WORDS, BEAM = 16, 128, 4
 #: Margin in standard deviations of an estimate whose remainder points anywhere.
-MARGIN = 4.0
+MARGIN = 3.0
+#: Pairs of a chunk that are reranked without narrowing them down first.
+FEW = 4096
 METRICS = ("inner_product", "euclidean")
 
 
@@ -149,13 +151,18 @@ def _search_block(index: AdditiveIndex, block, k: int, metric: str, margin: floa
         def exact(qi: np.ndarray, x: np.ndarray) -> np.ndarray:
             return -((q[qi] - x) ** 2).sum(1) if far else np.einsum("ij,ij->i", q[qi], x)
 
+        def rerank(qi: np.ndarray, col: np.ndarray, ids: np.ndarray, x: np.ndarray) -> None:
+            for i in range(0, len(qi), 1 << 16):
+                some = slice(i, i + (1 << 16))
+                best.add(qi[some], ids[col[some]], exact(qi[some], x[col[some]]))
+
         for b in chunks(batches):
             ids, x = b.column(0).to_numpy().astype(np.int64), matrix(b.column(1), width)
             codes = np.frombuffer(b"".join(b.column(2).to_pylist()), np.uint8).reshape(len(ids), -1)
             rest = b.column(4).to_numpy()
-            guess = np.zeros((len(q), len(ids)), np.float32)
-            for i, t in enumerate(tables):
-                guess += t[:, codes[:, i]]
+            guess = np.take(tables[0], codes[:, 0], axis=1)
+            for i, t in enumerate(tables[1:], 1):
+                guess += np.take(t, codes[:, i], axis=1)
             slack = spread[:, None] * (margin * rest).astype(np.float32)[None, :]
             if far:  # the stored norms turn products into distances
                 guess = 2 * guess - b.column(3).to_numpy().astype(np.float32)[None, :] - (q**2).sum(1).astype(np.float32)[:, None]
@@ -163,16 +170,19 @@ def _search_block(index: AdditiveIndex, block, k: int, metric: str, margin: floa
             guess[own_cells(query_ids, ids)] = -np.inf
             few = min(k, len(ids))
             first = np.argpartition(guess, len(ids) - few, axis=1)[:, -few:]
-            sure = np.zeros(guess.shape, bool)
-            np.put_along_axis(sure, first, True, axis=1)
-            for keep in (sure, None):  # the best estimates first: their exact scores raise the bar for the rest
-                if keep is None:
-                    bar = np.where(best.count == k, best.worst, -np.inf)
-                    keep = ~sure & (guess + slack + 1e-6 >= bar[:, None])
-                qi, col = np.nonzero(keep & (guess > -np.inf))
-                for i in range(0, len(qi), 1 << 17):
-                    some = slice(i, i + (1 << 17))
-                    best.add(qi[some], ids[col[some]], exact(qi[some], x[col[some]]))
+            rows = np.arange(len(q))[:, None]
+            # the best estimates first: their exact scores raise the bar for the rest
+            open_ = guess[rows, first] > -np.inf
+            rerank(np.nonzero(open_)[0], first[open_], ids, x)
+            guess[rows, first] = -np.inf
+            bar = np.where(best.count == k, best.worst, -np.inf)
+            keep = (guess + slack >= (bar - 1e-6)[:, None]) & (guess > -np.inf)
+            if keep.sum() > FEW:  # a tight cluster: one product of matrices narrows the list down
+                near = q @ x.T
+                if far:
+                    near = 2 * near - (x**2).sum(1)[None, :] - (q**2).sum(1)[:, None]
+                keep &= near >= (bar - 1e-9 * (1 + np.abs(bar, where=bar > -np.inf, out=np.zeros(len(bar)))))[:, None]
+            rerank(*np.nonzero(keep), ids, x)
         qi, ids, score = best.entries()
         yield pa.RecordBatch.from_arrays([pa.array(query_ids[qi]), pa.array(ids), pa.array(score)], names=["query_id", "id", "score"])
 

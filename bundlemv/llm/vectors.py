@@ -87,6 +87,8 @@ class BestLists:
         return self.score[:, -1]
 
     def add(self, q: np.ndarray, ids: np.ndarray, score: np.ndarray) -> None:
+        some = score >= self.worst[q]
+        q, ids, score = q[some], ids[some], score[some]
         if not len(q):
             return
         rows = np.unique(q)
