@@ -194,8 +194,11 @@ class SuffixFamily:
         self.levels: list[DataFrame | None] = []
         self.found: list[DataFrame] = []
 
-    def insert(self, docs: DataFrame, text_col: str = "text") -> None:
-        """Merge-scan a batch against every level and let full low levels merge with it."""
+    def insert(self, docs: DataFrame, text_col: str = "text", last: bool = False) -> None:
+        """Merge-scan a batch against every level and let full low levels merge with it.
+
+        After the ``last`` batch no level is written: the family ends.
+        """
         to = next((i for i, x in enumerate(self.levels) if x is None), len(self.levels))
         found_mark = self.FOUND
 
@@ -214,16 +217,15 @@ class SuffixFamily:
                 if level < to:  # part of the carry
                     merged = fold(np.concatenate([merged[0], own[0]]), np.concatenate([merged[1], own[1]]))
             hit = np.unique(np.concatenate(hits))
+            out = [(found_mark, hit.tobytes(), b"")] + ([] if last else [(to, merged[0].tobytes(), merged[1].tobytes())])
+            level, k, v = zip(*out)
             bucket = table.column("bucket")[0].as_py()
-            return pa.table({
-                "bucket": pa.array([bucket, bucket], pa.int32()), "level": pa.array([found_mark, to], pa.int32()),
-                "keys": pa.array([hit.tobytes(), merged[0].tobytes()], pa.binary()), "vals": pa.array([b"", merged[1].tobytes()], pa.binary()),
-            })
+            return pa.table({"bucket": pa.array([bucket] * len(out), pa.int32()), "level": pa.array(level, pa.int32()), "keys": pa.array(k, pa.binary()), "vals": pa.array(v, pa.binary())})
 
         rows = reduce(DataFrame.unionAll, [x for x in self.levels if x is not None], batch_array(docs, self.buckets, self.length, text_col))
         out = materialise(rows.groupBy("bucket").applyInArrow(step, ARRAY), "suffix-level")
         self.found.append(out.where(F.col("level") == self.FOUND))
-        self.levels = [None] * to + [out.where(F.col("level") == to)] + self.levels[to + 1 :]
+        self.levels = [] if last else [None] * to + [out.where(F.col("level") == to)] + self.levels[to + 1 :]
 
     def matches(self) -> DataFrame:
         """key: distinct keys that occur with different contents, or as whole stretches more than once."""
@@ -306,7 +308,7 @@ def _window_prints(reps: DataFrame, docs: DataFrame, length: int) -> DataFrame:
     return both.select("__text", "ranges").mapInArrow(work, "key long, kind int, content long, prints binary")
 
 
-def repeated_windows(prints: DataFrame, buckets: int, hot: int = HOT) -> DataFrame:
+def repeated_windows(reps: DataFrame, docs: DataFrame, buckets: int, length: int, hot: int = HOT) -> DataFrame:
     """kind, content, runs array<struct<i, j>>: windows, counted from the first, that another content has as well."""
     schema = "kind int, content long, runs array<struct<i: int, j: int>>"
 
@@ -341,9 +343,16 @@ def repeated_windows(prints: DataFrame, buckets: int, hot: int = HOT) -> DataFra
                 out.append(runs_of(flags))
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(out, pa.list_(pa.struct([("i", pa.int32()), ("j", pa.int32())])))], names=["kind", "content", "runs"])
 
-    many = prints.groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > hot).select("key")
-    plain = prints.join(many, "key", "left_anti").groupBy(F.pmod("key", F.lit(buckets)).alias("b")).applyInArrow(solve, schema)
-    rows = prints.join(many, "key", "left_semi").select("kind", "content", "prints").mapInArrow(explode, "w long, kind int, content long, i int")
+    reps = materialise(reps, "suffix-parts")
+    many = reps.groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > hot).select("key")
+    many = materialise(many, "suffix-hot")
+    some = many.count() > 0
+    prints = _window_prints(reps.join(many, "key", "left_anti") if some else reps, docs, length)
+    plain = prints.groupBy(F.pmod("key", F.lit(buckets)).alias("b")).applyInArrow(solve, schema)
+    if not some:
+        return plain
+    prints = _window_prints(reps.join(many, "key", "left_semi"), docs, length)
+    rows = prints.select("kind", "content", "prints").mapInArrow(explode, "w long, kind int, content long, i int")
     twice = rows.groupBy("w").agg(F.min("content").alias("a"), F.max("content").alias("b")).where("a <> b").select("w")
     marked = rows.join(twice, "w", "left_semi").groupBy("kind", "content").agg(F.collect_set("i").alias("i"))  # at most a quarter's windows
     return plain.unionAll(marked.mapInArrow(join_runs, schema))
@@ -368,14 +377,15 @@ def repeated_spans(docs: DataFrame, batches: int = BATCHES, length: int = LENGTH
     size = named.agg(F.sum(F.length("__text"))).first()[0] or 0
     family = SuffixFamily(spark, max(16, -(-size // BUCKET_BYTES)), length)
     for i in range(batches):
-        family.insert(named.where(F.pmod(F.xxhash64("__id"), F.lit(batches)) == i), "__text")
+        family.insert(named.where(F.pmod(F.xxhash64("__id"), F.lit(batches)) == i), "__text", last=i == batches - 1)
     keys = materialise(family.matches(), "suffix-keys")
     places = _places(named, _key_filter(keys, keys.count()), length).join(keys, "key", "left_semi")
     places = materialise(places, "suffix-places")
     whole = places.where("kind = 0").select("__id", "__print", "lo", "hi")
     parts = places.where("kind > 0")
     reps = parts.groupBy("key", "kind", "content").agg(F.min(F.struct("__id", "__print", "lo", "hi")).alias("r")).select("key", "kind", "content", "r.*")
-    runs = materialise(repeated_windows(_window_prints(reps, named, length), family.buckets, hot).dropDuplicates(["kind", "content"]), "suffix-runs")
+    # not written out: the texts dealt for the windows here are dealt for the spans below as well, and Spark reuses them
+    runs = repeated_windows(reps, named, family.buckets, length, hot).dropDuplicates(["kind", "content"])
     partial = parts.join(runs, ["kind", "content"]).select("__id", "__print", "lo", F.explode("runs").alias("r")).select("__id", "__print", (F.col("lo") + F.col("r.i")).alias("lo"), (F.col("lo") + F.col("r.j")).alias("hi"))
     spans = whole.unionAll(partial).groupBy("__id", "__print").agg(F.collect_list(F.struct("lo", "hi")).alias("spans"))  # within one text
     return named, spans
