@@ -385,7 +385,9 @@ def repeated_spans(docs: DataFrame, batches: int = BATCHES, length: int = LENGTH
     parts = places.where("kind > 0")
     reps = parts.groupBy("key", "kind", "content").agg(F.min(F.struct("__id", "__print", "lo", "hi")).alias("r")).select("key", "kind", "content", "r.*")
     # not written out: the texts dealt for the windows here are dealt for the spans below as well, and Spark reuses them
-    runs = repeated_windows(reps, named, family.buckets, length, hot).dropDuplicates(["kind", "content"])
+    runs = repeated_windows(reps, named, family.buckets, length, hot)
+    # repeated rows give repeated runs; grouped by one key more than the join's, so that the join deals both sides anew and can split a hot content
+    runs = runs.groupBy("kind", "content", F.size("runs").alias("n")).agg(F.first("runs").alias("runs"))
     partial = parts.join(runs, ["kind", "content"]).select("__id", "__print", "lo", F.explode("runs").alias("r")).select("__id", "__print", (F.col("lo") + F.col("r.i")).alias("lo"), (F.col("lo") + F.col("r.j")).alias("hi"))
     spans = whole.unionAll(partial).groupBy("__id", "__print").agg(F.collect_list(F.struct("lo", "hi")).alias("spans"))  # within one text
     return named, spans
