@@ -9,7 +9,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.types import ArrayType, LongType
+from pyspark.sql.types import ArrayType, DoubleType, LongType, StructField, StructType
 
 
 def scatter_block(met: DataFrame, q: int) -> DataFrame:
@@ -55,13 +55,13 @@ def decode_ids(codes: pa.Array) -> pa.Array:
     return pa.ListArray.from_arrays(codes.offsets, pa.array(flat))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def l1_delta(a: pd.Series, b: pd.Series) -> float:
     """Sum of absolute differences, as an aggregate."""
     return float((a.fillna(0) - b.fillna(0)).abs().sum())
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def gini(x: pd.Series) -> float:
     """Gini coefficient of nonnegative numbers, as an aggregate."""
     v = np.sort(x.to_numpy(dtype=float))
@@ -69,7 +69,7 @@ def gini(x: pd.Series) -> float:
     return 0.0 if not n or v.sum() == 0 else float((2 * np.arange(1, n + 1) - n - 1) @ v / (n * v.sum()))
 
 
-@F.udtf(returnType="dst long, v double")
+@F.udtf(returnType=StructType([StructField("dst", LongType()), StructField("v", DoubleType())]))
 class ExpandBundle:
     """(value, ids, weights or null) -> a row (dst, contribution) per id."""
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from bundlemv.graph import Graph, degrees
@@ -32,6 +32,15 @@ def blocked(g: Graph, q: int) -> DataFrame:
     return g.edges.withColumn("src_block", block_of("src", q)).withColumn("dst_block", block_of("dst", q))
 
 
+def parts_of(spark: SparkSession) -> int:
+    return int(spark.conf.get("spark.sql.shuffle.partitions"))
+
+
+def place(df: DataFrame, col: str) -> DataFrame:
+    """Deal rows by a block column; the number of parts is stated, so both sides of later joins agree."""
+    return df.repartition(parts_of(df.sparkSession), col)
+
+
 def block_table(g: Graph, q: int) -> DataFrame:
     """block, first, last, vertices, out_edges, in_edges."""
     own = assign_blocks(degrees(g), "id", q)
@@ -63,6 +72,11 @@ def plan_width(n: int, task_bytes: int, tasks: int, value_bytes: int = VALUE_BYT
     return 1 << (min(most, fair).bit_length() - 1)
 
 
+def width_for(g: Graph, task_bytes: int = 128 << 20) -> int:
+    """A width for this session: about four blocks for each part that a shuffle makes."""
+    return plan_width(max(g.n, 1), task_bytes, 4 * parts_of(g.spark))
+
+
 def custom_blocks(ids: DataFrame, block: Column) -> DataFrame:
     """old, new: a relabeling that makes the given blocks contiguous. Places come per block, offsets from the blocks' counts."""
     own = ids.select(F.col("id").alias("old"), block.alias("b"))

@@ -31,30 +31,29 @@ class CostParams:
 #: The synthetic graph of the traffic curve, in 4-byte numbers.
 CURVE = CostParams(n=33.5e6, m=1070e6, k=512, r=3.06)
 
-_n, _m, _k, _r, _miss, _line, _dv, _di = (F.col(c) for c in ("n", "m", "k", "r", "miss", "line", "dv", "di"))
-
-#: Bytes of each part of an iteration, by method.
-PARTS: dict[tuple[str, str], Column] = {
-    ("pull", "edge_reads"): _m * (_di + _miss * _line),
-    ("pull", "vertex_reads_writes"): _n * (_di + _dv),
-    ("per_edge", "scatter_read"): _n * (_di + _dv) + _m * _di,
-    ("per_edge", "scatter_write"): _m * _dv,
-    ("per_edge", "gather_read"): _m * (_di + _dv),
-    ("per_edge", "final_write"): _n * _dv,
-    ("bundled", "scatter_read"): _m / _r * _di + _k * _k * _di + _n * _dv,
-    ("bundled", "scatter_write"): _m / _r * _dv,
-    ("bundled", "gather_read"): _m * _di + _m / _r * _dv,
-    ("bundled", "final_write"): _n * _dv,
+#: Bytes of each part of an iteration, by method, over the columns of CostParams.
+PARTS = {
+    ("pull", "edge_reads"): "m * (di + miss * line)",
+    ("pull", "vertex_reads_writes"): "n * (di + dv)",
+    ("per_edge", "scatter_read"): "n * (di + dv) + m * di",
+    ("per_edge", "scatter_write"): "m * dv",
+    ("per_edge", "gather_read"): "m * (di + dv)",
+    ("per_edge", "final_write"): "n * dv",
+    ("bundled", "scatter_read"): "m / r * di + k * k * di + n * dv",
+    ("bundled", "scatter_write"): "m / r * dv",
+    ("bundled", "gather_read"): "m * di + m / r * dv",
+    ("bundled", "final_write"): "n * dv",
+}
+#: Bytes of one iteration.
+MODELS = {
+    "pull": "m * (di + miss * line) + n * (di + dv)",
+    "per_edge": "2 * m * (di + dv) + n * (di + 2 * dv)",
+    "bundled": "m * (di * (1 + 1 / r) + 2 * dv / r) + k * k * di + 2 * n * dv",
 }
 
 
 def model_bytes(method: str) -> Column:
-    """Bytes of one iteration over columns n, m, k, r, miss, line, dv, di."""
-    return {
-        "pull": _m * (_di + _miss * _line) + _n * (_di + _dv),
-        "per_edge": 2 * _m * (_di + _dv) + _n * (_di + 2 * _dv),
-        "bundled": _m * (_di * (1 + 1 / _r) + 2 * _dv / _r) + _k * _k * _di + 2 * _n * _dv,
-    }[method]
+    return F.expr(MODELS[method])
 
 
 def models(params: DataFrame, keep: tuple[str, ...] = ()) -> DataFrame:
@@ -65,29 +64,32 @@ def models(params: DataFrame, keep: tuple[str, ...] = ()) -> DataFrame:
 
 def parts(params: DataFrame) -> DataFrame:
     """method, part, bytes: the addends of the models."""
-    out = F.explode(F.array(*[F.struct(F.lit(m).alias("method"), F.lit(p).alias("part"), c.alias("bytes")) for (m, p), c in PARTS.items()]))
+    out = F.explode(F.array(*[F.struct(F.lit(m).alias("method"), F.lit(p).alias("part"), F.expr(c).alias("bytes")) for (m, p), c in PARTS.items()]))
     return params.select(out.alias("x")).select("x.*")
 
 
 def limits(params: DataFrame) -> DataFrame:
     """One row: best and worst traffic of pull and bundled, best miss ratio and best r."""
-    return params.select((_m * _di).alias("pull_best"), (_m * (_di + _line)).alias("pull_worst"), (_m * _di).alias("bundled_best"), (_m * (2 * _di + 2 * _dv)).alias("bundled_worst"), (_n * _dv / (_m * _line)).alias("miss_best"), (_m / _n).alias("r_best"))
+    return params.selectExpr(
+        "m * di as pull_best", "m * (di + line) as pull_worst", "m * di as bundled_best", "m * (2 * di + 2 * dv) as bundled_worst",
+        "n * dv / (m * line) as miss_best", "m / n as r_best",
+    )
 
 
 def crossovers(params: DataFrame) -> DataFrame:
     """One row: miss ratios above which the two scatter methods move less than pulling."""
-    per_edge = (_di + 2 * _dv) / _line
-    return params.select(per_edge.alias("per_edge"), (per_edge / _r).alias("bundled"), (_miss > per_edge).alias("per_edge_pays"), (_miss > per_edge / _r).alias("bundled_pays"))
+    per_edge = "(di + 2 * dv) / line"
+    return params.selectExpr(f"{per_edge} as per_edge", f"{per_edge} / r as bundled", f"miss > {per_edge} as per_edge_pays", f"miss > {per_edge} / r as bundled_pays")
 
 
 def random_accesses(params: DataFrame) -> DataFrame:
     """One row: random accesses of an iteration, by method."""
-    return params.select((_m * _miss).alias("pull"), (_m * _dv / _line).alias("per_edge"), (_k * _k).alias("bundled"))
+    return params.selectExpr("m * miss as pull", "m * dv / line as per_edge", "k * k as bundled")
 
 
 def branch_misses(params: DataFrame) -> DataFrame:
     """One row: data-dependent branches that may be mispredicted: a buffer test per edge against a switch per block pair."""
-    return params.select(_m.alias("per_edge"), (_k * _k).alias("bundled"))
+    return params.selectExpr("m as per_edge", "k * k as bundled")
 
 
 def curve(params: DataFrame, rs: list[float]) -> DataFrame:
@@ -97,7 +99,7 @@ def curve(params: DataFrame, rs: list[float]) -> DataFrame:
 
 def implied_miss(rows: DataFrame) -> DataFrame:
     """miss_implied for rows with n, m, line, dv, di and measured pull bytes."""
-    return rows.withColumn("miss_implied", ((F.col("bytes") - _n * (_di + _dv)) / _m - _di) / _line)
+    return rows.withColumn("miss_implied", F.expr("((bytes - n * (di + dv)) / m - di) / line"))
 
 
 # --- measured -------------------------------------------------------------------

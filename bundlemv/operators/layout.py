@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from bundlemv.graph import Graph
-from bundlemv.operators.blocks import block_count, blocked
+from bundlemv.operators.blocks import block_count, blocked, place
 
 TOP = 1 << 63
 
@@ -93,20 +93,28 @@ def local_ids(g: Graph, q: int) -> DataFrame:
 
 
 def packed_layout(g: Graph, q: int) -> DataFrame:
-    """src_block, dst_block, srcs: one row per block pair with messages."""
-    return transpose_layout(block_layout(g, q))
+    """src_block, dst_block, srcs: one row per block pair with messages, placed by source block."""
+    e = place(blocked(g, q).select("src_block", "dst_block", "src"), "src_block")
+    return e.groupBy("src_block", "dst_block").agg(F.sort_array(F.collect_set("src")).alias("srcs"))
 
 
 def packed_lists(g: Graph, q: int, flags: bool = False) -> DataFrame:
-    """dst_block, src_block, ids, pos[, flags][, weights]: ids in the order of the bundles of a block pair.
+    """dst_block, src_block, ids, pos[, flags][, weights]: ids in the order of the bundles of a block pair, placed by destination block.
 
     pos is the 0-based place of an id's value among the pair's values: the number of bundles
-    that start up to the id, less one. It never changes and so is stored once.
+    that start up to the id, less one. It never changes and so is stored once. The edges are
+    dealt out once; both groupings keep that placement.
     """
     w = ["weight"] if g.weighted else []
-    starts = F.dense_rank().over(Window.partitionBy("dst_block", "src_block").orderBy("src")) - 1
-    first = F.row_number().over(Window.partitionBy("dst_block", "src_block", "src").orderBy("dst")) == 1
-    own = blocked(g, q).withColumn("pos", starts).withColumn("flag", first)
-    rows = own.groupBy("dst_block", "src_block").agg(F.sort_array(F.collect_list(F.struct("src", "dst", "pos", "flag", *w))).alias("e"))
-    cols = [F.col("e.dst").alias("ids"), F.col("e.pos").alias("pos")] + ([F.col("e.flag").alias("flags")] if flags else []) + ([F.col("e.weight").alias("weights")] if w else [])
+    e = place(blocked(g, q).select("dst_block", "src_block", "src", "dst", *w), "dst_block")
+    own = e.groupBy("dst_block", "src_block", "src").agg(F.sort_array(F.collect_list(F.struct("dst", *w))).alias("b"))
+    rows = own.groupBy("dst_block", "src_block").agg(F.sort_array(F.collect_list(F.struct("src", "b"))).alias("l")).select("dst_block", "src_block", F.transform("l", lambda x: x["b"]).alias("l"))
+    cols = [
+        F.flatten(F.transform("l", lambda b: b["dst"])).alias("ids"),
+        F.flatten(F.transform("l", lambda b, i: F.array_repeat(i, F.size(b)))).alias("pos"),
+    ]
+    if flags:
+        cols.append(F.flatten(F.transform("l", lambda b: F.transform(b, lambda x, j: j == 0))).alias("flags"))
+    if w:
+        cols.append(F.flatten(F.transform("l", lambda b: b["weight"])).alias("weights"))
     return rows.select("dst_block", "src_block", *cols)

@@ -8,8 +8,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from bundlemv.graph import Graph
-from bundlemv.operators.blocks import block_of
-from bundlemv.operators.steps import METHODS, Method, allow_placement, place
+from bundlemv.operators.blocks import block_of, place, width_for
+from bundlemv.operators.steps import METHODS, Method, allow_placement
 from bundlemv.session import materialise
 
 DAMPING = 0.85
@@ -50,17 +50,19 @@ def first_ranks(g: Graph, vertices: DataFrame, start: DataFrame | None = None) -
 
 
 def iterate(
-    g: Graph, method: str = "bundled", q: int = 64, iters: int = 20, damping: float = DAMPING, dangling: str = "drop",
+    g: Graph, method: str = "bundled", q: int | None = None, iters: int = 20, damping: float = DAMPING, dangling: str = "drop",
     personalization: DataFrame | None = None, start: DataFrame | None = None, tol: float | None = None, **flags,
 ) -> Iterator[DataFrame]:
     """The ranks (block, id, rank, share) before the first and after each iteration.
 
     dangling: "drop" lets the rank of sinks leak, "spread" deals it to all vertices, "self"
-    lets sinks keep it. tol: stop when the ranks move by less in sum.
+    lets sinks keep it. q: width of blocks, planned for the session if not given. tol: stop
+    when the ranks move by less in sum.
     """
     if dangling not in ("drop", "spread", "self"):
         raise ValueError("dangling is drop, spread or self")
     allow_placement(g.spark)
+    q = q or width_for(g)
     if dangling == "self":
         g = with_sink_loops(g)
     vertices = vertex_table(g, q, personalization).persist()

@@ -9,8 +9,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from bundlemv.graph import Graph, Matrix
-from bundlemv.operators.blocks import block_of
-from bundlemv.operators.steps import allow_placement, place
+from bundlemv.operators.blocks import block_of, place
+from bundlemv.operators.steps import allow_placement
 from bundlemv.session import materialise
 
 

@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from bundlemv.functions.blocks import gather_block, scatter_block
 from bundlemv.graph import Graph, reverse
-from bundlemv.operators.blocks import balanced_blocks, block_count, blocked, block_of
+from bundlemv.operators.blocks import balanced_blocks, block_count, blocked, block_of, parts_of, place
 from bundlemv.operators.layout import block_layout, bundles, packed_layout, packed_lists
 
 #: Vertices whose shares may be broadcast for pulling (16 bytes each, so 160 MB).
@@ -37,15 +37,6 @@ class Method:
             df.unpersist()
 
 
-def parts_of(spark: SparkSession) -> int:
-    return int(spark.conf.get("spark.sql.shuffle.partitions"))
-
-
-def place(df: DataFrame, col: str) -> DataFrame:
-    """Deal rows by a block column; the number of parts is stated, so both sides of later joins agree."""
-    return df.repartition(parts_of(df.sparkSession), col)
-
-
 def allow_placement(spark: SparkSession) -> None:
     """Let joins and aggregates on (block, id) use a placement by block alone."""
     spark.conf.set("spark.sql.requireAllClusterKeysForCoPartition", "false")
@@ -125,16 +116,33 @@ def _scatter_packed(shares: DataFrame, layout: DataFrame, q: int) -> DataFrame:
     return met.select("dst_block", "src_block", F.transform("srcs", lambda s: F.get("vals", (s - base).cast("int"))).alias("vals"))
 
 
-def bundled_packed(g: Graph, q: int) -> Method:
+def bundled_positions(g: Graph, q: int) -> Method:
     """Values of a block pair in one row; each id knows the place of its value, so gather has no branch."""
-    layout, lists = place(packed_layout(g, q), "src_block").persist(), place(packed_lists(g, q), "dst_block").persist()
+    layout, lists = packed_layout(g, q).persist(), packed_lists(g, q).persist()
+    w = ["weights"] if g.weighted else []
+
+    def step(shares: DataFrame) -> DataFrame:
+        met = place(_scatter_packed(shares, layout, q), "dst_block").join(lists, ["dst_block", "src_block"])
+        each = met.select(F.col("dst_block").alias("block"), "vals", "pos", *w, F.posexplode("ids").alias("i", "id"))
+        value = F.get("vals", F.get("pos", F.col("i")))
+        return summed(each.select("block", "id", (value * F.get("weights", F.col("i")) if w else value).alias("v")))
+
+    return Method(step, [layout, lists])
+
+
+def bundled_nested(g: Graph, q: int) -> Method:
+    """Values of a block pair in one row beside the pair's bundles: gather unnests a value with its list, then the list."""
+    w = _weight(g)
+    e = place(blocked(g, q).select("dst_block", "src_block", "src", "dst", *w), "dst_block")
+    own = e.groupBy("dst_block", "src_block", "src").agg(F.sort_array(F.collect_list(F.struct("dst", *w) if w else F.col("dst"))).alias("b"))
+    lists = own.groupBy("dst_block", "src_block").agg(F.sort_array(F.collect_list(F.struct("src", "b"))).alias("l")).select("dst_block", "src_block", F.transform("l", lambda x: x["b"]).alias("l")).persist()
+    layout = packed_layout(g, q).persist()
 
     def step(shares: DataFrame) -> DataFrame:
         met = place(_scatter_packed(shares, layout, q), "dst_block").join(lists, ["dst_block", "src_block"])
-        cols = F.arrays_zip("ids", "pos", *(["weights"] if g.weighted else []))
-        each = met.select(F.col("dst_block").alias("block"), "vals", F.explode(cols).alias("e"))
-        value = F.get("vals", F.col("e.pos"))
-        return summed(each.select("block", F.col("e.ids").alias("id"), (value * F.col("e.weights") if g.weighted else value).alias("v")))
+        each = met.select(F.col("dst_block").alias("block"), "vals", F.posexplode("l").alias("i", "b"))
+        each = each.select("block", F.get("vals", F.col("i")).alias("x"), F.explode("b").alias("d"))
+        return summed(each.select("block", "d.dst", (F.col("x") * F.col("d.weight")).alias("v")).withColumnRenamed("dst", "id") if w else each.select("block", F.col("d").alias("id"), F.col("x").alias("v")))
 
     return Method(step, [layout, lists])
 
@@ -142,7 +150,7 @@ def bundled_packed(g: Graph, q: int) -> Method:
 def bundled_prefix(g: Graph, q: int) -> Method:
     """Gather by flags: the place of an id's value is the running sum of the flags up to it, less one."""
     first = F.row_number().over(Window.partitionBy("dst_block", "src_block", "src").orderBy("dst")) == 1
-    layout = place(packed_layout(g, q), "src_block").persist()
+    layout = packed_layout(g, q).persist()
     ids = place(blocked(g, q).withColumn("flag", first.cast("int")), "dst_block").persist()
 
     def step(shares: DataFrame) -> DataFrame:
@@ -156,7 +164,7 @@ def bundled_prefix(g: Graph, q: int) -> Method:
 
 def bundled_arrow(g: Graph, q: int) -> Method:
     """Packed rows, scattered and gathered by vectorised functions on whole blocks."""
-    layout, lists = place(packed_layout(g, q), "src_block").persist(), place(packed_lists(g, q, flags=True), "dst_block").persist()
+    layout, lists = packed_layout(g, q).persist(), packed_lists(g, q, flags=True).persist()
 
     def step(shares: DataFrame) -> DataFrame:
         met = _block_vectors(shares).join(layout, F.col("block") == layout.src_block).select("dst_block", "src_block", "srcs", "vals")
@@ -183,15 +191,16 @@ def per_edge(g: Graph, q: int) -> Method:
 
 def per_edge_reuse(g: Graph, q: int) -> Method:
     """Per-edge messages whose destination ids are stored once, in the order in which values arrive."""
+    w = ["weights"] if g.weighted else []
     per = blocked(g, q).groupBy("src_block", "dst_block").agg(F.sort_array(F.collect_list(F.struct("src", "dst", *_weight(g)))).alias("e"))
     out = place(per.select("src_block", "dst_block", F.col("e.src").alias("srcs")), "src_block").persist()
     ids = place(per.select("src_block", "dst_block", F.col("e.dst").alias("ids"), *([F.col("e.weight").alias("weights")] if g.weighted else [])), "dst_block").persist()
 
     def step(shares: DataFrame) -> DataFrame:
         met = place(_scatter_packed(shares, out, q), "dst_block").join(ids, ["dst_block", "src_block"])
-        cols = F.arrays_zip("ids", "vals", *(["weights"] if g.weighted else []))
-        each = met.select(F.col("dst_block").alias("block"), F.explode(cols).alias("e"))
-        return summed(each.select("block", F.col("e.ids").alias("id"), _times_weight(g, "e.vals", "e.weights").alias("v")))
+        each = met.select(F.col("dst_block").alias("block"), "vals", *w, F.posexplode("ids").alias("i", "id"))
+        value = F.get("vals", F.col("i"))
+        return summed(each.select("block", "id", (value * F.get("weights", F.col("i")) if w else value).alias("v")))
 
     return Method(step, [out, ids])
 
@@ -240,7 +249,7 @@ def naive(g: Graph, q: int) -> Method:
 
 
 METHODS: dict[str, Callable[..., Method]] = {
-    "bundled": bundled_packed, "bundled_rows": bundled_rows, "bundled_adjacency": bundled_adjacency, "bundled_prefix": bundled_prefix,
+    "bundled": bundled_nested, "bundled_positions": bundled_positions, "bundled_rows": bundled_rows, "bundled_adjacency": bundled_adjacency, "bundled_prefix": bundled_prefix,
     "bundled_arrow": bundled_arrow, "bundled_resend": bundled_resend, "per_edge": per_edge_reuse, "per_edge_resend": per_edge,
     "pull": pull, "edge_scan": edge_scan, "naive": naive,
 }

@@ -8,11 +8,14 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from bundlemv import graph as ga
+from bundlemv.functions import blocks as udf
 from bundlemv.graph import Graph, Matrix
 from bundlemv.operators import blocks, cost, labels, layout, rank, results, spmv, steps
 from bundlemv.plans import oracles as sql
+from bundlemv.sources import files
 from bundlemv.sources import workloads as wl
 from bundlemv.sources.tables import load_table
+from bundlemv.streaming import edges as stream
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -140,20 +143,20 @@ add("range_blocks", on("cust_part", _range_blocks), f"{_BAL} select id, block fr
 def _ranked(name: str, method: str, iters: int = ITERS, top: bool = False, **options) -> Query:
     def query(s: SparkSession, d: str) -> DataFrame:
         g = GRAPHS[name](s, d).persist()
-        return rounded(rank.run(g, method, q=Q, iters=iters, **options), "rank")
+        return rounded(rank.run(g, method, iters=iters, **options), "rank")
 
     return query
 
 
 for _name, _method in {
     "pull": "pull", "per_edge": "per_edge", "per_edge_resend": "per_edge_resend", "edge_scan": "edge_scan", "naive": "naive", "bundled_adjacency": "bundled_adjacency",
-    "bundled_layout": "bundled_rows", "bundled_branchless": "bundled_prefix", "bundled_packed": "bundled", "bundled_arrow": "bundled_arrow", "bundled_resend": "bundled_resend",
+    "bundled_layout": "bundled_rows", "bundled_branchless": "bundled_prefix", "bundled_packed": "bundled", "bundled_positions": "bundled_positions", "bundled_arrow": "bundled_arrow", "bundled_resend": "bundled_resend",
 }.items():
     add(f"step_{_name}", _ranked("cust_part", _method, 1), sql.rank("cust_part", 1))
 add("step_weighted", _ranked("nation_trade", "bundled", 1), sql.rank("nation_trade", 1, weighted=True))
 for _name, _method in {
     "pull": "pull", "per_edge": "per_edge", "per_edge_resend": "per_edge_resend", "edge_scan": "edge_scan", "naive": "naive", "bundled": "bundled",
-    "bundled_adjacency": "bundled_adjacency", "bundled_branch": "bundled_rows", "bundled_prefix": "bundled_prefix", "bundled_arrow": "bundled_arrow", "bundled_resend": "bundled_resend",
+    "bundled_adjacency": "bundled_adjacency", "bundled_branch": "bundled_rows", "bundled_positions": "bundled_positions", "bundled_prefix": "bundled_prefix", "bundled_arrow": "bundled_arrow", "bundled_resend": "bundled_resend",
 }.items():
     add(f"rank_{_name}", _ranked("copurchase", _method), sql.rank("copurchase"))
 add("rank_pull_balanced", _ranked("copurchase", "pull", balanced=True), sql.rank("copurchase"))
@@ -168,29 +171,29 @@ for _method in ("bundled", "pull", "per_edge"):
 
 def _personal(s: SparkSession, d: str) -> DataFrame:
     g = wl.copurchase(s, d).persist()
-    return rounded(rank.run(g, q=Q, iters=ITERS, personalization=g.vertices.where("id < 4").withColumn("tele", F.lit(0.25))), "rank")
+    return rounded(rank.run(g, iters=ITERS, personalization=g.vertices.where("id < 4").withColumn("tele", F.lit(0.25))), "rank")
 
 
 add("rank_personalized", _personal, sql.rank("copurchase", teleport="select id, 0.25::double as tele from v where id < 4"))
-add("rank_top20", lambda s, d: longs(rounded(results.top(rank.run(wl.copurchase(s, d).persist(), q=Q, iters=ITERS), 20), "rank"), "pos"), sql.rank("copurchase", final="select id, round(rank, 10) as rank, row_number() over (order by rank desc, id) as pos from last qualify pos <= 20"))
-add("rank_mass_by_iteration", lambda s, d: rounded(rank.masses(wl.customer_part(s, d).persist(), q=Q, iters=5), "mass"), sql.rank("cust_part", 5, final=" union all ".join(f"select {i}::bigint as iteration, round(sum(rank), 10) as mass from r{i}" for i in range(6))))
-add("rank_until_settled", lambda s, d: rounded(rank.run(wl.copurchase(s, d).persist(), q=Q, iters=60, tol=1e-9), "rank", to=7), sql.rank("copurchase", 20, final="select id, round(rank, 7) as rank from last"))
-add("topk_per_block", lambda s, d: longs(rounded(results.top_per_block(rank.run(wl.copurchase(s, d).persist(), q=Q, iters=ITERS), 256, 3), "rank"), "block", "pos"), sql.rank("copurchase", final="select id, round(rank, 10) as rank, id // 256 as block, row_number() over (partition by id // 256 order by rank desc, id) as pos from last qualify pos <= 3"))
+add("rank_top20", lambda s, d: longs(rounded(results.top(rank.run(wl.copurchase(s, d).persist(), iters=ITERS), 20), "rank"), "pos"), sql.rank("copurchase", final="select id, round(rank, 10) as rank, row_number() over (order by rank desc, id) as pos from last qualify pos <= 20"))
+add("rank_mass_by_iteration", lambda s, d: rounded(rank.masses(wl.customer_part(s, d).persist(), iters=5), "mass"), sql.rank("cust_part", 5, final=" union all ".join(f"select {i}::bigint as iteration, round(sum(rank), 10) as mass from r{i}" for i in range(6))))
+add("rank_until_settled", lambda s, d: rounded(rank.run(wl.copurchase(s, d).persist(), iters=60, tol=1e-9), "rank", to=7), sql.rank("copurchase", 20, final="select id, round(rank, 7) as rank from last"))
+add("topk_per_block", lambda s, d: longs(rounded(results.top_per_block(rank.run(wl.copurchase(s, d).persist(), iters=ITERS), 256, 3), "rank"), "block", "pos"), sql.rank("copurchase", final="select id, round(rank, 10) as rank, id // 256 as block, row_number() over (partition by id // 256 order by rank desc, id) as pos from last qualify pos <= 3"))
 
 
 def _outer_delta(s: SparkSession, d: str) -> DataFrame:
     g = wl.customer_part(s, d).persist()
-    return rounded(results.delta(rank.run(g, q=Q, iters=3), rank.run(g, "pull", q=Q, iters=4)), "l1", "l2", "largest")
+    return rounded(results.delta(rank.run(g, iters=3), rank.run(g, "pull", iters=4)), "l1", "l2", "largest")
 
 
 add("outer_delta", _outer_delta, sql.rank("cust_part", 4, final="select round(sum(abs(a.rank - b.rank)), 10) as l1, round(sqrt(sum((a.rank - b.rank) ** 2)), 10) as l2, round(max(abs(a.rank - b.rank)), 10) as largest from r3 a join r4 b using (id)"))
-add("top_overlap", lambda s, d: results.top_overlap(rank.run(g := wl.copurchase(s, d).persist(), q=Q, iters=2), rank.run(g, "naive", q=Q, iters=6), 50), sql.rank("copurchase", 6, final=", a as (select id from r2 order by rank desc, id limit 50), b as (select id from r6 order by rank desc, id limit 50) select count(*) / 50 as overlap from a where id in (select id from b)"))
+add("top_overlap", lambda s, d: results.top_overlap(rank.run(g := wl.copurchase(s, d).persist(), iters=2), rank.run(g, "naive", iters=6), 50), sql.rank("copurchase", 6, final=", a as (select id from r2 order by rank desc, id limit 50), b as (select id from r6 order by rank desc, id limit 50) select count(*) / 50 as overlap from a where id in (select id from b)"))
 
 
 def _invariance(s: SparkSession, d: str) -> DataFrame:
     g = wl.copurchase(s, d).persist()
     perm = labels.random(g, 5)
-    moved = rank.run(labels.relabel(g, perm).persist(), q=Q, iters=3)
+    moved = rank.run(labels.relabel(g, perm).persist(), iters=3)
     return rounded(moved.join(perm, moved.id == perm.new).select(F.col("old").alias("id"), "rank"), "rank")
 
 
@@ -322,6 +325,45 @@ _MVM = f"{_PUB}, x as (select graph, b_bundled, b_pull * 1e9 as bytes, n * 1e6 a
 add("model_vs_measured_literal", lambda s, d: rounded(cost.model_vs_measured(cost.published(s)), "model_gb", "ratio", "miss_implied", to=8), f"with {_MVM} select graph, round(({_MODEL['bundled']}) / 1e9, 8) as model_gb, b_bundled as measured_gb, round(b_bundled * 1e9 / ({_MODEL['bundled']}), 8) as ratio, round(((bytes - n * (di + dv)) / m - di) / line, 8) as miss_implied from x")
 
 
+# --- user-defined functions and sketches, beside their native twins -----------------
+
+
+def _expanded(s: SparkSession, d: str) -> DataFrame:
+    udf.register_functions(s)
+    g = wl.nation_trade(s, d)
+    g.edges.groupBy("src").agg(F.collect_list("dst").alias("ids"), F.collect_list("weight").alias("ws")).createOrReplaceTempView("nation_bundles")
+    return s.sql("select dst, round(sum(v), 4) as x from nation_bundles, lateral expand_bundle(2D, ids, ws) group by dst")
+
+
+def _block_of_sql(s: SparkSession, d: str) -> DataFrame:
+    udf.register_functions(s)
+    files.register_graph(wl.line_sequence(s, d), "lines")
+    return s.sql("select block_of(dst, 6) as block, count(*) as edges from lines_edges group by 1")
+
+
+def _decoded(g: Graph) -> DataFrame:
+    codes = layout.dest_lists(g, Q).groupBy("src").agg(F.sort_array(F.collect_list("code")).alias("codes"))
+    return codes.select("src", F.array_join(F.transform(F.sort_array(udf.decode_ids("codes")), lambda x: x.cast("string")), ",").alias("dsts"))
+
+
+add("udtf_expand_bundle", _expanded, f"{sql.edges('nation_trade')} select dst, round(sum(2 * weight), 4) as x from e group by 1")
+add("sql_block_of", _block_of_sql, f"{sql.edges('lineseq')} select (dst >> 6) as block, count(*) as edges from e group by 1")
+add("udf_decode_ids", on("lineseq", _decoded), f"{sql.edges('lineseq')} select src, {_ADJ} as dsts from e group by src")
+add("udaf_gini_degree", on("cust_part", lambda g: ga.degrees(g).agg(F.round(udf.gini("out_deg"), 8).alias("gini"))), f"{_EC}, d as ({_DEG}), r as (select out_deg, row_number() over (order by out_deg) as i, count(*) over () as n from d) select round(sum((2 * i - n - 1) * out_deg) / (max(n) * sum(out_deg)), 8) as gini from r")
+
+
+def _udaf_delta(s: SparkSession, d: str) -> DataFrame:
+    g = wl.customer_part(s, d).persist()
+    both = rank.run(g, iters=3).withColumnRenamed("rank", "a").join(rank.run(g, "pull", iters=4).withColumnRenamed("rank", "b"), "id")
+    return both.agg(F.round(udf.l1_delta("a", "b"), 10).alias("l1"))
+
+
+add("udaf_l1_delta", _udaf_delta, sql.rank("cust_part", 4, final="select round(sum(abs(a.rank - b.rank)), 10) as l1 from r3 a join r4 b using (id)"))
+add("events_window_edges", lambda s, d: load_table(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp")).transform(lambda e: rounded(stream.window_counts(e).withColumn("start", F.date_format("start", "yyyy-MM-dd")), "total", to=4)), "select strftime(date_trunc('day', ts), '%Y-%m-%d') as start, event_type, count(*) as events, round(sum(value), 4) as total from events group by 1, 2")
+add("events_session_edges", lambda s, d: load_table(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp")).transform(lambda e: stream.session_counts(e).groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("events").alias("events"))), """with g as (select user_id, ts, case when ts - lag(ts) over (partition by user_id order by ts) < interval 6 hours then 0 else 1 end as fresh from events)
+    select user_id, sum(fresh)::bigint as sessions, count(*) as events from g group by 1""")
+
+
 def queries() -> dict[str, Query]:
     return dict(QUERIES)
 
