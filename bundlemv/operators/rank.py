@@ -13,7 +13,8 @@ from bundlemv.operators.steps import METHODS, Method, allow_placement
 from bundlemv.session import materialise
 
 DAMPING = 0.85
-#: Iterations between durable copies of the ranks; what a lost executor costs is bounded by them.
+#: Iterations between durable copies of the ranks; what a lost executor costs is bounded by them. Options that read
+#: the ranks between iterations make a copy each time: n rows, where an iteration handles m edges.
 CHECKPOINT_EVERY = 10
 
 
@@ -76,9 +77,7 @@ def iterate(
             lost = cur.where("share is null").agg(F.sum("rank")).first()[0]
             spread = (lost or 0.0) / g.n
         new = apply_rank(vertices, work.step(cur), damping, spread)
-        if watch:
-            new = new.persist()
-        if i % CHECKPOINT_EVERY == 0 and i < iters:
+        if watch or i % CHECKPOINT_EVERY == 0 and i < iters:
             new = place(materialise(new, "ranks"), "block")
         done = False
         if tol is not None:
