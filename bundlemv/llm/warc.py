@@ -42,7 +42,7 @@ from pyspark.sql.datasource import (
 )
 from pyspark.sql.types import StructType
 
-from bundlemv.session import materialise, scratch_path
+from bundlemv.session import drop_at_exit, materialise, scratch_path
 
 READ_SCHEMA = (
     "record_type string, record_id string, target_uri string, warc_date string, content_type string, content_length long, "
@@ -389,6 +389,7 @@ def op3(spark, sf_dir):
 
     path = scratch_path(spark, "warc")
     archive_pages(load_table(spark, sf_dir, "pages"), path)
+    drop_at_exit(spark, path)
     asked = "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to_page long"
     read = spark.read.format("warc").schema(asked).option("verify", "true").load(path)
     return read.where(F.col("record_type").isin("response", "revisit")).withColumnRenamed("refers_to_page", "refers_to")
