@@ -38,27 +38,33 @@ SAMPLE, MAX_DEPTH = 16384, 10
 DIRECT = 512
 
 
-def text_fingerprint(data: bytes | None, shingle: int = 3, seed: int = SEED) -> int:
-    """Majority bits over the XXH64 of all word shingles; ASCII letters lower-cased."""
+def shingle_hashes(data: bytes | None, shingle: int = 3, seed: int = SEED) -> np.ndarray:
+    """XXH64 of all word shingles, repeats included; ASCII letters lower-cased; fewer words are one shingle."""
     words = (data or b"").lower().split()
     if not words:
-        return 0
+        return np.zeros(0, np.uint64)
     joined = b" ".join(words)
+    digest = xxhash.xxh64_intdigest
     if len(words) <= shingle:
-        hashes = [xxhash.xxh64_intdigest(joined, seed)]
-    else:
-        size = np.fromiter(map(len, words), np.int64, len(words)) + 1
-        after = np.cumsum(size)
-        starts, ends = (after - size)[: 1 - shingle].tolist(), (after - 1)[shingle - 1 :].tolist()
-        digest = xxhash.xxh64_intdigest
-        hashes = [digest(joined[a:b], seed) for a, b in zip(starts, ends)]
-    h = np.array(hashes, dtype=np.uint64)
+        return np.array([digest(joined, seed)], dtype=np.uint64)
+    size = np.fromiter(map(len, words), np.int64, len(words)) + 1
+    after = np.cumsum(size)
+    starts, ends = (after - size)[: 1 - shingle].tolist(), (after - 1)[shingle - 1 :].tolist()
+    return np.array([digest(joined[a:b], seed) for a, b in zip(starts, ends)], dtype=np.uint64)
+
+
+def majority(h: np.ndarray) -> int:
+    """Bits that more than half of the hashes have; 0 without hashes."""
     ones = np.zeros(64, np.int64)
     for i in range(0, len(h), 1 << 16):  # little-endian bytes, so bit j of the number is column j
         ones += np.unpackbits(h[i : i + (1 << 16)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
     return int(np.packbits(ones * 2 > len(h), bitorder="little").view(np.uint64)[0])
 
 
+def text_fingerprint(data: bytes | None, shingle: int = 3, seed: int = SEED) -> int:
+    return majority(shingle_hashes(data, shingle, seed))
+
+
 def fingerprints(docs: DataFrame, shingle: int = 3, id_col: str = "doc_id", text_col: str = "text", seed: int = SEED) -> DataFrame:
     """id_col, fp (the fingerprint as a signed long)."""
 
@@ -198,16 +204,123 @@ def near_duplicate_components(docs: DataFrame, reach: int = 2, shingle: int = 3,
     return prints.join(labels, "fp")
 
 
+# --- similarity links -------------------------------------------------------------
+#
+# Links at a stated similarity of shingle sets, for which few differing bits are not enough:
+# at a similarity of 0.8 fingerprints differ in about 10 of 64 bits, and at that radius the
+# distances of a vantage point to all nodes (32, give or take 4) leave nothing to prune.
+# Nodes are dealt to shards by shared seeds instead (least values of independent hashes of
+# their shingles; two texts share each with their similarity as the probability), the
+# fingerprints sort out pairs in a shard, and a signature of least values confirms them.
+
+#: Seeds per text: 1 - 0.2 ** 6 of the pairs at similarity 0.8 share one.
+SEEDS = 6
+#: Least values in a signature, a byte each; the estimate's deviation at 0.8 is 0.035, so the bar stands one below.
+SIGNATURE, SLACK = 128, 0.03
+#: Differing fingerprint bits of a pair that is looked at: over three deviations above the mean at similarity 0.8.
+NEAR_BITS = 20
+#: A seed with more texts is split by pairs of seeds.
+HOT_SEED = 20_000
+_MIX = np.random.default_rng(31).integers(1, 2**63, SIGNATURE, dtype=np.int64).astype(np.uint64) * np.uint64(2) + np.uint64(1)
+
+
+def signature(h: np.ndarray) -> np.ndarray:
+    """Least values of SIGNATURE hashes of the shingles."""
+    least = np.full(SIGNATURE, np.iinfo(np.uint64).max, np.uint64)
+    for i in range(0, len(h), 512):
+        x = h[i : i + 512, None] * _MIX[None, :]
+        x ^= x >> np.uint64(32)
+        np.minimum(least, (x * np.uint64(0xD6E8FEB86659FD93)).min(axis=0), out=least)
+    return least
+
+
+def sketches(docs: DataFrame, shingle: int, id_col: str, text_col: str) -> DataFrame:
+    """id_col, node (a hash of all that follows), fp, seeds, sig; equal shingles give equal nodes."""
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            rows = []
+            for t in b.column(1):
+                h = shingle_hashes(t.as_py(), shingle)
+                fp, least = majority(h), signature(h)
+                sig = (least >> np.uint64(7)).astype(np.uint8).tobytes()
+                node = xxhash.xxh64_intdigest(fp.to_bytes(8, "little") + least.tobytes(), SEED)
+                rows.append((node, fp, least[:SEEDS].view(np.int64).tolist() if len(h) else [], sig))
+            node, fp, seeds, sig = zip(*rows) if rows else ((), (), (), ())
+            signed = lambda v: pa.array(np.array(v, dtype=np.uint64).view(np.int64))
+            yield pa.RecordBatch.from_arrays([b.column(0), signed(node), signed(fp), pa.array(seeds, pa.list_(pa.int64())), pa.array(sig, pa.binary())], names=[id_col, "node", "fp", "seeds", "sig"])
+
+    kind = docs.schema[id_col].dataType.simpleString()
+    return docs.select(id_col, F.col(text_col).cast("binary").alias("__text")).mapInArrow(work, f"`{id_col}` {kind}, node long, fp long, seeds array<long>, sig binary")
+
+
+def link_similar(groups: list[np.ndarray], fps: np.ndarray, sigs: np.ndarray, similarity: float) -> list[tuple[int, int]]:
+    """A spanning forest of the similar pairs within each group of positions.
+
+    Pairs that are linked already are not looked at; rows are taken in growing blocks, so a
+    large group of near copies is one tree after its first rows.
+    """
+    forest, bar = Forest(len(fps)), (similarity - SLACK) * SIGNATURE
+    for at in groups:
+        i, block = 0, 1
+        while i < len(at) - 1:
+            own = at[i : i + block]
+            roots = np.array([forest.root(x) for x in at.tolist()])
+            rows, cols = np.nonzero((distance(fps[own][:, None], fps[at][None, :]) <= NEAR_BITS) & (roots[i : i + block][:, None] != roots[None, :]))
+            for k in range(0, len(rows), 1 << 14):
+                a, b = own[rows[k : k + (1 << 14)]], at[cols[k : k + (1 << 14)]]
+                good = (sigs[a] == sigs[b]).sum(axis=1) >= bar
+                for x, y in zip(a[good].tolist(), b[good].tolist()):
+                    forest.link(x, y)
+            i, block = i + block, min(128, 2 * block)
+    return forest.edges
+
+
+def similar_components(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """id_col, node, component_id (the least id reachable over links of at least ``similarity``)."""
+    spark = docs.sparkSession
+    prints = materialise(sketches(docs, shingle, id_col, text_col), "sketches")
+    nodes = materialise(prints.groupBy("node").agg(F.min(id_col).alias("least"), F.first("fp").alias("fp"), F.first("seeds").alias("seeds"), F.first("sig").alias("sig")), "sketch-nodes")
+    n = nodes.count()
+    each = nodes.select("node", "fp", "seeds", "sig", F.explode(F.array_distinct("seeds")).alias("seed"))
+    hot = materialise(each.groupBy("seed").agg(F.count("*").alias("c")).where(F.col("c") > HOT_SEED).select("seed"), "sketch-hot")
+    if hot.count():
+        twice = F.explode(F.transform("seeds", lambda x: F.xxhash64(x, "seed")))
+        split = each.join(hot, "seed", "left_semi").select("node", "fp", "sig", twice.alias("seed"))
+        each = each.join(hot, "seed", "left_anti").select("node", "fp", "sig", "seed").unionAll(split)
+
+    def solve(table: pa.Table) -> pa.Table:
+        seed, node = table.column("seed").to_numpy(), table.column("node").to_numpy()
+        names, of = np.unique(node, return_inverse=True)
+        first = np.zeros(len(names), np.int64)
+        first[of] = np.arange(len(node))
+        sig = table.column("sig").combine_chunks().take(pa.array(first))
+        fps = table.column("fp").to_numpy()[first].view(np.uint64)
+        sigs = np.frombuffer(b"".join(sig.to_pylist()), np.uint8).reshape(len(names), SIGNATURE)
+        order = np.argsort(seed, kind="stable")
+        cuts = np.nonzero(np.diff(seed[order]))[0] + 1
+        groups = [np.unique(of[g]) for g in np.split(order, cuts) if len(g) > 1]
+        edges = np.array(link_similar(groups, fps, sigs, similarity), dtype=np.int64).reshape(-1, 2)
+        return pa.table({"u": pa.array(names[edges[:, 0]], pa.int64()), "v": pa.array(names[edges[:, 1]], pa.int64())})
+
+    buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-n * SEEDS // 20_000))
+    edges = each.select("node", "fp", "sig", "seed", F.pmod(F.xxhash64("seed"), F.lit(buckets)).alias("b")).groupBy("b").applyInArrow(solve, "u long, v long")
+    roots = components(edges)
+    named = nodes.select("node", "least").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    heads = named.groupBy("root").agg(F.min("least").alias("component_id"))
+    return prints.select(id_col, "node").join(named.join(heads, "root").select("node", "component_id"), "node").select(id_col, "node", "component_id")
+
+
 def fingerprint_hex(fp):
     return F.lower(F.lpad(F.hex(fp), 16, "0"))
 
 
-def keep_one(docs: DataFrame, reach: int = 2, shingle: int = 3, id_col: str = "doc_id") -> DataFrame:
+def keep_one(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, id_col: str = "doc_id") -> DataFrame:
     """The rows of ``docs`` whose id is its component's least; of repeated rows of one id, all but the first go.
 
     Rows with a null id have no name to be kept by; they stay.
     """
-    found = near_duplicate_components(docs, reach, shingle, id_col)
+    found = similar_components(docs, similarity, shingle, id_col)
     kept = found.where(F.col(id_col) == F.col("component_id")).select(id_col).distinct()
     named = docs.where(F.col(id_col).isNotNull()).join(kept, id_col, "left_semi").dropDuplicates([id_col])
     return named.select(docs.columns).unionByName(docs.where(F.col(id_col).isNull()))

@@ -82,6 +82,39 @@ def test_sharded_query(spark, monkeypatch):
     assert {i: r.component_id for i, r in out.items()} == want
 
 
+def plain_similarity(a, b, shingle=5):
+    sets = []
+    for t in (a, b):
+        w = t.lower().split()
+        sets.append({tuple(w[i : i + shingle]) for i in range(max(1, len(w) - shingle + 1))} if w else set())
+    return len(sets[0] & sets[1]) / max(1, len(sets[0] | sets[1]))
+
+
+def test_similarity_links(spark, monkeypatch):
+    rng = random.Random(8)
+    passage = " ".join(f"p{i}" for i in range(60))
+    texts, family = [], []
+    for i in range(120):
+        words = [f"w{rng.randrange(5000)}" for _ in range(rng.choice([40, 120, 400]))]
+        texts.append(" ".join(words))
+        family.append(i)
+        for _ in range(i % 3):
+            copy = list(words)
+            for _ in range(max(1, len(words) // 100)):
+                copy[rng.randrange(len(copy))] = f"x{rng.randrange(999)}"
+            texts.append(" ".join(copy))
+            family.append(i)
+    for i in range(150):  # different texts that share a passage
+        texts.append(passage + " " + " ".join(f"q{rng.randrange(9999)}" for _ in range(60)))
+        family.append(1000 + i)
+    for hot in (simhash.HOT_SEED, 20):
+        monkeypatch.setattr(simhash, "HOT_SEED", hot)
+        got = {r.doc_id: r.component_id for r in simhash.similar_components(docs_frame(spark, texts)).collect()}
+        assert all(family[i] == family[c] for i, c in got.items())
+        close = [(i, j) for i in range(len(texts)) for j in range(i) if family[i] == family[j] and plain_similarity(texts[i], texts[j]) >= 0.85]
+        assert len(close) > 60 and sum(got[i] == got[j] for i, j in close) >= 0.97 * len(close)
+
+
 def test_odd_inputs(spark):
     texts = odd_texts() + ["dup one two three"] * 2
     docs = docs_frame(spark, texts, ids=[*range(12), None, None])
