@@ -3,7 +3,7 @@
 A factory prepares what never changes, places it and keeps it; the returned step runs once per
 iteration. What an iteration shuffles is the method's message stream and nothing else:
 bundles for the bundled method, edges for per-edge binning, nothing (but a broadcast) for
-pulling. ``count`` gives the rows and array values that a step sends.
+pulling.
 """
 
 from __future__ import annotations
@@ -27,16 +27,28 @@ Step = Callable[[DataFrame], DataFrame]
 
 @dataclass
 class Method:
-    """A prepared method; ``kept`` are its persisted inputs, ``messages`` the stream that its last step sent."""
+    """A prepared method: ``gather`` adds up what ``scatter`` sends; ``kept`` are its persisted inputs.
 
-    step: Step
+    Methods that store no messages have no scatter: their gather reads the shares.
+    """
+
+    gather: Step
     kept: list[DataFrame] = field(default_factory=list)
+    scatter: Step | None = None
+
+    def step(self, shares: DataFrame) -> DataFrame:
+        return self.gather(self.scatter(shares) if self.scatter else shares)
 
     def release(self) -> None:
         for df in self.kept:
             df.unpersist()
 
 
+def count_values(sent: DataFrame) -> Column:
+    """Values in a message stream: a row each, or the lengths of its arrays."""
+    return F.sum(F.size("vals")) if "vals" in sent.columns else F.count("*")
+
+
 def allow_placement(spark: SparkSession) -> None:
     """Let joins and aggregates on (block, id) use a placement by block alone."""
     spark.conf.set("spark.sql.requireAllClusterKeysForCoPartition", "false")
@@ -72,35 +84,36 @@ def bundled_rows(g: Graph, q: int) -> Method:
     """A row per bundle over the compressed layout; gather walks each bundle's list."""
     layout, lists = place(block_layout(g, q), "src_block").persist(), _lists(g, q).persist()
 
-    def step(shares: DataFrame) -> DataFrame:
+    def scatter(shares: DataFrame) -> DataFrame:
         sent = shares.join(layout, (shares.block == layout.src_block) & (shares.id == layout.src)).select("dst_block", "src", "share")
-        return _apply_lists(place(sent, "dst_block"), lists, g)
+        return place(sent, "dst_block")
 
-    return Method(step, [layout, lists])
+    return Method(lambda sent: _apply_lists(sent, lists, g), [layout, lists], scatter)
 
 
 def bundled_adjacency(g: Graph, q: int) -> Method:
     """The plain adjacency: every step scans all edges and keeps the first of each bundle."""
     edges, lists = place(blocked(g, q).select("src_block", "dst_block", "src", "dst"), "src_block").persist(), _lists(g, q).persist()
 
-    def step(shares: DataFrame) -> DataFrame:
+    def scatter(shares: DataFrame) -> DataFrame:
         near = F.lag("dst_block").over(Window.partitionBy("src_block", "src").orderBy("dst"))
         scanned = shares.join(edges, (shares.block == edges.src_block) & (shares.id == edges.src)).withColumn("before", near)
-        sent = scanned.where("before is null or before <> dst_block").select("dst_block", "src", "share")
-        return _apply_lists(place(sent, "dst_block"), lists, g)
+        return place(scanned.where("before is null or before <> dst_block").select("dst_block", "src", "share"), "dst_block")
 
-    return Method(step, [edges, lists])
+    return Method(lambda sent: _apply_lists(sent, lists, g), [edges, lists], scatter)
 
 
 def bundled_resend(g: Graph, q: int) -> Method:
     """Destination lists travel with the values in every step: what reuse avoids."""
     both = place(bundles(g, q).select("src_block", "dst_block", "src", "dsts"), "src_block").persist()
 
-    def step(shares: DataFrame) -> DataFrame:
-        sent = shares.join(both, (shares.block == both.src_block) & (shares.id == both.src)).select("dst_block", "share", "dsts")
-        return summed(place(sent, "dst_block").select(F.col("dst_block").alias("block"), F.explode("dsts").alias("id"), F.col("share").alias("v")))
+    def scatter(shares: DataFrame) -> DataFrame:
+        return place(shares.join(both, (shares.block == both.src_block) & (shares.id == both.src)).select("dst_block", "share", "dsts"), "dst_block")
 
-    return Method(step, [both])
+    def gather(sent: DataFrame) -> DataFrame:
+        return summed(sent.select(F.col("dst_block").alias("block"), F.explode("dsts").alias("id"), F.col("share").alias("v")))
+
+    return Method(gather, [both], scatter)
 
 
 def _block_vectors(shares: DataFrame) -> DataFrame:
@@ -113,7 +126,7 @@ def _scatter_packed(shares: DataFrame, layout: DataFrame, q: int) -> DataFrame:
     """dst_block, src_block, vals: at most one row per block pair, a value per bundle."""
     met = _block_vectors(shares).join(layout, F.col("block") == layout.src_block)
     base = F.col("src_block").cast("long") * q
-    return met.select("dst_block", "src_block", F.transform("srcs", lambda s: F.get("vals", (s - base).cast("int"))).alias("vals"))
+    return place(met.select("dst_block", "src_block", F.transform("srcs", lambda s: F.get("vals", (s - base).cast("int"))).alias("vals")), "dst_block")
 
 
 def bundled_positions(g: Graph, q: int) -> Method:
@@ -121,13 +134,13 @@ def bundled_positions(g: Graph, q: int) -> Method:
     layout, lists = packed_layout(g, q).persist(), packed_lists(g, q).persist()
     w = ["weights"] if g.weighted else []
 
-    def step(shares: DataFrame) -> DataFrame:
-        met = place(_scatter_packed(shares, layout, q), "dst_block").join(lists, ["dst_block", "src_block"])
+    def gather(sent: DataFrame) -> DataFrame:
+        met = sent.join(lists, ["dst_block", "src_block"])
         each = met.select(F.col("dst_block").alias("block"), "vals", "pos", *w, F.posexplode("ids").alias("i", "id"))
         value = F.get("vals", F.get("pos", F.col("i")))
         return summed(each.select("block", "id", (value * F.get("weights", F.col("i")) if w else value).alias("v")))
 
-    return Method(step, [layout, lists])
+    return Method(gather, [layout, lists], lambda shares: _scatter_packed(shares, layout, q))
 
 
 def bundled_nested(g: Graph, q: int) -> Method:
@@ -138,13 +151,13 @@ def bundled_nested(g: Graph, q: int) -> Method:
     lists = own.groupBy("dst_block", "src_block").agg(F.sort_array(F.collect_list(F.struct("src", "b"))).alias("l")).select("dst_block", "src_block", F.transform("l", lambda x: x["b"]).alias("l")).persist()
     layout = packed_layout(g, q).persist()
 
-    def step(shares: DataFrame) -> DataFrame:
-        met = place(_scatter_packed(shares, layout, q), "dst_block").join(lists, ["dst_block", "src_block"])
+    def gather(sent: DataFrame) -> DataFrame:
+        met = sent.join(lists, ["dst_block", "src_block"])
         each = met.select(F.col("dst_block").alias("block"), "vals", F.posexplode("l").alias("i", "b"))
         each = each.select("block", F.get("vals", F.col("i")).alias("x"), F.explode("b").alias("d"))
         return summed(each.select("block", "d.dst", (F.col("x") * F.col("d.weight")).alias("v")).withColumnRenamed("dst", "id") if w else each.select("block", F.col("d").alias("id"), F.col("x").alias("v")))
 
-    return Method(step, [layout, lists])
+    return Method(gather, [layout, lists], lambda shares: _scatter_packed(shares, layout, q))
 
 
 def bundled_prefix(g: Graph, q: int) -> Method:
@@ -153,25 +166,24 @@ def bundled_prefix(g: Graph, q: int) -> Method:
     layout = packed_layout(g, q).persist()
     ids = place(blocked(g, q).withColumn("flag", first.cast("int")), "dst_block").persist()
 
-    def step(shares: DataFrame) -> DataFrame:
-        sent = place(_scatter_packed(shares, layout, q), "dst_block").select("dst_block", "src_block", F.posexplode("vals").alias("pos", "share"))
+    def gather(sent: DataFrame) -> DataFrame:
+        sent = sent.select("dst_block", "src_block", F.posexplode("vals").alias("pos", "share"))
         walked = F.sum("flag").over(Window.partitionBy("dst_block", "src_block").orderBy("src", "dst").rowsBetween(Window.unboundedPreceding, 0)) - 1
         met = ids.withColumn("pos", walked.cast("int")).join(sent, ["dst_block", "src_block", "pos"])
         return summed(met.select(F.col("dst_block").alias("block"), F.col("dst").alias("id"), _times_weight(g, "share").alias("v")))
 
-    return Method(step, [layout, ids])
+    return Method(gather, [layout, ids], lambda shares: _scatter_packed(shares, layout, q))
 
 
 def bundled_arrow(g: Graph, q: int) -> Method:
     """Packed rows, scattered and gathered by vectorised functions on whole blocks."""
     layout, lists = packed_layout(g, q).persist(), packed_lists(g, q, flags=True).persist()
 
-    def step(shares: DataFrame) -> DataFrame:
+    def scatter(shares: DataFrame) -> DataFrame:
         met = _block_vectors(shares).join(layout, F.col("block") == layout.src_block).select("dst_block", "src_block", "srcs", "vals")
-        sent = scatter_block(met, q)
-        return gather_block(place(sent, "dst_block"), lists, q, g.weighted)
+        return place(scatter_block(met, q), "dst_block")
 
-    return Method(step, [layout, lists])
+    return Method(lambda sent: gather_block(sent, lists, q, g.weighted), [layout, lists], scatter)
 
 
 # --- baselines ----------------------------------------------------------------
@@ -181,12 +193,11 @@ def per_edge(g: Graph, q: int) -> Method:
     """A message (value, destination) per edge into the destination block's bin; ids travel each time."""
     edges = place(blocked(g, q), "src_block").persist()
 
-    def step(shares: DataFrame) -> DataFrame:
+    def scatter(shares: DataFrame) -> DataFrame:
         met = shares.join(edges, (shares.block == edges.src_block) & (shares.id == edges.src))
-        sent = met.select(F.col("dst_block").alias("block"), F.col("dst").alias("id"), _times_weight(g, "share").alias("v"))
-        return summed(place(sent, "block"))
+        return place(met.select(F.col("dst_block").alias("block"), F.col("dst").alias("id"), _times_weight(g, "share").alias("v")), "block")
 
-    return Method(step, [edges])
+    return Method(summed, [edges], scatter)
 
 
 def per_edge_reuse(g: Graph, q: int) -> Method:
@@ -196,13 +207,13 @@ def per_edge_reuse(g: Graph, q: int) -> Method:
     out = place(per.select("src_block", "dst_block", F.col("e.src").alias("srcs")), "src_block").persist()
     ids = place(per.select("src_block", "dst_block", F.col("e.dst").alias("ids"), *([F.col("e.weight").alias("weights")] if g.weighted else [])), "dst_block").persist()
 
-    def step(shares: DataFrame) -> DataFrame:
-        met = place(_scatter_packed(shares, out, q), "dst_block").join(ids, ["dst_block", "src_block"])
+    def gather(sent: DataFrame) -> DataFrame:
+        met = sent.join(ids, ["dst_block", "src_block"])
         each = met.select(F.col("dst_block").alias("block"), "vals", *w, F.posexplode("ids").alias("i", "id"))
         value = F.get("vals", F.col("i"))
         return summed(each.select("block", "id", (value * F.get("weights", F.col("i")) if w else value).alias("v")))
 
-    return Method(step, [out, ids])
+    return Method(gather, [out, ids], lambda shares: _scatter_packed(shares, out, q))
 
 
 def pull(g: Graph, q: int, balanced: bool = False, max_broadcast: int = MAX_BROADCAST_IDS) -> Method:

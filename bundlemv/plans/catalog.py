@@ -291,6 +291,22 @@ add("compression_by_label_order_line", _lines_by_label, " union all ".join(f"sel
 _CNT = f"{_E}, c as (select count(*) as m, count(distinct (src, dst // {Q})) as b from e)"
 add("messages_by_method", on("copurchase", lambda g: cost.count_messages(g, Q)), f"{_CNT} " + " union all ".join(f"select '{n}' as method, {a} as messages, ({b})::bigint as bytes from c" for n, a, b in (
     ("per_edge", "m", "m * 8"), ("per_edge_resend", "m", "m * 16"), ("bundled", "b", "b * 8"), ("edge_scan", "m", "m * 16"), ("bundled_resend", "b", "b * 8 + m * 8"), ("pull", "0::bigint", "0"))))
+
+
+def _sent(g: Graph) -> DataFrame:
+    """Values in the streams that the methods really send."""
+    g, out = g.persist(), None
+    steps.allow_placement(g.spark)
+    shares = rank.first_ranks(g, rank.vertex_table(g, Q).persist())
+    for name in ("bundled", "bundled_rows", "bundled_adjacency", "bundled_arrow", "bundled_resend", "per_edge", "per_edge_resend"):
+        stream = steps.METHODS[name](g, Q).scatter(shares)
+        own = stream.agg(steps.count_values(stream).alias("messages")).select(F.lit(name).alias("method"), "messages")
+        out = own if out is None else out.union(own)
+    return out
+
+
+add("messages_sent", on("copurchase", _sent), f"{_CNT} " + " union all ".join(f"select '{n}' as method, {a}::bigint as messages from c" for n, a in (
+    ("bundled", "b"), ("bundled_rows", "b"), ("bundled_adjacency", "b"), ("bundled_arrow", "b"), ("bundled_resend", "b"), ("per_edge", "m"), ("per_edge_resend", "m"))))
 add("buffer_flushes", on("copurchase", lambda g: longs(steps.buffer_flushes(g, Q, 16), "dst_block")), f"{_P} select dst_block, sum(n_ids)::bigint as messages, sum((n_ids + 15) // 16)::bigint as flushes from p group by 1")
 add("bin_switches", on("kronecker", lambda g: cost.count_bin_switches(g, Q)), f"""{sql.edges('kronecker')}, b as (select src, dst, src // {Q} as sb, dst // {Q} as db from e) select 'per_edge' as method, count(*) as switches from (select db, lag(db) over (partition by sb order by src, dst) as p from b) where p is null or p <> db
     union all select 'bundled', count(*) from (select distinct sb, db from b)""")
