@@ -51,8 +51,14 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def ship_package(spark: SparkSession) -> None:
-    """Let Python workers import this package from the same place as the driver."""
+#: Rows and bytes that one Arrow batch holds; a worker has a few batches in memory at once.
+BATCH_ROWS, BATCH_BYTES = 1000, 8 << 20
+
+
+def prepare_workers(spark: SparkSession) -> None:
+    """Let Python workers import this package from the same place as the driver, and bound their batches."""
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
     root = str(Path(__file__).resolve().parent.parent)
     env = spark.sparkContext.environment
     have = env.get("PYTHONPATH", os.environ.get("PYTHONPATH", ""))

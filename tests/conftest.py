@@ -11,7 +11,7 @@ sys.path.insert(0, str(Path(__file__).resolve().parent.parent))
 def spark():
     from pyspark.sql import SparkSession
 
-    from bundlemv.session import ship_package
+    from bundlemv.session import prepare_workers
 
     session = (
         SparkSession.builder.master("local[8]")
@@ -20,7 +20,7 @@ def spark():
         .config("spark.ui.showConsoleProgress", "false").getOrCreate()
     )
     session.sparkContext.setLogLevel("ERROR")
-    ship_package(session)
+    prepare_workers(session)
     return session
 
 
