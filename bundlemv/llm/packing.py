@@ -33,7 +33,7 @@ from bundlemv.session import materialise
 CAPACITY = 2048
 END = 0
 #: Words kept per worker; the store starts anew when it is full.
-CACHE_WORDS = 400_000
+CACHE_WORDS = 200_000
 #: Texts of these characters only are normalised and split here; all others by the tokenizer itself.
 PLAIN = re.compile(r"[\t\n\r\x20-\x7e¡-©«-±´¶-¸»¿-ÿ]*")
 #: The vocabulary's own split pattern, for those characters: contractions, letters, single digits, other marks.
