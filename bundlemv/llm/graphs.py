@@ -8,6 +8,15 @@ from pyspark.sql import functions as F
 from bundlemv.session import materialise
 
 
+def least_by(df: DataFrame, key: str, value: str, name: str) -> DataFrame:
+    """key, name: the least ``value`` of each key.
+
+    Grouped by one more column, which depends on the key, so that a join on the key deals
+    both sides anew and may split a key that holds many rows.
+    """
+    return df.groupBy(key, F.pmod(F.hash(key), F.lit(2)).alias("__half")).agg(F.min(value).alias(name)).select(key, name)
+
+
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """Edges (u long, v long) -> (node, root): root is the least node reachable.
 
@@ -25,9 +34,9 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
             break
         before = now
         both = cur.union(cur.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
+        least = least_by(both, "u", "v", "m").select("u", F.least("u", "m").alias("m"))
         large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
-        down = large.groupBy("u").agg(F.min("v").alias("m"))
+        down = least_by(large, "u", "v", "m")
         small = large.join(down, "u").select(F.explode(F.array(F.struct(F.col("v").alias("u"), F.col("m").alias("v")), F.struct("u", F.col("m").alias("v")))).alias("e"))
         cur = materialise(small.select("e.u", "e.v").where("u <> v").distinct(), "cc")
     else:

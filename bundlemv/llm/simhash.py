@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from bundlemv.llm.graphs import components
+from bundlemv.llm.graphs import components, least_by
 from bundlemv.session import materialise
 
 SEED = 42
@@ -199,7 +199,7 @@ def near_duplicate_components(docs: DataFrame, reach: int = 2, shingle: int = 3,
     nodes = materialise(prints.groupBy("fp").agg(F.min(id_col).alias("least")), "simhash-nodes")
     roots = components(near_pairs_forest(nodes, reach)).withColumnRenamed("node", "fp")
     named = nodes.join(roots, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
-    heads = named.groupBy("root").agg(F.min("least").alias("component_id"))
+    heads = least_by(named, "root", "least", "component_id")
     labels = named.join(heads, "root").select("fp", "component_id")
     return prints.join(labels, "fp")
 
@@ -307,7 +307,7 @@ def similar_components(docs: DataFrame, similarity: float = 0.8, shingle: int =
     edges = each.select("node", "fp", "sig", "seed", F.pmod(F.xxhash64("seed"), F.lit(buckets)).alias("b")).groupBy("b").applyInArrow(solve, "u long, v long")
     roots = components(edges)
     named = nodes.select("node", "least").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    heads = named.groupBy("root").agg(F.min("least").alias("component_id"))
+    heads = least_by(named, "root", "least", "component_id")
     return prints.select(id_col, "node").join(named.join(heads, "root").select("node", "component_id"), "node").select(id_col, "node", "component_id")
 
 
