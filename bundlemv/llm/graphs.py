@@ -17,6 +17,10 @@ def least_by(df: DataFrame, key: str, value: str, name: str) -> DataFrame:
     return df.groupBy(key, F.pmod(F.hash(key), F.lit(2)).alias("__half")).agg(F.min(value).alias(name)).select(key, name)
 
 
+#: Edges in one file of a round's table; rounds shrink, and so do their files.
+FILE_EDGES = 250_000
+
+
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """Edges (u long, v long) -> (node, root): root is the least node reachable.
 
@@ -38,7 +42,8 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         down = least_by(large, "u", "v", "m")
         small = large.join(down, "u").select(F.explode(F.array(F.struct(F.col("v").alias("u"), F.col("m").alias("v")), F.struct("u", F.col("m").alias("v")))).alias("e"))
-        cur = materialise(small.select("e.u", "e.v").where("u <> v").distinct(), "cc")
+        files = max(4, -(-now[0] // FILE_EDGES))
+        cur = materialise(small.select("e.u", "e.v").where("u <> v").distinct().coalesce(files), "cc")
     else:
         raise RuntimeError("components did not settle")
     roots = cur.select(F.col("v").alias("node")).distinct().select("node", F.col("node").alias("root"))
