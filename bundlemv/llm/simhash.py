@@ -210,15 +210,13 @@ def near_duplicate_components(docs: DataFrame, reach: int = 2, shingle: int = 3,
 # at a similarity of 0.8 fingerprints differ in about 10 of 64 bits, and at that radius the
 # distances of a vantage point to all nodes (32, give or take 4) leave nothing to prune.
 # Nodes are dealt to shards by shared seeds instead (least values of independent hashes of
-# their shingles; two texts share each with their similarity as the probability), the
-# fingerprints sort out pairs in a shard, and a signature of least values confirms them.
+# their shingles; two texts share each with their similarity as the probability), and a
+# signature of least values confirms pairs in a shard.
 
 #: Seeds per text: 1 - 0.2 ** 6 of the pairs at similarity 0.8 share one.
 SEEDS = 6
 #: Least values in a signature, a byte each; the estimate's deviation at 0.8 is 0.035, so the bar stands one below.
 SIGNATURE, SLACK = 128, 0.03
-#: Differing fingerprint bits of a pair that is looked at: over three deviations above the mean at similarity 0.8.
-NEAR_BITS = 20
 #: A seed with more texts is split by pairs of seeds.
 HOT_SEED = 20_000
 _MIX = np.random.default_rng(31).integers(1, 2**63, SIGNATURE, dtype=np.int64).astype(np.uint64) * np.uint64(2) + np.uint64(1)
@@ -266,7 +264,7 @@ def link_similar(groups: list[np.ndarray], fps: np.ndarray, sigs: np.ndarray, si
         while i < len(at) - 1:
             own = at[i : i + block]
             roots = np.array([forest.root(x) for x in at.tolist()])
-            rows, cols = np.nonzero((distance(fps[own][:, None], fps[at][None, :]) <= NEAR_BITS) & (roots[i : i + block][:, None] != roots[None, :]))
+            rows, cols = np.nonzero(roots[i : i + block][:, None] != roots[None, :])
             for k in range(0, len(rows), 1 << 14):
                 a, b = own[rows[k : k + (1 << 14)]], at[cols[k : k + (1 << 14)]]
                 good = (sigs[a] == sigs[b]).sum(axis=1) >= bar

@@ -127,3 +127,16 @@ def test_odd_inputs(spark):
     ids = [r.doc_id for r in kept.collect()]
     assert 0 in ids and 1 not in ids and 6 not in ids and ids.count(None) == 2
     assert simhash.near_duplicate_components(docs.limit(0)).collect() == []
+
+
+def test_unequal_repeats(spark):
+    rng = random.Random(23)
+    texts = []
+    for i in range(60):  # few distinct lines; the second text repeats one of them many times
+        lines = [" ".join(f"v{rng.getrandbits(60)}" for _ in range(20)) for _ in range(5)]
+        texts += ["\n".join(lines), "\n".join(lines[:2] + [lines[2]] * 30 + lines[3:])]
+    pairs = list(zip(texts[::2], texts[1::2]))
+    assert all(plain_similarity(a, b) >= 0.8 for a, b in pairs)
+    assert any((simhash.text_fingerprint(a.encode(), 5) ^ simhash.text_fingerprint(b.encode(), 5)).bit_count() > 20 for a, b in pairs)
+    got = {r.doc_id: r.component_id for r in simhash.similar_components(docs_frame(spark, texts)).collect()}
+    assert got == {k: k - k % 2 for k in range(len(texts))}
