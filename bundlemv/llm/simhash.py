@@ -210,18 +210,25 @@ def near_duplicate_components(docs: DataFrame, reach: int = 2, shingle: int = 3,
 # at a similarity of 0.8 fingerprints differ in about 10 of 64 bits, and at that radius the
 # distances of a vantage point to all nodes (32, give or take 4) leave nothing to prune.
 # Nodes are dealt to shards by shared seeds instead (least values of independent hashes of
-# their shingles; two texts share each with their similarity as the probability), and a
-# signature of least values confirms pairs in a shard.
-
-#: Seeds per text: 1 - 0.2 ** 6 of the pairs at similarity 0.8 share one.
-SEEDS = 6
-#: Least values in a signature, a byte each; the estimate's deviation at 0.8 is 0.035, so the bar stands one below.
-SIGNATURE, SLACK = 128, 0.03
+# their shingles; two texts share each with their similarity as the probability). In a
+# shard, signatures of least values and the sizes of the sets only propose pairs; the texts
+# of proposed nodes meet again under the same seed, where their whole sets decide.
+
+#: Seeds per text: 1 - 0.2 ** 8 of the pairs at similarity 0.8 share one.
+SEEDS = 8
+#: Least values in a signature, a byte each; the estimate's deviation at 0.8 is 0.035, so the bar for proposals stands six below.
+SIGNATURE, SLACK = 128, 0.215
 #: A seed with more texts is split by pairs of seeds.
 HOT_SEED = 20_000
+#: Texts that meet in a task, about, with their shingles.
+SHARD_TEXTS = 2000
 _MIX = np.random.default_rng(31).integers(1, 2**63, SIGNATURE, dtype=np.int64).astype(np.uint64) * np.uint64(2) + np.uint64(1)
 
 
+def shingle_set(data: bytes | None, shingle: int) -> np.ndarray:
+    return np.unique(shingle_hashes(data, shingle))
+
+
 def signature(h: np.ndarray) -> np.ndarray:
     """Least values of SIGNATURE hashes of the shingles."""
     least = np.full(SIGNATURE, np.iinfo(np.uint64).max, np.uint64)
@@ -233,76 +240,135 @@ def signature(h: np.ndarray) -> np.ndarray:
 
 
 def sketches(docs: DataFrame, shingle: int, id_col: str, text_col: str) -> DataFrame:
-    """id_col, node (a hash of all that follows), fp, seeds, sig; equal shingles give equal nodes."""
+    """id_col, node (a hash of the set of shingles), size (of the set), seeds, sig, text."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             rows = []
             for t in b.column(1):
-                h = shingle_hashes(t.as_py(), shingle)
-                fp, least = majority(h), signature(h)
+                h = shingle_set(t.as_py(), shingle)
+                least = signature(h)
                 sig = (least >> np.uint64(7)).astype(np.uint8).tobytes()
-                node = xxhash.xxh64_intdigest(fp.to_bytes(8, "little") + least.tobytes(), SEED)
-                rows.append((node, fp, least[:SEEDS].view(np.int64).tolist() if len(h) else [], sig))
-            node, fp, seeds, sig = zip(*rows) if rows else ((), (), (), ())
-            signed = lambda v: pa.array(np.array(v, dtype=np.uint64).view(np.int64))
-            yield pa.RecordBatch.from_arrays([b.column(0), signed(node), signed(fp), pa.array(seeds, pa.list_(pa.int64())), pa.array(sig, pa.binary())], names=[id_col, "node", "fp", "seeds", "sig"])
+                rows.append((xxhash.xxh64_intdigest(h.tobytes(), SEED), len(h), least[:SEEDS].view(np.int64).tolist() if len(h) else [], sig))
+            node, size, seeds, sig = zip(*rows) if rows else ((), (), (), ())
+            node = pa.array(np.array(node, dtype=np.uint64).view(np.int64))
+            yield pa.RecordBatch.from_arrays([b.column(0), node, pa.array(size, pa.int32()), pa.array(seeds, pa.list_(pa.int64())), pa.array(sig, pa.binary()), b.column(1)], names=[id_col, "node", "size", "seeds", "sig", "text"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(id_col, F.col(text_col).cast("binary").alias("__text")).mapInArrow(work, f"`{id_col}` {kind}, node long, fp long, seeds array<long>, sig binary")
+    return docs.select(id_col, F.col(text_col).cast("binary").alias("__text")).mapInArrow(work, f"`{id_col}` {kind}, node long, size int, seeds array<long>, sig binary, text binary")
 
 
-def link_similar(groups: list[np.ndarray], fps: np.ndarray, sigs: np.ndarray, similarity: float) -> list[tuple[int, int]]:
-    """A spanning forest of the similar pairs within each group of positions.
+def proposed(size: np.ndarray, sigs: np.ndarray, seeds: np.ndarray, place: np.ndarray, similarity: float) -> np.ndarray:
+    """Of the texts of one key: which have a partner that may be similar.
 
-    Pairs that are linked already are not looked at; rows are taken in growing blocks, so a
-    large group of near copies is one tree after its first rows.
+    place: the key's number among the seeds, or -1. A pair that shares an earlier seed is
+    proposed there. A pair of two texts that are proposed already is not looked at, so a
+    large group of near copies is done after its first row.
     """
-    forest, bar = Forest(len(fps)), (similarity - SLACK) * SIGNATURE
+    n, bar = len(size), (similarity - SLACK) * SIGNATURE
+    order = np.argsort(size, kind="stable")
+    size, sigs, seeds, place = size[order], sigs[order], seeds[order], place[order]
+    ends = np.searchsorted(size, size / similarity + 1e-6, "right")
+    flag = np.zeros(n, bool)
+    for i in range(n - 1):
+        at = np.arange(i + 1, ends[i])
+        if flag[i]:
+            at = at[~flag[at]]
+        for k in range(0, len(at), 4096):
+            j = at[k : k + 4096]
+            j = j[(sigs[j] == sigs[i]).sum(axis=1) >= bar]
+            if len(j) and (p := place[i]) > 0:
+                j = j[(place[j] < 0) | (seeds[j, :p] != seeds[i, :p]).all(axis=1)]
+            if len(j):
+                flag[i] = flag[j] = True
+    out = np.zeros(n, bool)
+    out[order] = flag
+    return out
+
+
+def link_similar(groups: list[np.ndarray], sets: list[np.ndarray], similarity: float) -> list[tuple[int, int]]:
+    """A spanning forest of the pairs within each group of positions whose sets have at least the similarity.
+
+    Pairs that are linked already are not looked at.
+    """
+    forest = Forest(len(sets))
+    size = np.array([len(s) for s in sets])
+    starts = np.concatenate([[0], np.cumsum(size)])
+    names, flat = np.unique(np.concatenate(sets), return_inverse=True) if sets else (np.zeros(0), np.zeros(0, np.int64))
+    own = np.zeros(len(names), bool)
     for at in groups:
-        i, block = 0, 1
-        while i < len(at) - 1:
-            own = at[i : i + block]
-            roots = np.array([forest.root(x) for x in at.tolist()])
-            rows, cols = np.nonzero(roots[i : i + block][:, None] != roots[None, :])
-            for k in range(0, len(rows), 1 << 14):
-                a, b = own[rows[k : k + (1 << 14)]], at[cols[k : k + (1 << 14)]]
-                good = (sigs[a] == sigs[b]).sum(axis=1) >= bar
-                for x, y in zip(a[good].tolist(), b[good].tolist()):
-                    forest.link(x, y)
-            i, block = i + block, min(128, 2 * block)
+        at = at[np.argsort(size[at], kind="stable")]
+        ends = np.searchsorted(size[at], size[at] / similarity + 1e-6, "right")
+        label = np.array([forest.root(x) for x in at.tolist()])
+        for i in range(len(at) - 1):
+            near = i + 1 + np.nonzero(label[i + 1 : ends[i]] != label[i])[0]
+            if not len(near):
+                continue
+            x = at[i]
+            mine = flat[starts[x] : starts[x + 1]]
+            own[mine] = True
+            for j in near.tolist():
+                if label[j] != label[i]:
+                    y = at[j]
+                    both = np.count_nonzero(own[flat[starts[y] : starts[y + 1]]])
+                    if both and both / (size[x] + size[y] - both) >= similarity:
+                        forest.link(int(x), int(y))
+                        label[label == label[j]] = label[i]
+            own[mine] = False
     return forest.edges
 
 
+def _groups(key: np.ndarray) -> list[np.ndarray]:
+    """Positions of each key that more than one row has."""
+    order = np.argsort(key, kind="stable")
+    cuts = np.nonzero(np.diff(key[order]))[0] + 1
+    return [g for g in np.split(order, cuts) if len(g) > 1]
+
+
+def shard_keys(nodes: DataFrame) -> DataFrame:
+    """node, size, seeds, sig, row -> the same with key, place (number of the seed that is the key, or -1).
+
+    A seed that more than HOT_SEED texts share is split by pairs of seeds.
+    """
+    each = nodes.select("*", F.posexplode("seeds").alias("place", "key"))
+    hot = materialise(each.groupBy("key").agg(F.count("*").alias("c")).where(F.col("c") > HOT_SEED).select("key"), "sketch-hot")
+    if not hot.count():
+        return each
+    split = each.join(hot, "key", "left_semi").select(*nodes.columns, F.lit(-1).alias("place"), F.col("key").alias("hot")).select(*nodes.columns, "place", F.explode(F.transform("seeds", lambda x: F.xxhash64(x, "hot"))).alias("key"))
+    return each.join(hot, "key", "left_anti").select(*nodes.columns, "place", "key").unionAll(split)
+
+
 def similar_components(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """id_col, node, component_id (the least id reachable over links of at least ``similarity``)."""
     spark = docs.sparkSession
-    prints = materialise(sketches(docs, shingle, id_col, text_col), "sketches")
-    nodes = materialise(prints.groupBy("node").agg(F.min(id_col).alias("least"), F.first("fp").alias("fp"), F.first("seeds").alias("seeds"), F.first("sig").alias("sig")), "sketch-nodes")
+    prints = materialise(sketches(docs, shingle, id_col, text_col).withColumn("row", F.monotonically_increasing_id()), "sketches")
+    nodes = materialise(prints.groupBy("node").agg(F.min(id_col).alias("least"), F.min("row").alias("row"), F.first("size").alias("size"), F.first("seeds").alias("seeds"), F.first("sig").alias("sig")), "sketch-nodes")
     n = nodes.count()
-    each = nodes.select("node", "fp", "seeds", "sig", F.explode(F.array_distinct("seeds")).alias("seed"))
-    hot = materialise(each.groupBy("seed").agg(F.count("*").alias("c")).where(F.col("c") > HOT_SEED).select("seed"), "sketch-hot")
-    if hot.count():
-        twice = F.explode(F.transform("seeds", lambda x: F.xxhash64(x, "seed")))
-        split = each.join(hot, "seed", "left_semi").select("node", "fp", "sig", twice.alias("seed"))
-        each = each.join(hot, "seed", "left_anti").select("node", "fp", "sig", "seed").unionAll(split)
+    shuffles = int(spark.conf.get("spark.sql.shuffle.partitions"))
+
+    def propose(table: pa.Table) -> pa.Table:
+        key, size, place = (table.column(c).to_numpy() for c in ("key", "size", "place"))
+        sigs = np.frombuffer(b"".join(table.column("sig").to_pylist()), np.uint8).reshape(-1, SIGNATURE)
+        seeds = table.column("seeds").combine_chunks().flatten().to_numpy().reshape(-1, SEEDS)
+        found = np.zeros(len(key), bool)
+        for at in _groups(key):
+            found[at] = proposed(size[at], sigs[at], seeds[at], place[at], similarity)
+        return table.select(["node", "row", "key"]).filter(pa.array(found))
 
     def solve(table: pa.Table) -> pa.Table:
-        seed, node = table.column("seed").to_numpy(), table.column("node").to_numpy()
-        names, of = np.unique(node, return_inverse=True)
-        first = np.zeros(len(names), np.int64)
-        first[of] = np.arange(len(node))
-        sig = table.column("sig").combine_chunks().take(pa.array(first))
-        fps = table.column("fp").to_numpy()[first].view(np.uint64)
-        sigs = np.frombuffer(b"".join(sig.to_pylist()), np.uint8).reshape(len(names), SIGNATURE)
-        order = np.argsort(seed, kind="stable")
-        cuts = np.nonzero(np.diff(seed[order]))[0] + 1
-        groups = [np.unique(of[g]) for g in np.split(order, cuts) if len(g) > 1]
-        edges = np.array(link_similar(groups, fps, sigs, similarity), dtype=np.int64).reshape(-1, 2)
+        node = table.column("node").to_numpy()
+        names, first, of = np.unique(node, return_index=True, return_inverse=True)
+        sets = [shingle_set(t.as_py(), shingle) for t in table.column("text").take(pa.array(first))]
+        groups = [np.unique(of[g]) for g in _groups(table.column("key").to_numpy())]
+        edges = np.array(link_similar(groups, sets, similarity), dtype=np.int64).reshape(-1, 2)
         return pa.table({"u": pa.array(names[edges[:, 0]], pa.int64()), "v": pa.array(names[edges[:, 1]], pa.int64())})
 
-    buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-n * SEEDS // 20_000))
-    edges = each.select("node", "fp", "sig", "seed", F.pmod(F.xxhash64("seed"), F.lit(buckets)).alias("b")).groupBy("b").applyInArrow(solve, "u long, v long")
+    bucket = lambda most: F.pmod(F.xxhash64("key"), F.lit(max(shuffles, most))).alias("b")
+    each = shard_keys(nodes.select("node", "row", "size", "seeds", "sig"))
+    asked = each.select("node", "row", "size", "sig", "seeds", "place", "key", bucket(-(-n * SEEDS // 20_000))).groupBy("b").applyInArrow(propose, "node long, row long, key long")
+    asked = materialise(asked, "sketch-proposed")
+    texts = asked.join(prints.select("row", "text"), "row").select("node", "key", "text", bucket(-(-asked.count() // SHARD_TEXTS)))
+    edges = texts.groupBy("b").applyInArrow(solve, "u long, v long")
     roots = components(edges)
     named = nodes.select("node", "least").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     heads = least_by(named, "root", "least", "component_id")

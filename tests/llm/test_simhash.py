@@ -129,6 +129,18 @@ def test_odd_inputs(spark):
     assert simhash.near_duplicate_components(docs.limit(0)).collect() == []
 
 
+def test_similarity_is_exact(spark):
+    rng = random.Random(17)
+    texts = []
+    for i in range(400):  # pairs at 800 of 1000 and at 799 of 1001 shingles
+        same = 804 if i % 2 else 803
+        for _ in range(2):
+            texts.append(" ".join([f"w{i}a{k}" for k in range(same)] + [f"x{rng.getrandbits(60)}" for _ in range(904 - same)]))
+    want = {k: k - 1 if k % 2 and k // 2 % 2 else k for k in range(len(texts))}
+    assert plain_similarity(texts[2], texts[3]) == 0.8 and 0.798 < plain_similarity(texts[0], texts[1]) < 0.8
+    assert {r.doc_id: r.component_id for r in simhash.similar_components(docs_frame(spark, texts)).collect()} == want
+
+
 def test_unequal_repeats(spark):
     rng = random.Random(23)
     texts = []
