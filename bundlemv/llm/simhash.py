@@ -218,8 +218,10 @@ def near_duplicate_components(docs: DataFrame, reach: int = 2, shingle: int = 3,
 SEEDS = 8
 #: Least values in a signature, a byte each; the estimate's deviation at 0.8 is 0.035, so the bar for proposals stands six below.
 SIGNATURE, SLACK = 128, 0.215
-#: A seed with more texts is split by pairs of seeds.
+#: A seed with more texts is left out; its texts get further keys.
 HOT_SEED = 20_000
+#: A further key is so many bytes of the signature: 1 - 0.59 ** 30 of the pairs at similarity 0.8 share one.
+BAND = 4
 #: Texts that meet in a task, about, with their shingles.
 SHARD_TEXTS = 2000
 _MIX = np.random.default_rng(31).integers(1, 2**63, SIGNATURE, dtype=np.int64).astype(np.uint64) * np.uint64(2) + np.uint64(1)
@@ -328,14 +330,27 @@ def _groups(key: np.ndarray) -> list[np.ndarray]:
 def shard_keys(nodes: DataFrame) -> DataFrame:
     """node, size, seeds, sig, row -> the same with key, place (number of the seed that is the key, or -1).
 
-    A seed that more than HOT_SEED texts share is split by pairs of seeds.
+    A seed that more than HOT_SEED texts share is no key. Each text that has one gets bands
+    of its signature as further keys: texts that share a passage and little else rarely share
+    a band. Texts of a band that is as frequent are dealt to parts, and each two parts meet.
     """
     each = nodes.select("*", F.posexplode("seeds").alias("place", "key"))
     hot = materialise(each.groupBy("key").agg(F.count("*").alias("c")).where(F.col("c") > HOT_SEED).select("key"), "sketch-hot")
     if not hot.count():
         return each
-    split = each.join(hot, "key", "left_semi").select(*nodes.columns, F.lit(-1).alias("place"), F.col("key").alias("hot")).select(*nodes.columns, "place", F.explode(F.transform("seeds", lambda x: F.xxhash64(x, "hot"))).alias("key"))
-    return each.join(hot, "key", "left_anti").select(*nodes.columns, "place", "key").unionAll(split)
+    of_hot = materialise(each.join(hot, "key", "left_semi").select("node").distinct(), "sketch-hot-nodes")
+    first, bands = SEEDS, (SIGNATURE - SEEDS) // BAND
+    band = F.explode(F.array(*[F.xxhash64(F.lit(j), F.substring("sig", first + BAND * j + 1, BAND)) for j in range(bands)]))
+    banded = nodes.join(of_hot, "node", "left_semi").select("*", F.lit(-1).alias("place"), band.alias("key"))
+    counts = materialise(banded.groupBy("key").agg(F.count("*").alias("c")).where(F.col("c") > HOT_SEED), "sketch-hot-bands")
+    parts = F.ceil(F.col("c") * 4 / HOT_SEED).cast("int")
+    mine = F.pmod(F.xxhash64("node"), parts).cast("int")
+    met = F.explode(F.transform(F.sequence(F.lit(0), parts - 1), lambda o: F.xxhash64("key", F.least(o, mine), F.greatest(o, mine))))
+    dealt = banded.join(counts, "key").select(*nodes.columns, "place", met.alias("key"))
+    calm = each.join(hot, "key", "left_anti")
+    same = [*nodes.columns, "place", "key"]
+    out = calm.join(of_hot, "node", "left_anti").select(same).unionAll(calm.join(of_hot, "node", "left_semi").withColumn("place", F.lit(-1)).select(same))
+    return out.unionAll(banded.join(counts, "key", "left_anti").select(same)).unionAll(dealt.select(same))
 
 
 def similar_components(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -152,3 +152,20 @@ def test_unequal_repeats(spark):
     assert any((simhash.text_fingerprint(a.encode(), 5) ^ simhash.text_fingerprint(b.encode(), 5)).bit_count() > 20 for a, b in pairs)
     got = {r.doc_id: r.component_id for r in simhash.similar_components(docs_frame(spark, texts)).collect()}
     assert got == {k: k - k % 2 for k in range(len(texts))}
+
+
+def test_hot_seed_is_no_key(spark, monkeypatch):
+    monkeypatch.setattr(simhash, "HOT_SEED", 40)
+    rng = random.Random(29)
+    passage = " ".join(f"p{k}" for k in range(60))
+    texts = []
+    for i in range(100):  # pairs of near copies that all share a passage
+        words = [f"q{rng.getrandbits(60)}" for _ in range(60)]
+        texts += [passage + " " + " ".join(words), passage + " " + " ".join(words[:58] + ["end"])]
+    got = {r.doc_id: r.component_id for r in simhash.similar_components(docs_frame(spark, texts)).collect()}
+    assert got == {k: k - k % 2 for k in range(len(texts))}
+    prints = simhash.sketches(docs_frame(spark, texts), 5, "doc_id", "text").withColumn("row", simhash.F.monotonically_increasing_id())
+    keys = simhash.shard_keys(prints.select("node", "row", "size", "seeds", "sig"))
+    assert max(r["count"] for r in keys.groupBy("key").count().collect()) <= 40
+    copies = [f"{' '.join(f's{k}' for k in range(100))} t{i}" for i in range(90)]  # bands are frequent, too
+    assert {r.component_id for r in simhash.similar_components(docs_frame(spark, copies)).collect()} == {0}
