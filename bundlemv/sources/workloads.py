@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -12,8 +14,8 @@ from bundlemv.sources.tables import load_table
 
 #: A total order of an order's lines.
 LINE_ORDER = ["l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice"]
-#: kNN compares all pairs, in blocks against one broadcast matrix; more vectors than this are refused.
-KNN_LIMIT = 20_000
+#: kNN holds so many broadcast vectors against so many rows at once.
+KNN_BLOCK, KNN_CHUNK = 4096, 1024
 
 
 def _pairs(rows: DataFrame, group: str, member: str) -> DataFrame:
@@ -118,29 +120,54 @@ def nation_trade(spark: SparkSession, sf_dir: str) -> Graph:
     return Graph(all_.groupBy("src", "dst").agg(F.round(F.sum("v"), 4).alias("weight")), t("nation").count())
 
 
-def knn(spark: SparkSession, sf_dir: str, k: int = 8) -> Graph:
-    """Vector to its k nearest by cosine, weighted by the cosine rounded to 6 places; ties to smaller ids."""
+def knn(spark: SparkSession, sf_dir: str, k: int = 8, block: int = KNN_BLOCK) -> Graph:
+    """Vector to its k nearest by cosine, weighted by the cosine rounded to 6 places; ties to smaller ids.
+
+    All pairs are compared: blocks of vectors are broadcast, each partition keeps the k
+    nearest of its rows, and a sort per vector merges them.
+    """
     rows = load_table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
     n = rows.count()
-    if n > KNN_LIMIT:
-        raise ValueError(f"{n} vectors; all pairs are compared up to {KNN_LIMIT}")
-    held = rows.orderBy("vec_id").toArrow().combine_chunks()
-    ids = held.column("vec_id").to_numpy()
-    x = held.column("embedding").chunk(0).flatten().to_numpy().astype(np.float64).reshape(n, -1)
-    x = x / np.sqrt((x**2).sum(1))[:, None]
-    block = spark.sparkContext.broadcast((ids, x))
-
-    def nearest(batches):
-        ids, x = block.value
-        for b in batches:
-            for v in b.column(0).to_numpy():
-                at = int(np.searchsorted(ids, v))
-                cos = np.round(x @ x[at], 6)
-                cos[at] = -np.inf
-                top = np.lexsort((ids, -cos))[:k]
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(top), v)), pa.array(ids[top]), pa.array(cos[top])], names=["src", "dst", "weight"])
-
-    return Graph(rows.select("vec_id").mapInArrow(nearest, "src long, dst long, weight double"), n)
+    blocks = max(1, -(-n // block))
+
+    def parts(t):
+        ids, x = t.column(0).to_numpy(), t.column(1).flatten().to_numpy().astype(np.float64).reshape(t.num_rows, -1)
+        return ids, x / np.sqrt((x**2).sum(1))[:, None]
+
+    def nearest(held):
+        def work(batches):
+            ids, q = held.value
+            own, dst, cos = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
+            worst = np.full(len(ids), -np.inf)
+            for b in batches:
+                for i in range(0, b.num_rows, KNN_CHUNK):
+                    to, x = parts(b.slice(i, KNN_CHUNK))
+                    c = np.round(q @ x.T, 6)
+                    c[ids[:, None] == to[None, :]] = -np.inf
+                    few = min(k, len(to))
+                    least = np.maximum(np.partition(c, -few, axis=1)[:, -few], worst)
+                    r, j = np.nonzero((c >= least[:, None]) & (c > -np.inf))
+                    own, dst, cos = np.concatenate([own, r]), np.concatenate([dst, to[j]]), np.concatenate([cos, c[r, j]])
+                    order = np.lexsort((dst, -cos, own))
+                    own, dst, cos = own[order], dst[order], cos[order]
+                    place = np.arange(len(own)) - np.searchsorted(own, own)
+                    own, dst, cos, place = (v[place < k] for v in (own, dst, cos, place))
+                    worst[own[place == k - 1]] = cos[place == k - 1]
+            yield pa.RecordBatch.from_arrays([pa.array(ids[own]), pa.array(dst), pa.array(cos)], names=["src", "dst", "weight"])
+
+        return work
+
+    found = []
+    for i in range(blocks):
+        mine = rows.where(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == i).toArrow().combine_chunks()
+        if mine.num_rows:
+            held = spark.sparkContext.broadcast(parts(mine.to_batches()[0]))
+            found.append(rows.mapInArrow(nearest(held), "src long, dst long, weight double"))
+    if not found:
+        return Graph(spark.createDataFrame([], "src long, dst long, weight double"), n)
+    order = Window.partitionBy("src").orderBy(F.desc("weight"), "dst")
+    best = reduce(DataFrame.unionAll, found).withColumn("r", F.row_number().over(order)).where(F.col("r") <= k)
+    return Graph(best.select("src", "dst", "weight"), n)
 
 
 def part_supplier(spark: SparkSession, sf_dir: str) -> Matrix:

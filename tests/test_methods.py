@@ -185,3 +185,28 @@ def test_results(spark):
     d = results.delta(a, b).first()
     assert np.allclose((d.l1, d.l2, d.largest), (0.5, np.sqrt(0.13), 0.3))
     assert results.mass(a).first().mass == pytest.approx(1.0)
+
+
+def test_knn_in_blocks(spark, tmp_path):
+    x = np.random.default_rng(4).integers(-3, 4, (300, 6)) + 0.5
+    spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>").repartition(5).write.parquet(f"{tmp_path}/embeddings.parquet")
+    unit = x / np.sqrt((x**2).sum(1))[:, None]
+    cos = np.round(unit @ unit.T, 6)
+    np.fill_diagonal(cos, -np.inf)
+    want = {(i, int(j)) for i in range(len(x)) for j in np.lexsort((np.arange(len(x)), -cos[i]))[:8]}
+    for block in (64, 4096):
+        got = wl.knn(spark, str(tmp_path), block=block).edges.collect()
+        assert len(got) == len(want) and {(r.src, r.dst) for r in got} == want
+
+
+def test_knn_takes_many_vectors(spark, tmp_path):
+    rows = spark.range(20_001).selectExpr("id as vec_id", "array(cos(id), sin(id)) as embedding")
+    rows.repartition(8).write.parquet(f"{tmp_path}/embeddings.parquet")
+    assert wl.knn(spark, str(tmp_path), k=1).edges.count() == 20_001
+
+
+def test_greedy_order_appends_the_rest(spark, monkeypatch):
+    g = wl.worked9(spark)
+    monkeypatch.setattr(labels, "GREEDY_LIMIT", 5)
+    perm = {r.old: r.new for r in labels.shared_parents(g).collect()}
+    assert sorted(perm.values()) == list(range(9)) and [perm[i] for i in range(5, 9)] == [5, 6, 7, 8]
