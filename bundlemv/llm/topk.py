@@ -5,7 +5,7 @@ score is the sum of its partial scores. Partial scores are counted from each lis
 value, so a part that is not seen is at least 0.
 
 1. Every partition gathers the best k partial scores of each list and the list's least
-   value. Their partial sums give, per query, the k-th best lower bound tau.
+   value. Their partial sums by row give, per query, the k-th best lower bound tau.
 2. The uniform cutoff tau / groups is broadcast for the block of queries. A row below it
    in every list cannot reach tau. Of the entries above it, only rows whose lower bound
    plus the cutoff for each unseen list reaches the k-th best score known stay.
@@ -29,6 +29,7 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -76,8 +77,11 @@ def _thresholds(rows: DataFrame, block, k: int, width: int, parts: list[slice],
     def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         n = len(block.value[0])
         least, best = np.full((n, groups), np.iinfo(np.int64).max), [BestLists(n, k, np.int64) for _ in parts]
+        at_row = TaskContext.get().partitionId() << 40  # names rows, as ids may repeat
         for b in chunks(batches):
-            ids, own, scores = _partial_scores(b, block.value, width, parts, number)
+            _, own, scores = _partial_scores(b, block.value, width, parts, number)
+            names = at_row + np.arange(b.num_rows)
+            at_row += b.num_rows
             for g, s in enumerate(scores):
                 least[:, g] = np.minimum(least[:, g], s.min(axis=1))
                 s[own] = np.iinfo(np.int64).min
@@ -86,25 +90,25 @@ def _thresholds(rows: DataFrame, block, k: int, width: int, parts: list[slice],
                 qi, col = np.repeat(np.arange(n), few), at.ravel()
                 val = s[qi, col]
                 good = (val > np.iinfo(np.int64).min) & (val >= best[g].worst[qi])
-                best[g].add(qi[good], ids[col[good]], val[good])
+                best[g].add(qi[good], names[col[good]], val[good])
         for g in range(groups):
-            q, ids, val = best[g].entries()
+            q, names, val = best[g].entries()
             known = np.nonzero(least[:, g] < np.iinfo(np.int64).max)[0]
             none = pa.nulls(len(known), pa.int64())
             yield pa.RecordBatch.from_arrays([
                 pa.array(np.concatenate([q, known]), pa.int32()), pa.array(np.full(len(q) + len(known), g), pa.int32()),
-                pa.concat_arrays([pa.array(ids, pa.int64()), none]), pa.concat_arrays([pa.array(val, pa.int64()), none]),
+                pa.concat_arrays([pa.array(names, pa.int64()), none]), pa.concat_arrays([pa.array(val, pa.int64()), none]),
                 pa.concat_arrays([pa.nulls(len(q), pa.int64()), pa.array(least[known, g], pa.int64())]),
-            ], names=["q", "g", "id", "s", "low"])
+            ], names=["q", "g", "row", "s", "low"])
 
-    sent = rows.mapInArrow(gather, "q int, g int, id long, s long, low long")
+    sent = rows.mapInArrow(gather, "q int, g int, row long, s long, low long")
     per_list = Window.partitionBy("q", "g")
     lists = (
         sent.withColumn("low", F.min("low").over(per_list))
-        .where("id is not null")
-        .withColumn("r", F.row_number().over(per_list.orderBy(F.desc("s"), "id"))).where(F.col("r") <= k)
+        .where("row is not null")
+        .withColumn("r", F.row_number().over(per_list.orderBy(F.desc("s"), "row"))).where(F.col("r") <= k)
     )
-    sums = lists.groupBy("q", "id").agg(F.sum(F.col("s") - F.col("low")).alias("lower"))
+    sums = lists.groupBy("q", "row").agg(F.sum(F.col("s") - F.col("low")).alias("lower"))
     taus = sums.withColumn("r", F.row_number().over(Window.partitionBy("q").orderBy(F.desc("lower")))).where(F.col("r") == k)
     told = lists.groupBy("q", "g").agg(F.min("low").alias("v")).unionAll(taus.select("q", F.lit(-1), F.col("lower").alias("v")))
     n = len(block.value[0])

@@ -90,3 +90,10 @@ def test_recall(spark, metric):
         hits += len({r.id for r in mine} & set(np.argsort(-score, kind="stable")[:20].tolist()))
         total += 20
     assert hits / total >= 0.95
+
+
+def test_repeated_ids(spark):
+    data = [(i, v) for i, v in ((1, [20, 0]), (2, [20, 0]), (3, [19, 19]), (4, [0, 20]), (5, [0, 20]), (6, [18, 18])) for _ in range(2)] + [(9, [0, 0])]
+    rows, queries = spark.createDataFrame(data, ROWS), spark.createDataFrame([(100, [1, 1])], ROWS)
+    got = sorted(map(tuple, topk.exact_top_k(rows, queries, 5).collect()))
+    assert [(r[2], r[3]) for r in got] == [(3, 38), (3, 38), (6, 36), (6, 36), (1, 20)]
