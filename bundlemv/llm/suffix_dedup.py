@@ -18,11 +18,17 @@ merges with the full low levels, like a carry in binary counting, so level i hol
 batches and each entry is rewritten about log(batches) times. Levels are written to the
 shared folder and serve later batches.
 
-Resolution. Stretches whose whole fingerprint matches are removed at once. Where only a
-part matches, the stretch's distinct contents are compared window by window, by 64-bit
+Resolution. A match of 64 bits only proposes: what is removed agrees in two independent
+fingerprints, 128 bits. Stretches that agree as a whole are removed at once. Where only a
+part matches, the stretch's distinct contents are compared window by window, by the
 fingerprints of all ``length`` bytes. Parts shared by very many contents go another way
 that aggregates per window before it shuffles, so a frequent passage is no hot group.
 
+Passages in words. ``length`` bytes may be more than a passage of 50 words has. The family
+therefore holds suffixes that start at words as well, cut to 32 words: of each 19 neighbours
+the one of least hash, so 50 words that stand in two rows share one. They remove nothing; they
+count, per row, the strings that another row has too (``n_shared``).
+
 Defined cases: null text is empty; texts shorter than ``length`` stay whole; repeated rows
 are copies of each other; null and repeated ids are told apart by their texts; an empty
 table gives an empty result.
@@ -35,6 +41,7 @@ from functools import lru_cache, reduce
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -51,10 +58,15 @@ HOT = 4096
 FILTER_BITS = 1 << 27
 #: Texts are fingerprinted in slabs of so many bytes, which overlap by a window.
 SLAB = 1 << 20
+#: Words of a passage and of the strings that are drawn from it (a power of two).
+PASSAGE, STRING = 50, 32
+#: Words are hashed in blocks of so many, which overlap by a passage.
+BLOCK = 1 << 16
 
 _U = np.uint64
 _BASE = 0x9E3779B97F4A7C15
-_LETTER = np.random.default_rng(20).integers(0, 2**63, 256, dtype=np.int64).astype(_U) * _U(2) + _U(1)
+_LETTERS = [np.random.default_rng(seed).integers(0, 2**63, 256, dtype=np.int64).astype(_U) * _U(2) + _U(1) for seed in (20, 21)]
+_SOLID = np.array([b not in b" \t\n\v\f\r" for b in range(256)])
 ARRAY = "bucket int, level int, keys binary, vals binary"
 
 
@@ -71,18 +83,21 @@ def _powers() -> tuple[np.ndarray, np.ndarray]:
 
 
 class Fingerprints:
-    """Fingerprints of any substring of a slab, from one running sum."""
+    """Fingerprints of any substring of a slab, from one running sum; ``which`` names one of two independent kinds."""
 
-    def __init__(self, data: np.ndarray):
+    def __init__(self, data: np.ndarray, which: int = 0):
         up, self.down = _powers()
         self.sums = np.zeros(len(data) + 1, _U)
-        np.cumsum(_LETTER[data] * up[: len(data)], out=self.sums[1:])
+        np.cumsum(_LETTERS[which][data] * up[: len(data)], out=self.sums[1:])
 
     def of(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-        h = (self.sums[end] - self.sums[start]) * self.down[start]
-        h ^= h >> _U(32)
-        h *= _U(0xD6E8FEB86659FD93)
-        return h ^ (h >> _U(29))
+        return _mixed((self.sums[end] - self.sums[start]) * self.down[start])
+
+
+def _mixed(h: np.ndarray) -> np.ndarray:
+    h ^= h >> _U(32)
+    h *= _U(0xD6E8FEB86659FD93)
+    return h ^ (h >> _U(29))
 
 
 def _sliding_least(x: np.ndarray, w: int) -> np.ndarray:
@@ -114,10 +129,32 @@ def quarters(length: int) -> list[tuple[int, int]]:
     return [(a, b - 1) for a, b in zip(edges, edges[1:])]
 
 
-def suffixes(data: bytes, length: int) -> Iterator[tuple[np.ndarray, ...]]:
-    """Per slab and kind: (kind, keys, contents, first window, last window); windows by place in the text.
-
-    Kind 0 is the whole stretch (odd keys), kinds 1 to 4 are the quarters (even keys).
+def word_strings(data: bytes) -> np.ndarray:
+    """Distinct odd keys of the strings of STRING words that have the least hash among the strings of a passage."""
+    raw = np.frombuffer(data, np.uint8)
+    edge = np.flatnonzero(np.diff(np.concatenate([[False], _SOLID[raw], [False]])))
+    first, end = edge[::2], edge[1::2]
+    up, found = _powers()[0], [np.zeros(0, _U)]
+    for a in range(0, len(first) - PASSAGE + 1, BLOCK):
+        starts = first[a : a + BLOCK + PASSAGE - 1]
+        at, stop = starts - starts[0], int(end[a : a + BLOCK + PASSAGE - 1][-1])
+        piece = raw[starts[0] : stop]
+        place = np.arange(len(piece)) - np.repeat(at, np.diff(np.append(at, len(piece))))
+        h = _mixed(np.add.reduceat(_LETTERS[0][piece] * up[place % SLAB] * _SOLID[piece], at))
+        w = 1
+        while w < STRING:
+            h, w = h[:-w] * _U(pow(_BASE, w, 1 << 64)) + h[w:], 2 * w
+        h = _mixed(h)
+        keyed = (h >> _U(24) << _U(24)) | np.arange(len(h), dtype=_U)
+        found.append(h[np.unique(_sliding_least(keyed, PASSAGE - STRING + 1) & _U(0xFFFFFF)).astype(np.int64)] | _U(1))
+    return np.unique(np.concatenate(found))
+
+
+def suffixes(data: bytes, length: int, checked: bool = False) -> Iterator[tuple[np.ndarray, ...]]:
+    """Per slab and kind: (kind, keys, contents, first window, last window, check of the content); windows by place in the text.
+
+    Kind 0 is the whole stretch (odd keys), kinds 1 to 4 are the quarters (even keys). Without
+    ``checked`` the check, the content's other fingerprint, is 0.
     """
     for at in range(0, max(1, len(data) - length + 1), SLAB):
         piece = np.frombuffer(data, np.uint8)[at : at + SLAB + length - 1]
@@ -128,19 +165,20 @@ def suffixes(data: bytes, length: int) -> Iterator[tuple[np.ndarray, ...]]:
         first, last = np.concatenate([[0], cut]), np.concatenate([cut - 1, [len(place) - 1]])
         mark, prints = place[first], Fingerprints(piece)
         content = prints.of(first, last + length)
-        yield 0, content | _U(1), content, at + first, at + last
+        check = Fingerprints(piece, 1).of(first, last + length) if checked else np.zeros_like(content)
+        yield 0, content | _U(1), content, at + first, at + last, check
         for kind, (near, far) in enumerate(quarters(length), 1):
             lo, hi = np.maximum(first, mark - far), np.minimum(last, mark - near)
             some = lo <= hi
             key = prints.of(mark[some] - near, mark[some] - far + length) * _U(2 * kind + 1)
-            yield kind, key & ~_U(1), content[some], at + lo[some], at + hi[some]
+            yield kind, key & ~_U(1), content[some], at + lo[some], at + hi[some], check[some]
 
 
 # --- arrays -------------------------------------------------------------------
 
 
 def fold(keys: np.ndarray, vals: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Sorted distinct keys; a key's value, or 0 for different values or for a whole stretch that occurs again."""
+    """Sorted distinct keys; a key's value, or 0 for different values or for an odd key (a whole stretch, a string of words) that occurs again."""
     order = np.argsort(keys, kind="stable")
     keys, vals = keys[order], vals[order]
     first = np.nonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))[0] if len(keys) else np.zeros(0, np.int64)
@@ -171,10 +209,14 @@ def batch_array(docs: DataFrame, buckets: int, length: int, text_col: str) -> Da
         keys, vals, held = [], [], 0
         for b in batches:
             for t in b.column(0):
-                for kind, key, content, _, _ in suffixes(t.as_py() or b"", length):
+                data = t.as_py() or b""
+                for kind, key, content, *_ in suffixes(data, length):
                     keys.append(key)
                     vals.append(np.ones(len(key), _U) if kind == 0 else content | _U(1))
                     held += len(key)
+                keys.append(word_strings(data))
+                vals.append(np.ones(len(keys[-1]), _U))
+                held += len(keys[-1])
                 if held > 1 << 20:
                     yield runs(keys, vals)
                     keys, vals, held = [], [], 0
@@ -264,32 +306,34 @@ def _may_hold(bits: np.ndarray, keys: np.ndarray) -> np.ndarray:
 
 
 def _places(docs: DataFrame, bits: np.ndarray, length: int) -> DataFrame:
-    """Suffixes of ``docs`` (__id, __print, __text) whose key may match: where they stand."""
+    """Suffixes of ``docs`` (__id, __print, __text) whose key may match: where they stand. Kind 5: strings of words, without a place."""
     held = docs.sparkSession.sparkContext.broadcast(bits)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             parts, of = [], []
             for i, t in enumerate(b.column(2)):
-                for kind, key, content, lo, hi in suffixes(t.as_py(), length):
+                words = word_strings(t.as_py())
+                none = np.zeros(len(words), np.int64)
+                for kind, key, content, lo, hi, check in [*suffixes(t.as_py(), length, True), (5, words, none, none, none, none)]:
                     some = np.nonzero(_may_hold(held.value, key))[0]
                     if len(some):
-                        parts.append((np.full(len(some), kind), key[some].view(np.int64), content[some].view(np.int64), lo[some], hi[some]))
+                        parts.append((np.full(len(some), kind), key[some].view(np.int64), content[some].view(np.int64), lo[some], hi[some], check[some].view(np.int64)))
                         of.append(np.full(len(some), i))
             if not parts:
                 continue
-            kind, key, content, lo, hi = (np.concatenate(x) for x in zip(*parts))
+            kind, key, content, lo, hi, check = (np.concatenate(x) for x in zip(*parts))
             at = pa.array(np.concatenate(of))
             yield pa.RecordBatch.from_arrays([
-                b.column(0).take(at), b.column(1).take(at), pa.array(kind, pa.int32()), pa.array(key), pa.array(content), pa.array(lo, pa.int32()), pa.array(hi, pa.int32()),
-            ], names=["__id", "__print", "kind", "key", "content", "lo", "hi"])
+                b.column(0).take(at), b.column(1).take(at), pa.array(kind, pa.int32()), pa.array(key), pa.array(content), pa.array(check), pa.array(lo, pa.int32()), pa.array(hi, pa.int32()),
+            ], names=["__id", "__print", "kind", "key", "content", "check", "lo", "hi"])
 
     kind = docs.schema["__id"].dataType.simpleString()
-    return docs.mapInArrow(work, f"__id {kind}, __print long, kind int, key long, content long, lo int, hi int")
+    return docs.mapInArrow(work, f"__id {kind}, __print long, kind int, key long, content long, check long, lo int, hi int")
 
 
 def _window_prints(reps: DataFrame, docs: DataFrame, length: int) -> DataFrame:
-    """key, kind, content, prints (the fingerprints of the windows lo to hi, packed)."""
+    """key, kind, content, check, prints, checks (the two fingerprints of the windows lo to hi, packed)."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -299,49 +343,53 @@ def _window_prints(reps: DataFrame, docs: DataFrame, length: int) -> DataFrame:
                 for r in ranges.as_py():
                     piece = data[r["lo"] : r["hi"] + length]
                     i = np.arange(len(piece) - length + 1)
-                    out.append((r["key"], r["kind"], r["content"], Fingerprints(piece).of(i, i + length).tobytes()))
+                    out.append((r["key"], r["kind"], r["content"], r["check"], *(Fingerprints(piece, w).of(i, i + length).tobytes() for w in (0, 1))))
             if out:
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), (pa.int64(), pa.int32(), pa.int64(), pa.binary()))], names=["key", "kind", "content", "prints"])
+                kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.binary(), pa.binary())
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], names=["key", "kind", "content", "check", "prints", "checks"])
 
-    ranges = reps.groupBy("__id", "__print").agg(F.collect_list(F.struct("key", "kind", "content", "lo", "hi")).alias("ranges"))  # within one text
+    ranges = reps.groupBy("__id", "__print").agg(F.collect_list(F.struct("key", "kind", "content", "check", "lo", "hi")).alias("ranges"))  # within one text
     both = docs.join(ranges, docs["__print"].eqNullSafe(ranges["__print"]) & docs["__id"].eqNullSafe(ranges["__id"]))
-    return both.select("__text", "ranges").mapInArrow(work, "key long, kind int, content long, prints binary")
+    return both.select("__text", "ranges").mapInArrow(work, "key long, kind int, content long, check long, prints binary, checks binary")
 
 
 def repeated_windows(reps: DataFrame, docs: DataFrame, buckets: int, length: int, hot: int = HOT) -> DataFrame:
-    """kind, content, runs array<struct<i, j>>: windows, counted from the first, that another content has as well."""
-    schema = "kind int, content long, runs array<struct<i: int, j: int>>"
+    """kind, content, check, runs array<struct<i, j>>: windows, counted from the first, that another content has as well."""
+    schema = "kind int, content long, check long, runs array<struct<i: int, j: int>>"
+    runs_type = pa.list_(pa.struct([("i", pa.int32()), ("j", pa.int32())]))
 
     def runs_of(flags: np.ndarray) -> list[dict]:
         edge = np.diff(np.concatenate([[0], flags.astype(np.int8), [0]]))
         return [{"i": int(a), "j": int(b) - 1} for a, b in zip(np.nonzero(edge == 1)[0], np.nonzero(edge == -1)[0])]
 
     def solve(table: pa.Table) -> pa.Table:
-        kind, content = table.column("kind").to_numpy(), table.column("content").to_numpy()
-        packed = [np.frombuffer(x, _U) for x in table.column("prints").to_pylist()]
-        size = np.array([len(x) for x in packed])
-        flat = np.concatenate(packed)
-        differs = shared_by_others(flat, np.repeat(content, size))
-        cuts = np.cumsum(size)[:-1]
-        found = [(k, c, r) for k, c, f in zip(kind.tolist(), content.tolist(), np.split(differs, cuts)) if (r := runs_of(f))]
-        k, c, r = zip(*found) if found else ((), (), ())
-        return pa.table({"kind": pa.array(k, pa.int32()), "content": pa.array(c, pa.int64()), "runs": pa.array(r, pa.list_(pa.struct([("i", pa.int32()), ("j", pa.int32())])))})
+        kind, content, check = (table.column(c).to_numpy() for c in ("kind", "content", "check"))
+        packed = [[np.frombuffer(x, _U) for x in table.column(c).to_pylist()] for c in ("prints", "checks")]
+        size = np.array([len(x) for x in packed[0]])
+        _, name = np.unique(np.stack([content, check]), axis=1, return_inverse=True)
+        differs = shared_by_others(np.concatenate(packed[0]), np.concatenate(packed[1]), np.repeat(name.ravel(), size))
+        found = [(k, c, h, r) for k, c, h, f in zip(kind.tolist(), content.tolist(), check.tolist(), np.split(differs, np.cumsum(size)[:-1])) if (r := runs_of(f))]
+        columns = zip(*found) if found else ((), (), (), ())
+        return pa.table([pa.array(x, t) for x, t in zip(columns, (pa.int32(), pa.int64(), pa.int64(), runs_type))], names=["kind", "content", "check", "runs"])
 
     def explode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for kind, content, x in zip(b.column(0), b.column(1), b.column(2)):
+            for kind, content, check, x, y in zip(*(b.column(i) for i in range(5))):
                 w = np.frombuffer(x.as_py(), np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(w), pa.array(np.full(len(w), kind.as_py()), pa.int32()), pa.array(np.full(len(w), content.as_py())), pa.array(np.arange(len(w)), pa.int32())], names=["w", "kind", "content", "i"])
+                same = lambda v, t: pa.array(np.full(len(w), v.as_py()), t)  # noqa: E731, B023
+                yield pa.RecordBatch.from_arrays([
+                    pa.array(w), pa.array(np.frombuffer(y.as_py(), np.int64)), same(kind, pa.int32()), same(content, pa.int64()), same(check, pa.int64()), pa.array(np.arange(len(w)), pa.int32()),
+                ], names=["w", "w2", "kind", "content", "check", "i"])
 
     def join_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             out = []
-            for x in b.column(2):
+            for x in b.column(3):
                 i = np.array(x.as_py())
                 flags = np.zeros(i.max() + 1, bool)
                 flags[i] = True
                 out.append(runs_of(flags))
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(out, pa.list_(pa.struct([("i", pa.int32()), ("j", pa.int32())])))], names=["kind", "content", "runs"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), pa.array(out, runs_type)], names=["kind", "content", "check", "runs"])
 
     reps = materialise(reps, "suffix-parts")
     many = reps.groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > hot).select("key")
@@ -352,17 +400,18 @@ def repeated_windows(reps: DataFrame, docs: DataFrame, buckets: int, length: int
     if not some:
         return plain
     prints = _window_prints(reps.join(many, "key", "left_semi"), docs, length)
-    rows = prints.select("kind", "content", "prints").mapInArrow(explode, "w long, kind int, content long, i int")
-    twice = rows.groupBy("w").agg(F.min("content").alias("a"), F.max("content").alias("b")).where("a <> b").select("w")
-    marked = rows.join(twice, "w", "left_semi").groupBy("kind", "content").agg(F.collect_set("i").alias("i"))  # at most a quarter's windows
+    rows = prints.select("kind", "content", "check", "prints", "checks").mapInArrow(explode, "w long, w2 long, kind int, content long, check long, i int")
+    spread = rows.groupBy("w", "w2").agg(F.min("content").alias("a"), F.max("content").alias("b"), F.min("check").alias("c"), F.max("check").alias("d"))
+    twice = spread.where("a <> b or c <> d").select("w", "w2")
+    marked = rows.join(twice, ["w", "w2"], "left_semi").groupBy("kind", "content", "check").agg(F.collect_set("i").alias("i"))  # at most a quarter's windows
     return plain.unionAll(marked.mapInArrow(join_runs, schema))
 
 
-def shared_by_others(keys: np.ndarray, vals: np.ndarray) -> np.ndarray:
-    """Whether each entry's key occurs with another value as well."""
-    order = np.argsort(keys, kind="stable")
-    k, v = keys[order], vals[order]
-    first = np.nonzero(np.concatenate([[True], k[1:] != k[:-1]]))[0]
+def shared_by_others(keys: np.ndarray, checks: np.ndarray, names: np.ndarray) -> np.ndarray:
+    """Whether each entry's key and check occur with another name as well."""
+    order = np.lexsort((checks, keys))
+    k, h, v = keys[order], checks[order], names[order]
+    first = np.nonzero(np.concatenate([[True], (k[1:] != k[:-1]) | (h[1:] != h[:-1])]))[0]
     differs = np.minimum.reduceat(v, first) != np.maximum.reduceat(v, first)
     out = np.zeros(len(keys), bool)
     out[order] = np.repeat(differs, np.diff(np.append(first, len(k))))
@@ -370,7 +419,7 @@ def shared_by_others(keys: np.ndarray, vals: np.ndarray) -> np.ndarray:
 
 
 def repeated_spans(docs: DataFrame, batches: int = BATCHES, length: int = LENGTH, id_col: str = "doc_id", text_col: str = "text", hot: int = HOT) -> tuple[DataFrame, DataFrame]:
-    """(docs as __id, __print, __text; spans as __id, __print, spans array<struct<lo, hi>>), for texts with repeated windows."""
+    """(docs as __id, __print, __text; spans as __id, __print, spans array<struct<lo, hi>>, n_shared), for texts that repeat something."""
     spark = docs.sparkSession
     text = F.coalesce(F.col(text_col).cast("binary"), F.lit(b""))
     named = docs.select(F.col(id_col).alias("__id"), F.xxhash64(text).alias("__print"), text.alias("__text"))
@@ -381,15 +430,21 @@ def repeated_spans(docs: DataFrame, batches: int = BATCHES, length: int = LENGTH
     keys = materialise(family.matches(), "suffix-keys")
     places = _places(named, _key_filter(keys, keys.count()), length).join(keys, "key", "left_semi")
     places = materialise(places, "suffix-places")
-    whole = places.where("kind = 0").select("__id", "__print", "lo", "hi")
-    parts = places.where("kind > 0")
-    reps = parts.groupBy("key", "kind", "content").agg(F.min(F.struct("__id", "__print", "lo", "hi")).alias("r")).select("key", "kind", "content", "r.*")
+    # the count is grouped by one key more than the join's, so that the join deals both sides anew and can split a hot stretch
+    whole = places.where("kind = 0")
+    twice = whole.groupBy("key", "check", F.pmod(F.hash("key"), F.lit(2)).alias("half")).agg(F.count("*").alias("n")).where("n > 1").select("key", "check")
+    whole = whole.join(twice, ["key", "check"], "left_semi").select("__id", "__print", "lo", "hi")
+    parts = places.where("kind between 1 and 4")
+    reps = parts.groupBy("key", "kind", "content", "check").agg(F.min(F.struct("__id", "__print", "lo", "hi")).alias("r")).select("key", "kind", "content", "check", "r.*")
     # not written out: the texts dealt for the windows here are dealt for the spans below as well, and Spark reuses them
     runs = repeated_windows(reps, named, family.buckets, length, hot)
-    # repeated rows give repeated runs; grouped by one key more than the join's, so that the join deals both sides anew and can split a hot content
-    runs = runs.groupBy("kind", "content", F.size("runs").alias("n")).agg(F.first("runs").alias("runs"))
-    partial = parts.join(runs, ["kind", "content"]).select("__id", "__print", "lo", F.explode("runs").alias("r")).select("__id", "__print", (F.col("lo") + F.col("r.i")).alias("lo"), (F.col("lo") + F.col("r.j")).alias("hi"))
-    spans = whole.unionAll(partial).groupBy("__id", "__print").agg(F.collect_list(F.struct("lo", "hi")).alias("spans"))  # within one text
+    # repeated rows give repeated runs; grouped by one key more than the join's, as above
+    runs = runs.groupBy("kind", "content", "check", F.size("runs").alias("n")).agg(F.first("runs").alias("runs"))
+    partial = parts.join(runs, ["kind", "content", "check"]).select("__id", "__print", "lo", F.explode("runs").alias("r")).select("__id", "__print", (F.col("lo") + F.col("r.i")).alias("lo"), (F.col("lo") + F.col("r.j")).alias("hi"))
+    spans = whole.unionAll(partial).select("*", F.lit(None).cast("long").alias("string"))
+    strings = places.where("kind = 5").select("__id", "__print", F.lit(None).cast("int").alias("lo"), F.lit(None).cast("int").alias("hi"), F.col("key").alias("string"))
+    both = spans.unionAll(strings).groupBy("__id", "__print")
+    spans = both.agg(F.collect_list(F.when(F.col("lo").isNotNull(), F.struct("lo", "hi"))).alias("spans"), F.size(F.collect_set("string")).cast("long").alias("n_shared"))  # within one text
     return named, spans
 
 
@@ -402,13 +457,13 @@ def union_of(lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def deduplicated(docs: DataFrame, batches: int = BATCHES, length: int = LENGTH, id_col: str = "doc_id", text_col: str = "text", hot: int = HOT) -> DataFrame:
-    """id_col, n_bytes, removed array<struct<start, end>> (byte places), kept binary."""
+    """id_col, n_bytes, removed array<struct<start, end>> (byte places), kept binary, n_shared (strings of words that another row has)."""
     named, spans = repeated_spans(docs, batches, length, id_col, text_col, hot)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kind = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
         for b in batches:
-            size, removed, kept = [], [], []
+            size, removed, kept, shared = [], [], [], pc.fill_null(b.column(3), 0)
             for t, s in zip(b.column(1), b.column(2)):
                 data, s = t.as_py(), s.as_py()
                 size.append(len(data))
@@ -419,11 +474,11 @@ def deduplicated(docs: DataFrame, batches: int = BATCHES, length: int = LENGTH,
                 lo, hi = union_of(np.array([x["lo"] for x in s]), np.array([x["hi"] for x in s]) + length)
                 removed.append([{"start": int(x), "end": int(y)} for x, y in zip(lo, hi)])
                 kept.append(b"".join([data[x:y] for x, y in zip([0, *hi.tolist()], [*lo.tolist(), len(data)])]))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(size, pa.int64()), pa.array(removed, kind), pa.array(kept, pa.binary())], names=[id_col, "n_bytes", "removed", "kept"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(size, pa.int64()), pa.array(removed, kind), pa.array(kept, pa.binary()), shared], names=[id_col, "n_bytes", "removed", "kept", "n_shared"])
 
     both = named.join(spans.withColumnsRenamed({"__id": "__sid", "__print": "__sprint"}), F.col("__print").eqNullSafe(F.col("__sprint")) & F.col("__id").eqNullSafe(F.col("__sid")), "left")
     kind = docs.schema[id_col].dataType.simpleString()
-    return both.select(F.col("__id").alias(id_col), "__text", "spans").mapInArrow(work, f"`{id_col}` {kind}, n_bytes long, removed array<struct<start: bigint, end: bigint>>, kept binary")
+    return both.select(F.col("__id").alias(id_col), "__text", "spans", "n_shared").mapInArrow(work, f"`{id_col}` {kind}, n_bytes long, removed array<struct<start: bigint, end: bigint>>, kept binary, n_shared long")
 
 
 def op2(spark, sf_dir):
@@ -431,4 +486,4 @@ def op2(spark, sf_dir):
 
     out = deduplicated(load_table(spark, sf_dir, "documents"))
     length = F.aggregate("removed", F.lit(0).cast("long"), lambda a, s: a + s["end"] - s["start"])
-    return out.select("doc_id", "n_bytes", length.alias("n_removed"), F.size("removed").cast("long").alias("n_spans"), F.sha2("kept", 256).alias("kept_sha256"))
+    return out.select("doc_id", "n_bytes", length.alias("n_removed"), F.size("removed").cast("long").alias("n_spans"), F.sha2("kept", 256).alias("kept_sha256"), "n_shared")

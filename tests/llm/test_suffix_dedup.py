@@ -65,7 +65,7 @@ def test_against_all_windows(spark, seed, hot, slab, monkeypatch):
         stretches = Counter()
         for t in data:
             covered = np.zeros(max(0, len(t) - 399), int)
-            for kind, _, _, lo, hi in sd.suffixes(t, 400):
+            for kind, _, _, lo, hi, _ in sd.suffixes(t, 400):
                 for a, b in zip(lo, hi):
                     if kind == 0:
                         covered[a : b + 1] += 1
@@ -99,6 +99,46 @@ def test_query_against_all_windows(spark, tiny):
     assert got == want and any(v[1] for v in want.values())
 
 
+def plain_strings(text):
+    """Per row the strings of 32 words with the least hash of 19 neighbours, as tuples."""
+    words, chosen = text.split(), set()
+    strings = [tuple(words[i : i + 32]) for i in range(len(words) - 31)]
+    for i in range(len(strings) - 18):
+        chosen.add(min(strings[i : i + 19], key=lambda s: one_hash(s)))
+    return chosen
+
+
+def one_hash(s, known={}):
+    """The hash by which a string of 32 words is chosen, with Python's integers."""
+    if s not in known:
+        word = lambda w: int(sd._mixed(np.array([sum(int(sd._LETTERS[0][b]) * pow(sd._BASE, i, 1 << 64) for i, b in enumerate(w)) % (1 << 64)], np.uint64))[0])
+        h = 0
+        for w in s:
+            h = (h * sd._BASE + word(w)) % (1 << 64)
+        known[s] = int(sd._mixed(np.array([h], np.uint64))[0])
+    return known[s] >> 24
+
+
+def test_passages_in_words(spark, monkeypatch):
+    rng = random.Random(7)
+    words = lambda n: " ".join(rng.choice("abcdefgh") * rng.randrange(1, 4) + str(rng.randrange(99)) for _ in range(n))
+    passage, line, blank = words(50), words(31), words(80)
+    texts = [words(rng.randrange(49, 200)) for _ in range(30)]
+    texts[3], texts[8] = texts[3] + " " + passage + "\n" + words(9), passage
+    texts[5], texts[9] = texts[5] + " " + line + " " + words(60), words(60) + "\n" + line
+    texts[11], texts[12] = blank, blank.replace(" ", "\n ")
+    texts[13] = " ".join([words(60)] * 3)  # repeats itself only
+    drawn = [plain_strings(t.encode()) for t in texts]
+    seen = Counter(s for x in drawn for s in x)
+    want = [sum(seen[s] > 1 for s in x) for x in drawn]
+    got = {r.doc_id: r.n_shared for r in sd.deduplicated(docs_frame(spark, texts)).collect()}
+    assert [got[i] for i in range(30)] == want
+    assert {i for i, n in enumerate(want) if n} == {3, 8, 11, 12}
+    whole = sd.word_strings(texts[3].encode())
+    monkeypatch.setattr(sd, "BLOCK", 7)
+    assert (sd.word_strings(texts[3].encode()) == whole).all()
+
+
 def test_odd_inputs(spark):
     long = "x y z " * 100
     texts = [*odd_texts()[:8], long, long, long]
