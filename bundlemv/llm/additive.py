@@ -7,10 +7,11 @@ A vector is coded as a sum of one word from each of ``books`` full-dimensional c
   squares fit of all words at once.
 * Every row is coded by beam search over the residuals and stored with its norms: that of
   its decoded vector (for distances) and that of what the code leaves out.
-* A query scores rows through one table of word scores per book. A row is reranked by its
-  exact score if its estimate, plus a margin from the stored remainder's norm, reaches the
-  k-th best exact score that the partition knows. The margin follows the remainder, so
-  tight clusters get long short lists and no row count is fixed.
+* A query scores rows through one table of word scores per book. First every partition
+  gives the k best estimates per query with their exact scores; the k-th best of those is
+  the query's bar. Then a row is reranked by its exact score if its estimate, plus a margin
+  from the stored remainder's norm, reaches the bar. The margin follows the remainder, so
+  tight clusters get long short lists and no row count is fixed; ``reranked`` counts them.
 
 Defined cases: rows with a null id or a vector that is null, zero or holds null or
 non-finite components take no part; shorter vectors end in zeros; a repeated row is a
@@ -26,7 +27,7 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from bundlemv.llm.vectors import BestLists, chunks, final_lists, finite, matrix, own_cells, query_blocks, width_of
@@ -37,8 +38,6 @@ SAMPLE = 8192
 BOOKS, WORDS, BEAM = 16, 128, 4
 #: Margin in standard deviations of an estimate whose remainder points anywhere.
 MARGIN = 3.0
-#: Pairs of a chunk that are reranked without narrowing them down first.
-FEW = 4096
 METRICS = ("inner_product", "euclidean")
 
 
@@ -127,64 +126,113 @@ def build_index(rows: DataFrame, books: int = BOOKS, words: int = WORDS, beam: i
 
 def search(index: AdditiveIndex | None, queries: DataFrame, k: int, metric: str = "inner_product", margin: float = MARGIN) -> DataFrame:
     """query_id, rank, id, score: inner product, or minus the squared distance; queries: id, v."""
-    spark = queries.sparkSession
-    if metric not in METRICS:
-        raise ValueError(f"metric is one of {METRICS}")
-    found = []
-    if index is not None:
-        for block in query_blocks(queries, index.width):
-            found.append(_search_block(index, spark.sparkContext.broadcast(block), k, metric, margin))
+    found = _found(index, queries, k, metric, margin)
     if not found:
-        return spark.createDataFrame([], "query_id long, rank int, id long, score double")
-    return final_lists(reduce(DataFrame.unionAll, found), k)
+        return queries.sparkSession.createDataFrame([], "query_id long, rank int, id long, score double")
+    return final_lists(reduce(DataFrame.unionAll, found).where("query_id is not null"), k)
 
 
-def _search_block(index: AdditiveIndex, block, k: int, metric: str, margin: float) -> DataFrame:
-    books, width, far = index.books, index.width, metric == "euclidean"
+def reranked(index: AdditiveIndex, queries: DataFrame, k: int, metric: str = "inner_product", margin: float = MARGIN) -> float:
+    """Share of all pairs of a query and a row whose exact score is taken in the search."""
+    found = reduce(DataFrame.unionAll, _found(index, queries, k, metric, margin))
+    taken = found.where("query_id is null").agg(F.sum("id")).first()[0] or 0
+    return taken / max(1, index.rows.count() * queries.select("id").distinct().count())
+
+
+def _found(index: AdditiveIndex | None, queries: DataFrame, k: int, metric: str, margin: float) -> list[DataFrame]:
+    """Per block of queries: query_id, id, score of the partitions' best; rows without a query_id count exact scores."""
+    if metric not in METRICS:
+        raise ValueError(f"metric is one of {METRICS}")
+    found = []
+    for block in query_blocks(queries, index.width) if index is not None else ():
+        held = queries.sparkSession.sparkContext.broadcast(block)
+        bars = queries.sparkSession.sparkContext.broadcast(_bars(index, held, k, metric, len(block[0])))
+        found.append(_search_block(index, held, bars, k, metric, margin))
+    return found
+
+
+class _Estimates:
+    """What a block of queries needs to score coded rows."""
+
+    def __init__(self, query_ids: np.ndarray, q: np.ndarray, books: np.ndarray, far: bool):
+        self.query_ids, self.q, self.far = query_ids, q, far
+        self.tables = [(q @ book.T).astype(np.float32) for book in books]
+        self.norm2 = (q**2).sum(1)
+        self.spread = np.sqrt(self.norm2 / books.shape[2]).astype(np.float32) * (2 if far else 1)
+
+    def of(self, b: pa.RecordBatch, ids: np.ndarray) -> np.ndarray:
+        """Queries x rows; minus infinity for a query's own id."""
+        codes = np.frombuffer(b"".join(b.column(2).to_pylist()), np.uint8).reshape(len(ids), -1)
+        guess = np.take(self.tables[0], codes[:, 0], axis=1)
+        for i, t in enumerate(self.tables[1:], 1):
+            guess += np.take(t, codes[:, i], axis=1)
+        if self.far:  # the stored norms turn products into distances
+            guess = 2 * guess - b.column(3).to_numpy().astype(np.float32)[None, :] - self.norm2.astype(np.float32)[:, None]
+        guess[own_cells(self.query_ids, ids)] = -np.inf
+        return guess
+
+    def slack(self, b: pa.RecordBatch, margin: float) -> np.ndarray:
+        """How far below its exact score an estimate may be, by query and row."""
+        rest, norm = b.column(4).to_numpy(), np.sqrt(b.column(3).to_numpy())
+        out = self.spread[:, None] * (margin * rest).astype(np.float32)[None, :]
+        out += (np.sqrt(self.norm2)[:, None] * (4e-6 * (norm + rest))[None, :]).astype(np.float32)  # single precision
+        if self.far:
+            out += (rest**2 + 4e-6 * norm**2).astype(np.float32)[None, :] + (4e-6 * self.norm2).astype(np.float32)[:, None]
+        return out
+
+    def exact(self, qi: np.ndarray, x: np.ndarray, col: np.ndarray) -> np.ndarray:
+        out = np.empty(len(qi))
+        for i in range(0, len(qi), 1 << 16):
+            some = slice(i, i + (1 << 16))
+            q, v = self.q[qi[some]], x[col[some]]
+            out[some] = -((q - v) ** 2).sum(1) if self.far else np.einsum("ij,ij->i", q, v)
+        return out
+
+
+def _bars(index: AdditiveIndex, block, k: int, metric: str, n: int) -> np.ndarray:
+    """A lower bound of each query's k-th best score, from the exact scores of the partitions' best estimates. The driver gets a row per query of the block."""
+    books, width = index.books, index.width
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        query_ids, q = block.value
-        best = BestLists(len(q), k)
-        tables = [(q @ book.T).astype(np.float32) for book in books]
-        spread = np.sqrt((q**2).sum(1) / width).astype(np.float32) * (2 if far else 1)
+        est = _Estimates(*block.value, books, metric == "euclidean")
+        best, at_row = BestLists(len(est.q), k), 0
+        for b in chunks(batches):
+            ids = b.column(0).to_numpy().astype(np.int64)
+            guess, few = est.of(b, ids), min(k, len(ids))
+            col = np.argpartition(guess, len(ids) - few, axis=1)[:, -few:]
+            qi, col = np.repeat(np.arange(len(guess)), few), col.ravel()
+            val = guess[qi, col].astype(np.float64)
+            good = (val > -np.inf) & (val >= best.worst[qi])
+            qi, col = qi[good], col[good]
+            best.add(qi, at_row + col, val[good], est.exact(qi, matrix(b.column(1), width), col))
+            at_row += len(ids)
+        qi, j = np.nonzero(np.arange(k)[None, :] < best.count[:, None])
+        yield pa.RecordBatch.from_arrays([pa.array(qi, pa.int32()), pa.array(best.note[qi, j])], names=["q", "score"])
+
+    lists = index.rows.mapInArrow(work, "q int, score double")
+    ranked = lists.withColumn("r", F.row_number().over(Window.partitionBy("q").orderBy(F.desc("score")))).where(F.col("r") <= k)
+    out = np.full(n, -np.inf)
+    for r in ranked.where(F.col("r") == k).collect():
+        out[r.q] = r.score
+    return out
 
-        def exact(qi: np.ndarray, x: np.ndarray) -> np.ndarray:
-            return -((q[qi] - x) ** 2).sum(1) if far else np.einsum("ij,ij->i", q[qi], x)
 
-        def rerank(qi: np.ndarray, col: np.ndarray, ids: np.ndarray, x: np.ndarray) -> None:
-            for i in range(0, len(qi), 1 << 16):
-                some = slice(i, i + (1 << 16))
-                best.add(qi[some], ids[col[some]], exact(qi[some], x[col[some]]))
+def _search_block(index: AdditiveIndex, block, bars, k: int, metric: str, margin: float) -> DataFrame:
+    books, width = index.books, index.width
 
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        est = _Estimates(*block.value, books, metric == "euclidean")
+        best, taken = BestLists(len(est.q), k), 0
         for b in chunks(batches):
-            ids, x = b.column(0).to_numpy().astype(np.int64), matrix(b.column(1), width)
-            codes = np.frombuffer(b"".join(b.column(2).to_pylist()), np.uint8).reshape(len(ids), -1)
-            rest = b.column(4).to_numpy()
-            guess = np.take(tables[0], codes[:, 0], axis=1)
-            for i, t in enumerate(tables[1:], 1):
-                guess += np.take(t, codes[:, i], axis=1)
-            slack = spread[:, None] * (margin * rest).astype(np.float32)[None, :]
-            if far:  # the stored norms turn products into distances
-                guess = 2 * guess - b.column(3).to_numpy().astype(np.float32)[None, :] - (q**2).sum(1).astype(np.float32)[:, None]
-                slack = slack + (rest**2).astype(np.float32)[None, :]
-            guess[own_cells(query_ids, ids)] = -np.inf
-            few = min(k, len(ids))
-            first = np.argpartition(guess, len(ids) - few, axis=1)[:, -few:]
-            rows = np.arange(len(q))[:, None]
-            # the best estimates first: their exact scores raise the bar for the rest
-            open_ = guess[rows, first] > -np.inf
-            rerank(np.nonzero(open_)[0], first[open_], ids, x)
-            guess[rows, first] = -np.inf
-            bar = np.where(best.count == k, best.worst, -np.inf)
-            keep = (guess + slack >= (bar - 1e-6)[:, None]) & (guess > -np.inf)
-            if keep.sum() > FEW:  # a tight cluster: one product of matrices narrows the list down
-                near = q @ x.T
-                if far:
-                    near = 2 * near - (x**2).sum(1)[None, :] - (q**2).sum(1)[:, None]
-                keep &= near >= (bar - 1e-9 * (1 + np.abs(bar, where=bar > -np.inf, out=np.zeros(len(bar)))))[:, None]
-            rerank(*np.nonzero(keep), ids, x)
+            ids = b.column(0).to_numpy().astype(np.int64)
+            guess = est.of(b, ids)
+            bar = np.maximum(bars.value, np.where(best.count == k, best.worst, -np.inf))
+            guess += est.slack(b, margin)
+            qi, col = np.nonzero((guess >= bar[:, None]) & (guess > -np.inf))
+            taken += len(qi)
+            best.add(qi, ids[col], est.exact(qi, matrix(b.column(1), width), col))
         qi, ids, score = best.entries()
-        yield pa.RecordBatch.from_arrays([pa.array(query_ids[qi]), pa.array(ids), pa.array(score)], names=["query_id", "id", "score"])
+        yield pa.RecordBatch.from_arrays([pa.array([*est.query_ids[qi].tolist(), None], pa.int64()), pa.array(np.append(ids, taken)), pa.array(np.append(score, 0.0))], names=["query_id", "id", "score"])
 
     return index.rows.mapInArrow(work, "query_id long, id long, score double")
 

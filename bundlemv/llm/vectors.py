@@ -79,6 +79,7 @@ class BestLists:
     def __init__(self, n: int, k: int, dtype=np.float64):
         self.k, self.low = k, np.iinfo(dtype).min if np.issubdtype(dtype, np.integer) else -np.inf
         self.score, self.id = np.full((n, k), self.low, dtype), np.full((n, k), np.iinfo(np.int64).max)
+        self.note = np.zeros((n, k))
         self.count = np.zeros(n, np.int64)
 
     @property
@@ -86,9 +87,11 @@ class BestLists:
         """Score of the k-th; the least value while there are fewer."""
         return self.score[:, -1]
 
-    def add(self, q: np.ndarray, ids: np.ndarray, score: np.ndarray) -> None:
+    def add(self, q: np.ndarray, ids: np.ndarray, score: np.ndarray, note: np.ndarray | None = None) -> None:
+        """Entries by query; a note, if any, stays with its entry."""
         some = score >= self.worst[q]
-        q, ids, score = q[some], ids[some], score[some]
+        note = np.zeros(len(q)) if note is None else note
+        q, ids, score, note = q[some], ids[some], score[some], note[some]
         if not len(q):
             return
         rows = np.unique(q)
@@ -96,12 +99,13 @@ class BestLists:
         q = np.concatenate([q, np.repeat(rows, self.k)[held.ravel()]])
         ids = np.concatenate([ids, self.id[rows].ravel()[held.ravel()]])
         score = np.concatenate([score, self.score[rows].ravel()[held.ravel()]])
+        note = np.concatenate([note, self.note[rows].ravel()[held.ravel()]])
         order = np.lexsort((ids, -score, q))
-        q, ids, score = q[order], ids[order], score[order]
+        q, ids, score, note = q[order], ids[order], score[order], note[order]
         place = np.arange(len(q)) - np.searchsorted(q, q)
         top = place < self.k
         self.score[rows], self.id[rows] = self.low, np.iinfo(np.int64).max
-        self.score[q[top], place[top]], self.id[q[top], place[top]] = score[top], ids[top]
+        self.score[q[top], place[top]], self.id[q[top], place[top]], self.note[q[top], place[top]] = score[top], ids[top], note[top]
         self.count[rows] = np.bincount(q[top], minlength=len(self.count))[rows]
 
     def entries(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

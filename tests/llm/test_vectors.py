@@ -26,6 +26,22 @@ def test_exact_top_k(spark, groups, monkeypatch):
     assert sorted(map(tuple, got.collect())) == plain_top(data, queries, 5)
 
 
+def test_phases_spare_products(spark):
+    rng = np.random.default_rng(6)
+    rows = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(rng.integers(-200, 200, (6000, 16)))], ROWS).repartition(3)
+    (n,) = topk.products(rows, rows.where("id % 50 = 0"), 5).collect()
+    assert n.lists == 6000 * 120 * 2 and n.resolved < n.lists / 40
+
+
+def test_a_frequent_vector_is_folded(spark):
+    data = [(i, [5, 5]) for i in range(900)] + [(i, [i - 950, 3]) for i in range(900, 1000)] + [(3, [5, 5])] * 40
+    rows = spark.createDataFrame(data, ROWS).repartition(4)
+    assert topk.fold_copies(rows, 5).where("id < 900").count() == 10  # ids 0 to 5, and five rows with id 3
+    got = topk.exact_top_k(rows, rows.where("id % 50 = 0 or id = 3"), 5)
+    queries = sorted({i: v for i, v in data if i % 50 == 0 or i == 3}.items())
+    assert sorted(map(tuple, got.collect())) == plain_top(data, queries, 5)
+
+
 def test_large_components(spark):
     data = [(i, [2**29 - i, -(2**28) + i * i]) for i in range(30)]
     rows = spark.createDataFrame(data, ROWS)
@@ -92,6 +108,30 @@ def test_recall(spark, metric):
     assert hits / total >= 0.95
 
 
+def test_few_pairs_are_reranked(spark):
+    rng = np.random.default_rng(12)
+    x = rng.normal(size=(6000, 24)) + 2 * rng.normal(size=(10, 24))[rng.integers(0, 10, 6000)]
+    rows = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, v array<double>").repartition(4)
+    index = additive.build_index(rows)
+    assert additive.reranked(index, rows.where("id % 40 = 0"), 20) < 0.03
+
+
+def test_op8_recall(spark):
+    """The query itself on a given table, against all products."""
+    path = "/root/testdata/sf0.01"
+    table = spark.read.parquet(f"{path}/embeddings.parquet").select("vec_id", "embedding").toPandas().sort_values("vec_id")
+    ids, x = table.vec_id.to_numpy(), np.array(table.embedding.tolist(), np.float64)
+    got = {}
+    for r in additive.op8(spark, path).collect():
+        got.setdefault(r.query_id, set()).add(r.vec_id)
+    hits = 0
+    for i in np.nonzero(ids % 20 == 0)[0]:
+        score = x @ x[i]
+        score[i] = -np.inf
+        hits += len(got[ids[i]] & set(ids[np.argsort(-score, kind="stable")[:20]].tolist()))
+    assert hits >= 0.98 * 20 * len(got) and len(got) == (ids % 20 == 0).sum()
+
+
 def test_repeated_ids(spark):
     data = [(i, v) for i, v in ((1, [20, 0]), (2, [20, 0]), (3, [19, 19]), (4, [0, 20]), (5, [0, 20]), (6, [18, 18])) for _ in range(2)] + [(9, [0, 0])]
     rows, queries = spark.createDataFrame(data, ROWS), spark.createDataFrame([(100, [1, 1])], ROWS)
