@@ -4,8 +4,10 @@ Training counts hashed byte n-grams per language and smooths them into log likel
 text is a bag of words; the likelihood of a word under a language is that of its n-grams.
 Expectation-maximisation estimates the document's language proportions from the words.
 The language set is chosen by penalised likelihood: languages join in the order of their
-proportions, and each must raise the log likelihood by more than ``penalty`` x log(words)
-/ 2. The prediction is the language of the largest proportion in the chosen set.
+proportions, and a set of m languages pays ``penalty`` x (m - 1) x log(words + 1) / 2. Sets
+of all sizes are in question, up to all languages; a text is done with when not even the
+likelihood of the fit over all languages would pay for a larger set. The prediction is the
+language of the largest proportion in the chosen set.
 
 Training reads at most about ``PER_LANGUAGE`` documents of each language, drawn by a hash
 of the id with a rate from the counts over all rows; the tables it makes have ``BUCKETS``
@@ -33,8 +35,8 @@ ORDERS = (2, 3)
 PER_LANGUAGE = 4000
 UNKNOWN = "und"
 LETTER = regex.compile(r"\p{L}")
-#: Most languages that a set may have, and iterations of each fit.
-MAX_SET, ROUNDS = 3, 12
+#: Iterations of each fit.
+ROUNDS = 12
 #: Bytes of text whose words are fitted at once.
 SLAB = 1 << 21
 
@@ -93,45 +95,41 @@ def _log_likelihood(lik: np.ndarray, doc: np.ndarray, first: np.ndarray, share:
     return np.add.reduceat(np.log(np.maximum(np.einsum("ij,ij->i", lik, share[doc]), 1e-300)), first)
 
 
-def infer(model: LanguageModel, texts: list[bytes], penalty: float) -> tuple[np.ndarray, np.ndarray]:
-    """(chosen language or -1, its proportion) of each text."""
-    best, score = np.full(len(texts), -1), np.zeros(len(texts))
+def infer(model: LanguageModel, texts: list[bytes], penalty: float) -> np.ndarray:
+    """texts x languages: proportions in the chosen set, 0 outside it; all 0 without a word."""
     size = len(model.languages)
+    out = np.zeros((len(texts), size))
     if not size:
-        return best, score
+        return out
     joined = np.frombuffer(b" ".join(texts) + b" ", np.uint8)
     starts, ll = model.word_likelihoods(joined)
     ends = np.cumsum([len(t) + 1 for t in texts])
     of = np.searchsorted(ends, starts, side="right")
     if not len(of):
-        return best, score
+        return out
     here, first, doc = np.unique(of, return_index=True, return_inverse=True)
     top = ll.max(axis=1)
     lik = np.exp(ll - top[:, None])
-    share, _ = _em(lik, doc, first, np.full((len(here), size), 1 / size), ROUNDS)
+    share, full = _em(lik, doc, first, np.full((len(here), size), 1 / size), ROUNDS)
     order = np.argsort(-share, axis=1, kind="stable")
-    words = np.diff(np.append(first, len(of)))
-    value = np.full(len(here), -np.inf)
-    for m in range(1, min(MAX_SET, size) + 1):
-        allowed = np.zeros((len(here), size))
-        np.put_along_axis(allowed, order[:, :m], 1.0 / m, axis=1)
-        if m == 1:
-            fit, total = allowed, _log_likelihood(lik, doc, first, allowed)
-        else:
-            # a language that hardly any word needs cannot pay its penalty
-            open_ = share[np.arange(len(here)), order[:, m - 1]] > 0.01
-            if not open_.any():
-                break
-            pick = open_[doc]
-            some, some_first, some_doc = np.unique(doc[pick], return_index=True, return_inverse=True)
-            fit, total = np.zeros((len(here), size)), np.full(len(here), -np.inf)
-            fit[some], total[some] = _em(lik[pick], some_doc, some_first, allowed[some], ROUNDS)
-        gain = total - penalty * (m - 1) * np.log(words + 1.0) / 2
-        better = gain > value
-        value[better] = gain[better]
-        at = np.argmax(fit[better], axis=1)
-        best[here[better]], score[here[better]] = at, fit[better, at]
-    return best, np.clip(score, 0.0, 1.0)
+    price = penalty * np.log(np.diff(np.append(first, len(of))) + 1.0) / 2
+    fit = np.zeros((len(here), size))
+    np.put_along_axis(fit, order[:, :1], 1.0, axis=1)
+    value = _log_likelihood(lik, doc, first, fit)
+    for m in range(2, size + 1):
+        open_ = full - price * (m - 1) > value
+        if not open_.any():
+            break
+        pick = open_[doc]
+        some, some_first, some_doc = np.unique(doc[pick], return_index=True, return_inverse=True)
+        allowed = np.zeros((len(some), size))
+        np.put_along_axis(allowed, order[some, :m], 1.0 / m, axis=1)
+        now, total = _em(lik[pick], some_doc, some_first, allowed, ROUNDS)
+        total -= price[some] * (m - 1)
+        better = total > value[some]
+        value[some[better]], fit[some[better]] = total[better], now[better]
+    out[here] = np.clip(fit, 0.0, 1.0)
+    return out
 
 
 def train(docs: DataFrame, where: Column | None = None, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", per_language: int = PER_LANGUAGE, smooth: float = 0.3) -> LanguageModel:
@@ -166,29 +164,31 @@ def train(docs: DataFrame, where: Column | None = None, id_col: str = "doc_id",
 
 
 def identify(docs: DataFrame, model: LanguageModel, id_col: str = "doc_id", text_col: str = "text", penalty: float = 2.0) -> DataFrame:
-    """id_col, lang_pred, score (the proportion of the predicted language)."""
-    names = np.array([*model.languages, UNKNOWN], dtype=object)
+    """id_col, lang_pred, score (its proportion), languages and proportions of the chosen set, the largest first."""
     held = docs.sparkSession.sparkContext.broadcast(model)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             texts = [t or "" for t in b.column(1).to_pylist()]
-            best, score = np.full(len(texts), -1), np.zeros(len(texts))
+            shares = np.zeros((len(texts), len(model.languages)))
             at = 0
             while at < len(texts):
                 end, size = at, 0
                 while end < len(texts) and (size < SLAB or end == at):
                     size += len(texts[end])
                     end += 1
-                best[at:end], score[at:end] = infer(held.value, [t.encode() for t in texts[at:end]], penalty)
+                shares[at:end] = infer(held.value, [t.encode() for t in texts[at:end]], penalty)
                 at = end
-            for i, t in enumerate(texts):
-                if not LETTER.search(t):
-                    best[i], score[i] = -1, 0.0
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(names[best], pa.string()), pa.array(score)], names=[id_col, "lang_pred", "score"])
-
-    kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(id_col, F.col(text_col).alias("__text")).mapInArrow(work, f"`{id_col}` {kind}, lang_pred string, score double")
+            lettered = np.array([LETTER.search(t) is not None for t in texts], bool)
+            found = [[(names[j], s[j]) for j in np.argsort(-s, kind="stable") if s[j] > 0] if x else [] for s, x in zip(shares, lettered)]
+            first = [x[0] if x else (UNKNOWN, 0.0) for x in found]
+            yield pa.RecordBatch.from_arrays([
+                b.column(0), pa.array([x[0] for x in first], pa.string()), pa.array([x[1] for x in first], pa.float64()),
+                pa.array([[n for n, _ in x] for x in found], pa.list_(pa.string())), pa.array([[s for _, s in x] for x in found], pa.list_(pa.float64())),
+            ], names=[id_col, "lang_pred", "score", "languages", "proportions"])
+
+    names, kind = model.languages, docs.schema[id_col].dataType.simpleString()
+    return docs.select(id_col, F.col(text_col).alias("__text")).mapInArrow(work, f"`{id_col}` {kind}, lang_pred string, score double, languages array<string>, proportions array<double>")
 
 
 def op4(spark, sf_dir):

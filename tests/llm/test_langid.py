@@ -1,3 +1,5 @@
+import itertools
+
 import numpy as np
 from helpers import docs_frame, odd_texts
 from pyspark.sql import functions as F
@@ -21,11 +23,32 @@ def test_mixture_proportions(spark, tiny):
     for share in (0.25, 0.5, 0.75):
         n = int(400 * share)
         mixed = " ".join(text["en"][:n] + text["de"][: 400 - n]).encode()
-        best, score = langid.infer(model, [mixed, " ".join(text["de"][:400]).encode()], 2.0)
-        want = max(share, 1 - share)
-        assert abs(score[0] - want) < 0.12 and model.languages[best[1]] == "de" and score[1] > 0.95
-        if share != 0.5:
-            assert model.languages[best[0]] == ("en" if share > 0.5 else "de")
+        mix, alone = langid.infer(model, [mixed, " ".join(text["de"][:400]).encode()], 2.0)
+        en, de = (model.languages.index(x) for x in ("en", "de"))
+        assert abs(mix[en] - share) < 0.12 and abs(mix[de] - 1 + share) < 0.12 and alone[de] > 0.95
+
+
+def test_the_set_of_the_best_penalised_likelihood(spark):
+    """Against all sets of languages, with many rounds of EM on the plain likelihoods."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    model = langid.train(docs)
+    text = {x: " ".join(r.text for r in docs.where(F.col("lang") == x).limit(8).collect()).split() for x in model.languages}
+    assert len(text) == 4
+    for picked in (["en"], ["en", "fr"], list(model.languages)[:3], list(model.languages)):
+        mixed = " ".join(w for x in picked for w in text[x][:150]).encode()
+        _, ll = model.word_likelihoods(np.frombuffer(mixed, np.uint8))
+        best = (-np.inf, ())
+        for m in range(1, 5):
+            for some in itertools.combinations(range(4), m):
+                lik, share = np.exp(ll[:, some]), np.full(m, 1 / m)
+                for _ in range(200):
+                    share = (lik * share / (lik @ share)[:, None]).mean(axis=0)
+                best = max(best, (np.log(lik @ share).sum() - 2.0 * (m - 1) * np.log(len(ll) + 1) / 2, some))
+        (got,) = langid.infer(model, [mixed], 2.0)
+        assert tuple(np.nonzero(got)[0]) == best[1] == tuple(sorted(map(model.languages.index, picked)))
+    long = docs_frame(spark, [" ".join(w for x in text for w in text[x][:150])])
+    (row,) = langid.identify(long, model).collect()
+    assert set(row.languages) == set(model.languages) and abs(sum(row.proportions) - 1) < 1e-9 and row.score == max(row.proportions) and row.lang_pred == row.languages[0]
 
 
 def test_em_raises_the_likelihood():
