@@ -2,7 +2,8 @@
 
 1. A fingerprint per document, from hashes of its word shingles (Arrow batches).
 2. Equal fingerprints fold into one node each, so exact copies cost one row.
-3. A vantage-point tree over a bounded sample deals the nodes to shards: at each vantage
+3. A vantage-point tree deals the nodes to shards. It is placed by a sample of sixteen per
+   shard, and as deep as the number of nodes asks for. At each vantage
    point a node goes inside or outside a ball. By the triangle inequality only nodes
    within the link radius of the ball's surface can link across it; those also visit
    the other side, so every link lies within some shard.
@@ -32,8 +33,8 @@ from bundlemv.session import materialise
 SEED = 42
 #: Nodes that a shard holds on average, before visitors.
 SHARD_NODES = 8192
-#: Bound of the sample that places vantage points, and of the tree's depth.
-SAMPLE, MAX_DEPTH = 16384, 10
+#: Fingerprints that are drawn for each shard to place vantage points (8 bytes each; the tree has 16 bytes a shard).
+PER_SHARD = 16
 #: Sets of up to so many nodes are compared directly.
 DIRECT = 512
 
@@ -84,11 +85,11 @@ def distance(a, b):
     return np.bitwise_count(np.bitwise_xor(a, b)).astype(np.int16)
 
 
-def build_tree(sample: np.ndarray, depth: int) -> list[tuple[int, int]]:
-    """A complete tree as a heap: node i has (vantage point, ball radius), children 2i+1 (inside) and 2i+2."""
-    nodes: list[tuple[int, int]] = [(0, 31)] * (2**depth - 1)
+def build_tree(sample: np.ndarray, depth: int) -> tuple[np.ndarray, np.ndarray]:
+    """A complete tree as a heap: vantage points and ball radii; node i has children 2i+1 (inside) and 2i+2."""
+    points, radii = np.zeros(2**depth - 1, np.uint64), np.full(2**depth - 1, 31)
     sets = {0: sample}
-    for i in range(len(nodes)):
+    for i in range(len(points)):
         own = sets.pop(i)
         if len(own):
             spread = [int(distance(own[:256], own[j]).astype(np.int64).var() * 1000) for j in range(min(8, len(own)))]
@@ -97,29 +98,31 @@ def build_tree(sample: np.ndarray, depth: int) -> list[tuple[int, int]]:
             radius = int(np.median(d))
             if (d <= radius).all() and radius > 0:
                 radius -= 1
-            nodes[i] = (int(point), radius)
+            points[i], radii[i] = point, radius
             sets[2 * i + 1], sets[2 * i + 2] = own[d <= radius], own[d > radius]
         else:
             sets[2 * i + 1] = sets[2 * i + 2] = own
-    return nodes
+    return points, radii
 
 
-def deal(fps: np.ndarray, tree: list[tuple[int, int]], reach: int) -> list[tuple[int, np.ndarray, np.ndarray]]:
+def deal(fps: np.ndarray, tree: tuple[np.ndarray, np.ndarray], reach: int) -> list[tuple[int, np.ndarray, np.ndarray]]:
     """(leaf, positions in fps, home?) - one home for each, and visits where a link may cross a surface."""
     out, stack = [], [(0, np.arange(len(fps)), np.ones(len(fps), bool))]
     while stack:
         i, at, home = stack.pop()
-        if i >= len(tree):
+        if not len(at):
+            continue
+        if i >= len(tree[0]):
             out.append((i, at, home))
             continue
-        point, radius = tree[i]
-        d = distance(fps[at], np.uint64(point))
+        point, radius = tree[0][i], int(tree[1][i])
+        d = distance(fps[at], point)
         # Both ends of a link need not travel: of two home nodes on both sides, the outer visits the inner.
         inside = d <= radius + reach
         outside = np.where(home, d > radius, d > radius - reach)
         stack.append((2 * i + 1, at[inside], home[inside] & (d[inside] <= radius)))
         stack.append((2 * i + 2, at[outside], home[outside]))
-    return [x for x in out if len(x[1])]
+    return out
 
 
 class Forest:
@@ -174,14 +177,15 @@ def link_within(fps: np.ndarray, home: np.ndarray, reach: int) -> list[tuple[int
 def near_pairs_forest(nodes: DataFrame, reach: int, shard_nodes: int = SHARD_NODES) -> DataFrame:
     """Distinct fingerprints (fp) -> edges (u, v) that span every component of links within ``reach`` bits."""
     n = nodes.count()
-    depth = min(MAX_DEPTH, max(0, math.ceil(math.log2(max(n, 1) / shard_nodes))))
-    sample = [r.fp for r in nodes.select("fp").orderBy(F.xxhash64("fp")).limit(SAMPLE).collect()] if depth else []
-    tree = build_tree(np.array(sample, dtype=np.int64).view(np.uint64), depth)
+    depth = max(0, math.ceil(math.log2(max(n, 1) / shard_nodes)))
+    draw = nodes.select("fp").where(F.pmod(F.xxhash64("fp"), F.lit(1 << 30)) < (PER_SHARD << depth) / max(n, 1) * (1 << 30))
+    sample = np.sort(draw.toArrow().column("fp").to_numpy()) if depth else np.zeros(0, np.int64)
+    tree = nodes.sparkSession.sparkContext.broadcast(build_tree(np.random.default_rng(SEED).permutation(sample).view(np.uint64), depth))
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             fps = b.column(0).to_numpy(zero_copy_only=False).astype(np.int64)
-            for leaf, at, home in deal(fps.view(np.uint64), tree, reach):
+            for leaf, at, home in deal(fps.view(np.uint64), tree.value, reach):
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), leaf), pa.int32()), pa.array(fps[at], pa.int64()), pa.array(home)], names=["leaf", "fp", "home"])
 
     def solve(table: pa.Table) -> pa.Table:

@@ -50,7 +50,7 @@ def test_tree_finds_all_links():
             fps.append(f)
     fps = np.array(sorted(set(fps)), dtype=np.uint64)
     want = plain_components(list(enumerate(map(int, fps))))
-    for depth in (0, 3):
+    for depth in (0, 3, 12):
         tree = simhash.build_tree(fps[::3], depth)
         forest, homes = simhash.Forest(len(fps)), np.zeros(len(fps), int)
         for _, at, home in simhash.deal(fps, tree, 2):
