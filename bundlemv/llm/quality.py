@@ -183,18 +183,26 @@ def quality_scores(docs: DataFrame, labels: DataFrame, train_on: Column | None =
 
 
 def filter_quality(docs: DataFrame, labels: DataFrame, train_on: Column | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` whose text is predicted to have label 1; columns unchanged."""
-    stats = materialise(document_statistics(docs, id_col, text_col), "quality-stats")
-    model = learn(stats, labels, id_col, where=train_on)
-    slots = "".join(f"`{f.name}` {f.dataType.simpleString()}, " for f in docs.schema)[:-2]
-    at = docs.columns.index(text_col)
+    """The rows of ``docs`` whose text is predicted to have label 1; columns unchanged.
 
-    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            x = np.array([text_statistics(t.encode() if (t := v.as_py()) is not None else None) for v in b.column(at)]).reshape(-1, len(NAMES))
-            yield b.filter(pa.array(model.score(x) >= 0.5))
+    A text is read and measured once: the rows are written with their statistics.
+    """
+
+    @F.arrow_udf("array<double>")
+    def measured(texts: pa.Array) -> pa.Array:
+        x = np.array([text_statistics(t.as_py()) for t in texts]).reshape(-1, len(NAMES))
+        return pa.ListArray.from_arrays(pa.array(np.arange(len(x) + 1) * len(NAMES), pa.int32()), pa.array(x.ravel()))
+
+    # one column holds the whole row, so that no name clashes
+    rows = docs.select(F.struct(*docs.columns).alias("doc"), F.col(id_col).alias(f"{id_col}"), measured(F.col(text_col).cast("binary")).alias("stats"))
+    rows = materialise(rows, "quality-rows")
+    model = learn(rows.select(id_col, "stats"), labels, id_col, where=train_on)
+
+    @F.arrow_udf("boolean")
+    def good(stats: pa.Array) -> pa.Array:
+        return pa.array(model.score(numpy_of(stats, len(NAMES))) >= 0.5)
 
-    return docs.mapInArrow(work, slots)
+    return rows.where(good("stats")).select("doc.*")
 
 
 def op6(spark, sf_dir):
