@@ -43,7 +43,7 @@ def cycling_weight(position: Column, weights: tuple[int, ...]) -> Column:
 def source_targets(sizes: DataFrame, weights: tuple[int, ...] = (1, 2, 3), max_epochs: int = 3) -> DataFrame:
     """(key, size) rows -> one row per source: key, source_size, n, target, whole, remainder.
 
-    The windows here run over one row per source.
+    The windows here run over one row per source, in one task.
     """
     per = sizes.groupBy("__key").agg(F.sum("__size").alias("source_size"), F.count("*").alias("n"))
     by_name, by_cap = Window.orderBy("__key"), Window.orderBy("ratio", "__key")
@@ -84,14 +84,18 @@ def mix_sources(
         word_count(F.col(text_col)).alias("__size"),
         F.md5(F.concat(F.lit(f"{seed}:"), ident)).alias("__h"),
     )
-    plan = materialise(source_targets(rows.select("__key", "__size"), weights, max_epochs), "mix-plan")
+    slim = materialise(rows.select("__id", "__key", "__size", "__h"), "mix-sizes")  # words are counted here, once
+    if not keep:
+        rows = slim.withColumn("__row", F.struct(F.col("__id").alias(id_col)))
+    plan = materialise(source_targets(slim, weights, max_epochs), "mix-plan")
     if plan.count() <= BROADCAST_SOURCES:
         plan = F.broadcast(plan)
     share = F.conv(F.substring("__h", 1, 8), 16, 10).cast("long") / F.lit(2.0**32)
-    rows = rows.join(plan, "__key").withColumn("__bucket", F.floor(share * F.col("n_buckets")).cast("long"))
+    placed = lambda x: x.join(plan, "__key").withColumn("__bucket", F.floor(share * F.col("n_buckets")).cast("long"))
+    rows = placed(rows)
     before = Window.partitionBy("__key").orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)
     buckets = (
-        rows.groupBy("__key", "__bucket").agg(F.sum("__size").alias("__sum"))
+        placed(slim).groupBy("__key", "__bucket").agg(F.sum("__size").alias("__sum"))
         .select("__key", "__bucket", F.coalesce(F.sum("__sum").over(before), F.lit(0)).alias("__base"))
     )
     inside = Window.partitionBy("__key", "__bucket").orderBy("__h", "__id", "__size").rowsBetween(Window.unboundedPreceding, -1)
