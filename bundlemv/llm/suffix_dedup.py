@@ -129,32 +129,40 @@ def quarters(length: int) -> list[tuple[int, int]]:
     return [(a, b - 1) for a, b in zip(edges, edges[1:])]
 
 
-def word_strings(data: bytes) -> np.ndarray:
+def whole_prints(data: bytes) -> Fingerprints | None:
+    """Fingerprints of a text that is one slab."""
+    return Fingerprints(np.frombuffer(data, np.uint8)) if len(data) <= SLAB else None
+
+
+def word_strings(data: bytes, prints: Fingerprints | None = None) -> np.ndarray:
     """Distinct odd keys of the strings of STRING words that have the least hash among the strings of a passage."""
     raw = np.frombuffer(data, np.uint8)
-    edge = np.flatnonzero(np.diff(np.concatenate([[False], _SOLID[raw], [False]])))
+    solid = np.concatenate([[False], _SOLID[raw], [False]])
+    edge = np.flatnonzero(solid[1:] != solid[:-1])
     first, end = edge[::2], edge[1::2]
-    up, found = _powers()[0], [np.zeros(0, _U)]
+    found = [np.zeros(0, _U)]
     for a in range(0, len(first) - PASSAGE + 1, BLOCK):
-        starts = first[a : a + BLOCK + PASSAGE - 1]
-        at, stop = starts - starts[0], int(end[a : a + BLOCK + PASSAGE - 1][-1])
-        piece = raw[starts[0] : stop]
-        place = np.arange(len(piece)) - np.repeat(at, np.diff(np.append(at, len(piece))))
-        h = _mixed(np.add.reduceat(_LETTERS[0][piece] * up[place % SLAB] * _SOLID[piece], at))
+        at, stop = first[a : a + BLOCK + PASSAGE - 1], end[a : a + BLOCK + PASSAGE - 1]
+        if prints is not None:
+            h = prints.of(at, stop)
+        else:  # words of any length: their letters are placed one by one
+            piece = raw[at[0] : stop[-1]]
+            place = np.arange(len(piece)) - np.repeat(at - at[0], np.diff(np.append(at - at[0], len(piece))))
+            h = _mixed(np.add.reduceat(_LETTERS[0][piece] * _powers()[0][place % SLAB] * _SOLID[piece], at - at[0]))
         w = 1
         while w < STRING:
             h, w = h[:-w] * _U(pow(_BASE, w, 1 << 64)) + h[w:], 2 * w
         h = _mixed(h)
-        keyed = (h >> _U(24) << _U(24)) | np.arange(len(h), dtype=_U)
-        found.append(h[np.unique(_sliding_least(keyed, PASSAGE - STRING + 1) & _U(0xFFFFFF)).astype(np.int64)] | _U(1))
+        least = _sliding_least((h >> _U(24) << _U(24)) | np.arange(len(h), dtype=_U), PASSAGE - STRING + 1) & _U(0xFFFFFF)
+        found.append(h[least[np.concatenate([[True], least[1:] != least[:-1]])].astype(np.int64)] | _U(1))
     return np.unique(np.concatenate(found))
 
 
-def suffixes(data: bytes, length: int, checked: bool = False) -> Iterator[tuple[np.ndarray, ...]]:
+def suffixes(data: bytes, length: int, checked: bool = False, prints: Fingerprints | None = None) -> Iterator[tuple[np.ndarray, ...]]:
     """Per slab and kind: (kind, keys, contents, first window, last window, check of the content); windows by place in the text.
 
     Kind 0 is the whole stretch (odd keys), kinds 1 to 4 are the quarters (even keys). Without
-    ``checked`` the check, the content's other fingerprint, is 0.
+    ``checked`` the check, the content's other fingerprint, is 0. ``prints``: of the whole text, if it is one slab.
     """
     for at in range(0, max(1, len(data) - length + 1), SLAB):
         piece = np.frombuffer(data, np.uint8)[at : at + SLAB + length - 1]
@@ -163,14 +171,14 @@ def suffixes(data: bytes, length: int, checked: bool = False) -> Iterator[tuple[
         place = anchors(piece, length)
         cut = np.nonzero(np.diff(place))[0] + 1
         first, last = np.concatenate([[0], cut]), np.concatenate([cut - 1, [len(place) - 1]])
-        mark, prints = place[first], Fingerprints(piece)
-        content = prints.of(first, last + length)
+        mark, own = place[first], prints or Fingerprints(piece)
+        content = own.of(first, last + length)
         check = Fingerprints(piece, 1).of(first, last + length) if checked else np.zeros_like(content)
         yield 0, content | _U(1), content, at + first, at + last, check
         for kind, (near, far) in enumerate(quarters(length), 1):
             lo, hi = np.maximum(first, mark - far), np.minimum(last, mark - near)
             some = lo <= hi
-            key = prints.of(mark[some] - near, mark[some] - far + length) * _U(2 * kind + 1)
+            key = own.of(mark[some] - near, mark[some] - far + length) * _U(2 * kind + 1)
             yield kind, key & ~_U(1), content[some], at + lo[some], at + hi[some], check[some]
 
 
@@ -210,11 +218,12 @@ def batch_array(docs: DataFrame, buckets: int, length: int, text_col: str) -> Da
         for b in batches:
             for t in b.column(0):
                 data = t.as_py() or b""
-                for kind, key, content, *_ in suffixes(data, length):
+                prints = whole_prints(data)
+                for kind, key, content, *_ in suffixes(data, length, False, prints):
                     keys.append(key)
                     vals.append(np.ones(len(key), _U) if kind == 0 else content | _U(1))
                     held += len(key)
-                keys.append(word_strings(data))
+                keys.append(word_strings(data, prints))
                 vals.append(np.ones(len(keys[-1]), _U))
                 held += len(keys[-1])
                 if held > 1 << 20:
@@ -313,9 +322,11 @@ def _places(docs: DataFrame, bits: np.ndarray, length: int) -> DataFrame:
         for b in batches:
             parts, of = [], []
             for i, t in enumerate(b.column(2)):
-                words = word_strings(t.as_py())
+                data = t.as_py()
+                prints = whole_prints(data)
+                words = word_strings(data, prints)
                 none = np.zeros(len(words), np.int64)
-                for kind, key, content, lo, hi, check in [*suffixes(t.as_py(), length, True), (5, words, none, none, none, none)]:
+                for kind, key, content, lo, hi, check in [*suffixes(data, length, True, prints), (5, words, none, none, none, none)]:
                     some = np.nonzero(_may_hold(held.value, key))[0]
                     if len(some):
                         parts.append((np.full(len(some), kind), key[some].view(np.int64), content[some].view(np.int64), lo[some], hi[some], check[some].view(np.int64)))

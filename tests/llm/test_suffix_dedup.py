@@ -136,7 +136,7 @@ def test_passages_in_words(spark, monkeypatch):
     assert {i for i, n in enumerate(want) if n} == {3, 8, 11, 12}
     whole = sd.word_strings(texts[3].encode())
     monkeypatch.setattr(sd, "BLOCK", 7)
-    assert (sd.word_strings(texts[3].encode()) == whole).all()
+    assert (sd.word_strings(texts[3].encode()) == whole).all() and (sd.word_strings(texts[3].encode(), sd.whole_prints(texts[3].encode())) == whole).all()
 
 
 def test_odd_inputs(spark):
