@@ -44,6 +44,9 @@ class Graph:
         """Keep the edges where they were made; lost parts are computed again."""
         return self.with_edges(self.edges.persist())
 
+    def release(self) -> None:
+        self.edges.unpersist()
+
 
 @dataclass(frozen=True)
 class Matrix:

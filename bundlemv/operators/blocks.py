@@ -36,9 +36,9 @@ def parts_of(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
-def place(df: DataFrame, col: str) -> DataFrame:
-    """Deal rows by a block column; the number of parts is stated, so both sides of later joins agree."""
-    return df.repartition(parts_of(df.sparkSession), col)
+def place(df: DataFrame, *cols: str) -> DataFrame:
+    """Deal rows by block columns; the number of parts is stated, so both sides of later joins agree."""
+    return df.repartition(parts_of(df.sparkSession), *cols)
 
 
 def block_table(g: Graph, q: int) -> DataFrame:
@@ -59,6 +59,18 @@ def block_matrix_cube(g: Graph, q: int) -> DataFrame:
     return cube.select(F.when(F.col("a") == 1, -1).otherwise(F.col("src_block")).alias("src_block"), F.when(F.col("b") == 1, -1).otherwise(F.col("dst_block")).alias("dst_block"), "edges")
 
 
+def block_matrix_rollup(g: Graph, q: int) -> DataFrame:
+    """Edges by block pair, by source block, and in all; -1 stands for "all"."""
+    own = blocked(g, q).rollup("src_block", "dst_block").agg(F.count("*").alias("edges"))
+    return own.select(F.coalesce("src_block", F.lit(-1)).alias("src_block"), F.coalesce("dst_block", F.lit(-1)).alias("dst_block"), "edges")
+
+
+def block_totals(g: Graph, q: int) -> DataFrame:
+    """Edges by source block and by destination block, in one pass by grouping sets; -1 stands for "all"."""
+    own = blocked(g, q).groupingSets([["src_block"], ["dst_block"]], "src_block", "dst_block").agg(F.count("*").alias("edges"))
+    return own.select(F.coalesce("src_block", F.lit(-1)).alias("src_block"), F.coalesce("dst_block", F.lit(-1)).alias("dst_block"), "edges")
+
+
 def block_pivot(g: Graph, q: int, k: int) -> DataFrame:
     """The matrix as k columns, for few blocks."""
     wide = blocked(g, q).groupBy("src_block").pivot("dst_block", list(range(k))).count()
@@ -72,9 +84,9 @@ def plan_width(n: int, task_bytes: int, tasks: int, value_bytes: int = VALUE_BYT
     return 1 << (min(most, fair).bit_length() - 1)
 
 
-def width_for(g: Graph, task_bytes: int = 128 << 20) -> int:
-    """A width for this session: about four blocks for each part that a shuffle makes."""
-    return plan_width(max(g.n, 1), task_bytes, 4 * parts_of(g.spark))
+def width_for(g: Graph, task_bytes: int = 32 << 20) -> int:
+    """A width for this session: about two blocks for each part that a shuffle makes, as wide blocks bundle more."""
+    return plan_width(max(g.n, 1), task_bytes, 2 * parts_of(g.spark))
 
 
 def custom_blocks(ids: DataFrame, block: Column) -> DataFrame:

@@ -173,6 +173,24 @@ def measured_params(g: Graph, q: int, line: int = 64, dv: int = 8, di: int = 8)
     return both.select(F.lit(float(g.n)).alias("n"), "m", F.lit(float(block_count(g.n, q))).alias("k"), "r", "miss", F.lit(float(line)).alias("line"), F.lit(float(dv)).alias("dv"), F.lit(float(di)).alias("di"))
 
 
+def traffic_by_label(g: Graph, perms: dict[str, DataFrame], q: int) -> DataFrame:
+    """label, method, r, bytes: the models on what each labeling measures."""
+    from bundlemv.operators.labels import relabel
+
+    out = None
+    for name, perm in perms.items():
+        own = models(measured_params(relabel(g, perm).persist(), q), keep=("r",)).select(F.lit(name).alias("label"), "method", "r", "bytes")
+        out = own if out is None else out.union(own)
+    return out
+
+
+def traffic_by_width(g: Graph, shifts: list[int], dv: int = 8, di: int = 8, cache: int = 256 << 10) -> DataFrame:
+    """shift, q, k, r, per_edge, bundled (bytes), block_bytes, overflow (bytes of a block's values that a cache does not hold)."""
+    own = compression_by_width(g, shifts).withColumns({"n": F.lit(float(g.n)), "dv": F.lit(float(dv)), "di": F.lit(float(di))})
+    size = F.col("q") * dv
+    return own.select("shift", "q", "k", "r", model_bytes("per_edge").alias("per_edge"), model_bytes("bundled").alias("bundled"), size.alias("block_bytes"), F.greatest(F.lit(0).cast("long"), size - cache).alias("overflow"))
+
+
 # --- published figures ------------------------------------------------------------
 
 # Graph, nodes and edges in millions; seconds per iteration of pull, per-edge and

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -92,6 +94,75 @@ def local_ids(g: Graph, q: int) -> DataFrame:
     return blocked(g, q).select("dst_block", "src", "dst", (F.col("dst") - F.col("dst_block").cast("long") * q).cast(kind).alias("local"))
 
 
+#: Edges of a destination block that one task gathers; blocks with more are cut into chunks by source.
+CHUNK_EDGES = 1 << 22
+#: Blocks that are cut may be broadcast up to this number (16 bytes each); there are at most m / CHUNK_EDGES of them.
+BROADCAST_HUBS = 100_000
+
+
+def hub_chunks(g: Graph, q: int, chunk_edges: int = CHUNK_EDGES) -> DataFrame:
+    """dst_block, chunks: the destination blocks with more than ``chunk_edges`` edges."""
+    per = blocked(g, q).groupBy("dst_block").agg(F.count("*").alias("e")).where(F.col("e") > chunk_edges)
+    return per.select("dst_block", F.ceil(F.col("e") / chunk_edges).cast("int").alias("chunks"))
+
+
+@dataclass
+class Packed:
+    """layout: src_block, dst_block, chunk, srcs; lists: dst_block, chunk, src_block, ids, pos[, weights].
+
+    srcs and ids count from their block's start. pos is the 0-based place of an id's value among
+    the values of its row; it never changes and so is stored once. Rows stand for pairs of
+    blocks; a hub block's pairs are cut into chunks by source, so no row and no task holds more
+    than about CHUNK_EDGES edges. ``chunked``: whether there is such a block.
+    """
+
+    layout: DataFrame
+    lists: DataFrame
+    q: int
+    weighted: bool
+    chunked: bool
+
+    @property
+    def place(self) -> tuple[str, ...]:
+        """By what messages are dealt."""
+        return ("dst_block", "chunk") if self.chunked else ("dst_block",)
+
+    def placed(self) -> Packed:
+        """Dealt out, sorted as later joins want it, and kept."""
+        lists = place(self.lists, *self.place).sortWithinPartitions("dst_block", "chunk", "src_block").persist()
+        layout = place(self.layout, "src_block").sortWithinPartitions("src_block").persist()
+        return Packed(layout, lists, self.q, self.weighted, self.chunked)
+
+
+def packed_pairs(g: Graph, q: int, chunk_edges: int = CHUNK_EDGES) -> Packed:
+    """The kept form of the bundled method from one shuffle and one sort of the edges, and one shuffle of the bundles' sources.
+
+    The lists come placed, sorted and kept, and the layout is read off them.
+    """
+    w = ["weight"] if g.weighted else []
+    e = blocked(g, q).select("dst_block", "src_block", "src", "dst", *w)
+    hubs = hub_chunks(g, q, chunk_edges).persist()
+    n_hubs = hubs.count()
+    if n_hubs:
+        cut = F.pmod(F.xxhash64("src"), F.coalesce("chunks", F.lit(1))).cast("int")
+        e = e.join(F.broadcast(hubs) if n_hubs <= BROADCAST_HUBS else hubs, "dst_block", "left").withColumn("chunk", cut).drop("chunks")
+        e = place(e, "dst_block", "chunk")
+    else:
+        e = place(e.withColumn("chunk", F.lit(0)), "dst_block")
+    local = lambda c, b: (F.col(c) - F.col(b).cast("long") * q).cast("int")
+    of_pair = Window.partitionBy("dst_block", "chunk", "src_block").orderBy("src")
+    first = F.coalesce(F.lag("src").over(of_pair) != F.col("src"), F.lit(True))
+    e = e.withColumn("pos", F.dense_rank().over(of_pair) - 1).withColumn("first", first)
+    rows = e.select("dst_block", "chunk", "src_block", "pos", local("dst", "dst_block").alias("dst"), F.when(F.col("first"), local("src", "src_block")).alias("src"), *w)
+    rows = rows.groupBy("dst_block", "chunk", "src_block").agg(F.collect_list(F.struct("dst", "pos", *w)).alias("e"), F.sort_array(F.collect_list("src")).alias("srcs"))
+    lists = rows.select("dst_block", "chunk", "src_block", F.col("e.dst").alias("ids"), F.col("e.pos").alias("pos"), *([F.col("e.weight").alias("weights")] if w else []), "srcs")
+    lists = lists.sortWithinPartitions("dst_block", "chunk", "src_block").persist()
+    layout = place(lists.select("src_block", "dst_block", "chunk", "srcs"), "src_block").sortWithinPartitions("src_block").persist()
+    layout.count()
+    hubs.unpersist()
+    return Packed(layout, lists, q, g.weighted, n_hubs > 0)
+
+
 def packed_layout(g: Graph, q: int) -> DataFrame:
     """src_block, dst_block, srcs: one row per block pair with messages, placed by source block."""
     e = place(blocked(g, q).select("src_block", "dst_block", "src"), "src_block")

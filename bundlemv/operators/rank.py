@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -30,7 +31,7 @@ def vertex_table(g: Graph, q: int, teleport: DataFrame | None = None) -> DataFra
     out = g.edges.groupBy(F.col("src").alias("id")).agg((F.sum("weight") if g.weighted else F.count("*").cast("double")).alias("out"))
     v = g.vertices.join(out, "id", "left")
     if teleport is None:
-        v = v.withColumn("tele", F.lit(1.0 / g.n))
+        v = v.withColumn("tele", F.lit(1.0 / max(g.n, 1)))
     else:
         v = v.join(teleport.select("id", F.col("tele").cast("double").alias("tele")), "id", "left").withColumn("tele", F.coalesce("tele", F.lit(0.0)))
     return place(v.select(block_of("id", q).alias("block"), "id", "out", "tele"), "block")
@@ -43,41 +44,66 @@ def apply_rank(vertices: DataFrame, sums: DataFrame, damping: float, spread: flo
     return met.select("block", "id", "rank", (F.col("rank") / F.col("out")).alias("share"))
 
 
-def first_ranks(g: Graph, vertices: DataFrame, start: DataFrame | None = None) -> DataFrame:
-    own = vertices.select("block", "id", "out", F.lit(1.0 / g.n).alias("rank"))
+def first_ranks(n: int, vertices: DataFrame, start: DataFrame | None = None) -> DataFrame:
+    own = vertices.select("block", "id", "out", F.lit(1.0 / max(n, 1)).alias("rank"))
     if start is not None:
         own = vertices.join(start.select("id", "rank"), "id", "left").select("block", "id", "out", F.coalesce("rank", F.lit(0.0)).alias("rank"))
     return own.select("block", "id", "rank", (F.col("rank") / F.col("out")).alias("share"))
 
 
+@dataclass
+class Prepared:
+    """A graph whose layout stands already: ids 0 .. n-1, the width, block, id, out, tele by block, and the method on that layout."""
+
+    n: int
+    q: int
+    vertices: DataFrame
+    method: Method
+
+
+def prepare(g: Graph, method: str = "bundled", q: int | None = None, personalization: DataFrame | None = None, **flags) -> Prepared:
+    allow_placement(g.spark)
+    q = q or width_for(g)
+    vertices = vertex_table(g, q, personalization).sortWithinPartitions("block", "id").persist()
+    return Prepared(g.n, q, vertices, METHODS[method](g, q, **flags))
+
+
 def iterate(
-    g: Graph, method: str = "bundled", q: int | None = None, iters: int = 20, damping: float = DAMPING, dangling: str = "drop",
-    personalization: DataFrame | None = None, start: DataFrame | None = None, tol: float | None = None, **flags,
+    g: Graph | None, method: str = "bundled", q: int | None = None, iters: int = 20, damping: float = DAMPING, dangling: str = "drop",
+    personalization: DataFrame | None = None, start: DataFrame | None = None, tol: float | None = None, value_type: str = "double",
+    every: int = CHECKPOINT_EVERY, prepared: Prepared | None = None, kept: list | None = None, **flags,
 ) -> Iterator[DataFrame]:
     """The ranks (block, id, rank, share) before the first and after each iteration.
 
     dangling: "drop" lets the rank of sinks leak, "spread" deals it to all vertices, "self"
     lets sinks keep it. q: width of blocks, planned for the session if not given. tol: stop
-    when the ranks move by less in sum.
+    when the ranks move by less in sum. value_type: "float" sends values of 4 bytes. every:
+    iterations between durable copies. prepared: a layout to run on, instead of ``g``. What is
+    persisted is added to ``kept``, to be released when the ranks have been read.
     """
     if dangling not in ("drop", "spread", "self"):
         raise ValueError("dangling is drop, spread or self")
-    allow_placement(g.spark)
-    q = q or width_for(g)
-    if dangling == "self":
-        g = with_sink_loops(g)
-    vertices = vertex_table(g, q, personalization).persist()
-    work: Method = METHODS[method](g, q, **flags)
-    cur = first_ranks(g, vertices, start)
+    if value_type not in ("double", "float"):
+        raise ValueError("value_type is double or float")
+    if prepared is None:
+        prepared = prepare(with_sink_loops(g) if dangling == "self" else g, method, q, personalization, **flags)
+    elif dangling == "self":
+        raise ValueError("a prepared layout has its loops or not")
+    vertices, work, n = prepared.vertices, prepared.method, prepared.n
+    allow_placement(vertices.sparkSession)
+    if kept is not None:
+        kept += [vertices, *work.kept]
+    cur = first_ranks(n, vertices, start)
     yield cur
     watch = tol is not None or dangling == "spread"
     for i in range(1, iters + 1):
         spread = 0.0
         if dangling == "spread":
             lost = cur.where("share is null").agg(F.sum("rank")).first()[0]
-            spread = (lost or 0.0) / g.n
-        new = apply_rank(vertices, work.step(cur), damping, spread)
-        if watch or i % CHECKPOINT_EVERY == 0 and i < iters:
+            spread = (lost or 0.0) / n
+        sums = work.step(cur.withColumn("share", F.col("share").cast(value_type)))
+        new = apply_rank(vertices, sums, damping, spread)
+        if watch or i % every == 0 and i < iters:
             new = place(materialise(new, "ranks"), "block")
         done = False
         if tol is not None:
@@ -89,18 +115,22 @@ def iterate(
             return
 
 
-def run(g: Graph, method: str = "bundled", **options) -> DataFrame:
-    """id, rank after the last iteration; options as for ``iterate``."""
+def run(g: Graph | None, method: str = "bundled", **options) -> DataFrame:
+    """id, rank after the last iteration; options as for ``iterate``. The ranks are written, and all that was kept for them is released."""
+    kept: list[DataFrame] = []
     last = None
-    for last in iterate(g, method, **options):
+    for last in iterate(g, method, kept=kept, **options):
         pass
-    return last.select("id", "rank")
+    out = materialise(last.select("id", "rank"), "ranks")
+    for df in kept:
+        df.unpersist()
+    return out
 
 
-def masses(g: Graph, **options) -> DataFrame:
-    """iteration, mass: the sum of ranks after each iteration."""
-    out = None
-    for i, ranks in enumerate(iterate(g, **options)):
-        row = ranks.agg(F.lit(i).cast("long").alias("iteration"), F.sum("rank").alias("mass"))
-        out = row if out is None else out.union(row)
-    return out
+def masses(g: Graph, iters: int = 20, **options) -> DataFrame:
+    """iteration, mass: the sum of ranks after each iteration; each is made from a written copy of the one before."""
+    kept: list[DataFrame] = []
+    rows = [(i, ranks.agg(F.sum("rank")).first()[0]) for i, ranks in enumerate(iterate(g, iters=iters, every=1, kept=kept, **options))]
+    for df in kept:
+        df.unpersist()
+    return g.spark.createDataFrame(rows, "iteration long, mass double")

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from bundlemv.operators.blocks import block_of
@@ -15,6 +15,33 @@ def delta(a: DataFrame, b: DataFrame) -> DataFrame:
     return both.agg(F.sum(d).alias("l1"), F.sqrt(F.sum(d * d)).alias("l2"), F.max(d).alias("largest"))
 
 
+def l1_delta(a: Column | str, b: Column | str) -> Column:
+    """Sum of absolute differences, as an aggregate; a missing value counts as 0."""
+    return F.sum(F.abs(F.coalesce(a, F.lit(0.0)) - F.coalesce(b, F.lit(0.0))))
+
+
+def gini(values: DataFrame, col: str) -> DataFrame:
+    """One row: the Gini coefficient of nonnegative numbers, from their histogram (a row per distinct value).
+
+    c equal values after b smaller ones have the ranks b+1 .. b+c, which add up in closed form.
+    """
+    hist = values.where(F.col(col).isNotNull()).groupBy(F.col(col).cast("double").alias("x")).agg(F.count("*").cast("double").alias("c"))
+    before = Window.orderBy("x").rowsBetween(Window.unboundedPreceding, -1)
+    hist = hist.withColumn("b", F.coalesce(F.sum("c").over(before), F.lit(0.0)))
+    each = F.col("x") * F.col("c")
+    n, total, ranked = F.sum("c"), F.sum(each), F.sum(each * (2 * F.col("b") + F.col("c") + 1))
+    return hist.agg(F.coalesce(F.when(total > 0, (ranked - (n + 1) * total) / (n * total)), F.lit(0.0)).alias("gini"))
+
+
+def rank_places(ranks: DataFrame, q: int) -> DataFrame:
+    """id, block and the place of a rank in its block: rank, dense rank, quarter, percent rank, cumulative share."""
+    own = Window.partitionBy("block").orderBy(F.desc("rank"))
+    tied = Window.partitionBy("block").orderBy(F.desc("rank"), "id")
+    return ranks.withColumn("block", block_of("id", q)).select(
+        "id", "block", F.rank().over(own).alias("pos"), F.dense_rank().over(own).alias("dense_pos"), F.ntile(4).over(tied).alias("quarter"),
+        F.percent_rank().over(own).alias("percent"), F.cume_dist().over(own).alias("cumulative"))
+
+
 def mass(a: DataFrame) -> DataFrame:
     return a.agg(F.sum("rank").alias("mass"))
 

@@ -16,8 +16,8 @@ from pyspark.sql import functions as F
 
 from bundlemv.functions.blocks import gather_block, scatter_block
 from bundlemv.graph import Graph, reverse
-from bundlemv.operators.blocks import balanced_blocks, block_count, blocked, block_of, parts_of, place
-from bundlemv.operators.layout import block_layout, bundles, packed_layout, packed_lists
+from bundlemv.operators.blocks import balanced_blocks, blocked, block_of, parts_of, place
+from bundlemv.operators.layout import CHUNK_EDGES, Packed, block_layout, bundles, packed_layout, packed_lists, packed_pairs
 
 #: Vertices whose shares may be broadcast for pulling (16 bytes each, so 160 MB).
 MAX_BROADCAST_IDS = 10_000_000
@@ -118,8 +118,9 @@ def bundled_resend(g: Graph, q: int) -> Method:
 
 def _block_vectors(shares: DataFrame) -> DataFrame:
     """block, vals: the share of every id of a block, in id order (0 where a vertex sends nothing)."""
-    pairs = shares.groupBy("block").agg(F.sort_array(F.collect_list(F.struct("id", F.coalesce("share", F.lit(0.0)).alias("x")))).alias("p"))
-    return pairs.select("block", F.transform("p", lambda p: p["x"]).alias("vals"))
+    x = F.coalesce("share", F.lit(0).cast(shares.schema["share"].dataType))
+    pairs = shares.groupBy("block").agg(F.sort_array(F.collect_list(F.struct("id", x.alias("x")))).alias("p"))
+    return pairs.select("block", F.col("p.x").alias("vals"))
 
 
 def _scatter_packed(shares: DataFrame, layout: DataFrame, q: int) -> DataFrame:
@@ -129,18 +130,36 @@ def _scatter_packed(shares: DataFrame, layout: DataFrame, q: int) -> DataFrame:
     return place(met.select("dst_block", "src_block", F.transform("srcs", lambda s: F.get("vals", (s - base).cast("int"))).alias("vals")), "dst_block")
 
 
-def bundled_positions(g: Graph, q: int) -> Method:
+def bundled(g: Graph, q: int, chunk_edges: int = CHUNK_EDGES) -> Method:
     """Values of a block pair in one row; each id knows the place of its value, so gather has no branch."""
-    layout, lists = packed_layout(g, q).persist(), packed_lists(g, q).persist()
-    w = ["weights"] if g.weighted else []
+    return bundled_on(packed_pairs(g, q, chunk_edges))
+
+
+def bundled_on(p: Packed) -> Method:
+    """The bundled method on a layout that is placed.
+
+    With chunks, a hub block's sums are made in two levels: by chunk, then by block.
+    """
+    w = ["weights"] if p.weighted else []
+    lists = p.lists.select("dst_block", "chunk", "src_block", "ids", "pos", *w)
+
+    def scatter(shares: DataFrame) -> DataFrame:
+        met = _block_vectors(shares).join(p.layout, F.col("block") == p.layout.src_block)
+        return place(met.select("dst_block", "chunk", "src_block", F.transform("srcs", lambda s: F.get("vals", s)).alias("vals")), *p.place)
 
     def gather(sent: DataFrame) -> DataFrame:
-        met = sent.join(lists, ["dst_block", "src_block"])
-        each = met.select(F.col("dst_block").alias("block"), "vals", "pos", *w, F.posexplode("ids").alias("i", "id"))
+        met = sent.join(lists, ["dst_block", "chunk", "src_block"])
+        each = met.select(F.col("dst_block").alias("block"), "chunk", "vals", "pos", *w, F.posexplode("ids").alias("i", "local"))
         value = F.get("vals", F.get("pos", F.col("i")))
-        return summed(each.select("block", "id", (value * F.get("weights", F.col("i")) if w else value).alias("v")))
+        value = value * F.get("weights", F.col("i")) if w else value
+        if p.chunked:
+            part = each.groupBy("block", "chunk", "local").agg(F.sum(value).alias("v"))
+            sums = place(part.select("block", "local", "v"), "block").groupBy("block", "local").agg(F.sum("v").alias("s"))
+        else:
+            sums = each.groupBy("block", "local").agg(F.sum(value).alias("s"))
+        return sums.select("block", (F.col("block").cast("long") * p.q + F.col("local")).alias("id"), "s")
 
-    return Method(gather, [layout, lists], lambda shares: _scatter_packed(shares, layout, q))
+    return Method(gather, [p.layout, p.lists], scatter)
 
 
 def bundled_nested(g: Graph, q: int) -> Method:
@@ -260,7 +279,7 @@ def naive(g: Graph, q: int) -> Method:
 
 
 METHODS: dict[str, Callable[..., Method]] = {
-    "bundled": bundled_nested, "bundled_positions": bundled_positions, "bundled_rows": bundled_rows, "bundled_adjacency": bundled_adjacency, "bundled_prefix": bundled_prefix,
+    "bundled": bundled, "bundled_nested": bundled_nested, "bundled_rows": bundled_rows, "bundled_adjacency": bundled_adjacency, "bundled_prefix": bundled_prefix,
     "bundled_arrow": bundled_arrow, "bundled_resend": bundled_resend, "per_edge": per_edge_reuse, "per_edge_resend": per_edge,
     "pull": pull, "edge_scan": edge_scan, "naive": naive,
 }
@@ -270,7 +289,3 @@ def buffer_flushes(g: Graph, q: int, rows: int) -> DataFrame:
     """dst_block, messages, flushes: write-combining buffers of ``rows`` messages per bin and source block."""
     per = blocked(g, q).groupBy("src_block", "dst_block").agg(F.count("*").alias("c"))
     return per.groupBy("dst_block").agg(F.sum("c").alias("messages"), F.sum(F.ceil(F.col("c") / rows)).alias("flushes"))
-
-
-def blocks_in(g: Graph, q: int) -> int:
-    return block_count(g.n, q)

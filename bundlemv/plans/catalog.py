@@ -12,6 +12,7 @@ from bundlemv.functions import blocks as udf
 from bundlemv.graph import Graph, Matrix
 from bundlemv.operators import blocks, cost, labels, layout, rank, results, spmv, steps
 from bundlemv.plans import oracles as sql
+from bundlemv.session import drop_at_exit, scratch_path
 from bundlemv.sources import files
 from bundlemv.sources import workloads as wl
 from bundlemv.sources.tables import load_table
@@ -100,6 +101,8 @@ add("assign_blocks", on("copurchase", lambda g: longs(blocks.assign_blocks(block
 add("block_table", on("cust_part", lambda g: longs(blocks.block_table(g, Q), "block")), f"{_EC}, d as ({_DEG}) select id // {Q} as block, min(id) as first, max(id) as last, count(*) as vertices, sum(out_deg)::bigint as out_edges, sum(in_deg)::bigint as in_edges from d group by 1")
 add("block_matrix", on("copurchase", lambda g: longs(blocks.block_matrix(g, Q), "src_block", "dst_block")), f"{_P} select src_block, dst_block, n_ids as edges, n_values as bundles from p")
 add("block_matrix_cube", on("copurchase", lambda g: longs(blocks.block_matrix_cube(g, 256), "src_block", "dst_block")), f"{_E} select coalesce(src // 256, -1) as src_block, coalesce(dst // 256, -1) as dst_block, count(*) as edges from e group by cube (src // 256, dst // 256)")
+add("block_matrix_rollup", on("copurchase", lambda g: longs(blocks.block_matrix_rollup(g, 256), "src_block", "dst_block")), f"{_E} select coalesce(src // 256, -1) as src_block, coalesce(dst // 256, -1) as dst_block, count(*) as edges from e group by rollup (src // 256, dst // 256)")
+add("block_totals", on("copurchase", lambda g: longs(blocks.block_totals(g, 256), "src_block", "dst_block")), f"{_E} select src // 256 as src_block, -1 as dst_block, count(*) as edges from e group by 1 union all select -1, dst // 256, count(*) from e group by 2")
 add("block_pivot", on("worked9", lambda g: longs(blocks.block_pivot(g, 3, 3), "src_block")), f"{sql.edges('worked9')} select (src // 3)::bigint as src_block, count(*) filter (dst // 3 = 0) as to_0, count(*) filter (dst // 3 = 1) as to_1, count(*) filter (dst // 3 = 2) as to_2 from e group by 1")
 add("bundles", on("lineseq", lambda g: longs(layout.bundles(g, Q).select("src", "dst_block", joined("dsts").alias("dsts"), F.size("dsts").alias("size")), "dst_block", "size")), f"{_LB} select src, dst_block, {_ADJ} as dsts, count(*) as size from b group by src, dst_block")
 add("first_edges", on("copurchase", lambda g: longs(layout.first_edges(g, Q), "src_block", "dst_block")), f"{_B} select src, min(dst) as dst, src_block, dst_block from b group by src, src_block, dst_block")
@@ -143,22 +146,44 @@ add("range_blocks", on("cust_part", _range_blocks), f"{_BAL} select id, block fr
 def _ranked(name: str, method: str, iters: int = ITERS, top: bool = False, **options) -> Query:
     def query(s: SparkSession, d: str) -> DataFrame:
         g = GRAPHS[name](s, d).persist()
-        return rounded(rank.run(g, method, iters=iters, **options), "rank")
+        out = rounded(rank.run(g, method, iters=iters, **options), "rank")
+        g.release()
+        return out
 
     return query
 
 
 for _name, _method in {
     "pull": "pull", "per_edge": "per_edge", "per_edge_resend": "per_edge_resend", "edge_scan": "edge_scan", "naive": "naive", "bundled_adjacency": "bundled_adjacency",
-    "bundled_layout": "bundled_rows", "bundled_branchless": "bundled_prefix", "bundled_packed": "bundled", "bundled_positions": "bundled_positions", "bundled_arrow": "bundled_arrow", "bundled_resend": "bundled_resend",
+    "bundled_layout": "bundled_rows", "bundled_branchless": "bundled_prefix", "bundled_packed": "bundled_nested", "bundled_positions": "bundled", "bundled_arrow": "bundled_arrow", "bundled_resend": "bundled_resend",
 }.items():
     add(f"step_{_name}", _ranked("cust_part", _method, 1), sql.rank("cust_part", 1))
 add("step_weighted", _ranked("nation_trade", "bundled", 1), sql.rank("nation_trade", 1, weighted=True))
 for _name, _method in {
     "pull": "pull", "per_edge": "per_edge", "per_edge_resend": "per_edge_resend", "edge_scan": "edge_scan", "naive": "naive", "bundled": "bundled",
-    "bundled_adjacency": "bundled_adjacency", "bundled_branch": "bundled_rows", "bundled_positions": "bundled_positions", "bundled_prefix": "bundled_prefix", "bundled_arrow": "bundled_arrow", "bundled_resend": "bundled_resend",
+    "bundled_adjacency": "bundled_adjacency", "bundled_branch": "bundled_rows", "bundled_nested": "bundled_nested", "bundled_prefix": "bundled_prefix", "bundled_arrow": "bundled_arrow", "bundled_resend": "bundled_resend",
 }.items():
     add(f"rank_{_name}", _ranked("copurchase", _method), sql.rank("copurchase"))
+add("rank_hub_chunks", _ranked("copurchase", "bundled", chunk_edges=1000), sql.rank("copurchase"))
+
+
+def _from_layout(s: SparkSession, d: str) -> DataFrame:
+    """Written once, opened again, and run without the edges."""
+    path = scratch_path(s, "layout")
+    files.write_layout(wl.copurchase(s, d).persist(), path, 128)
+    drop_at_exit(s, path)
+    return rounded(rank.run(None, prepared=files.prepared_layout(s, path), iters=ITERS), "rank")
+
+
+def _four_bytes(s: SparkSession, d: str) -> DataFrame:
+    """Values of 4 bytes against values of 8: whether the ranks agree to about seven digits."""
+    g = wl.copurchase(s, d).persist()
+    a, b = (rank.run(g, iters=ITERS, value_type=t).withColumnRenamed("rank", t) for t in ("float", "double"))
+    return a.join(b, "id").agg(F.count("*").alias("vertices"), (F.max(F.abs(F.col("float") / F.col("double") - 1)) < 1e-5).alias("close"))
+
+
+add("rank_from_layout", _from_layout, sql.rank("copurchase"))
+add("rank_four_bytes", _four_bytes, f"{_E} select n as vertices, true as close from nn")
 add("rank_pull_balanced", _ranked("copurchase", "pull", balanced=True), sql.rank("copurchase"))
 add("rank_pull_shuffled", _ranked("copurchase", "pull", max_broadcast=0), sql.rank("copurchase"))
 for _name in ("page_links", "user_flow", "kronecker", "lineseq", "supplier_mesh", "page_anchor"):
@@ -181,6 +206,10 @@ add("rank_until_settled", lambda s, d: rounded(rank.run(wl.copurchase(s, d).pers
 add("topk_per_block", lambda s, d: longs(rounded(results.top_per_block(rank.run(wl.copurchase(s, d).persist(), iters=ITERS), 256, 3), "rank"), "block", "pos"), sql.rank("copurchase", final="select id, round(rank, 10) as rank, id // 256 as block, row_number() over (partition by id // 256 order by rank desc, id) as pos from last qualify pos <= 3"))
 
 
+add("rank_places", lambda s, d: longs(rounded(results.rank_places(rounded(rank.run(wl.copurchase(s, d).persist(), iters=2), "rank"), 256), "percent", "cumulative"), "block", "pos", "dense_pos", "quarter"), sql.rank("copurchase", 2, final="""select id, id // 256 as block, rank() over w as pos, dense_rank() over w as dense_pos,
+    ntile(4) over (partition by id // 256 order by round(rank, 10) desc, id) as quarter, round(percent_rank() over w, 10) as percent, round(cume_dist() over w, 10) as cumulative from last window w as (partition by id // 256 order by round(rank, 10) desc)"""))
+
+
 def _outer_delta(s: SparkSession, d: str) -> DataFrame:
     g = wl.customer_part(s, d).persist()
     return rounded(results.delta(rank.run(g, iters=3), rank.run(g, "pull", iters=4)), "l1", "l2", "largest")
@@ -278,6 +307,35 @@ for _name in ("kronecker", "banded", "page_links"):
         p2 as (select id as old, row_number() over (order by in_deg desc, id) - 1 as new from d), p3 as (select id as old, row_number() over (order by sig nulls last, id) - 1 as new from g) """ + " union all ".join(_one.format(l=x, t=f"p{i}") for i, x in enumerate(("original", "random", "degree", "signature"))))
 
 
+def _labelings(g: Graph, greedy: bool = False) -> dict[str, DataFrame]:
+    own = {"original": labels.original(g), "random": labels.random(g)}
+    return own | ({"greedy": labels.shared_parents(g)} if greedy else {"degree": labels.by_degree(g), "signature": labels.parent_signature(g)})
+
+
+def _traffic_labels(name: str, greedy: bool = False) -> Query:
+    def query(s: SparkSession, d: str) -> DataFrame:
+        g = GRAPHS[name](s, d).persist()
+        return rounded(rounded(cost.traffic_by_label(g, _labelings(g, greedy), 16), "r"), "bytes", to=2)
+
+    return query
+
+
+#: Bytes of the three methods, written out for the labelings' SQL: q = 16, ids and values of 8 bytes, lines of 64.
+_BY_LABEL = (("pull", "m * (8 + miss * 64) + n * 16"), ("per_edge", "32 * m + n * 24"), ("bundled", "m * (8 + 8 / r + 16 / r) + k * k * 8 + 16 * n"))
+for _name in ("kronecker", "banded", "page_links"):
+    _one = "select '{l}' as label, count(*)::double as m, count(*) / count(distinct (a.new, b.new // 16)) as r, count(distinct (b.new // 16, a.new // 8)) / count(*) as miss from e join {t} a on a.old = src join {t} b on b.old = dst"
+    _each = " union all ".join(f"select label, '{m}' as method, round(r, 10) as r, round({t}, 2) as bytes from x" for m, t in _BY_LABEL)
+    add(f"traffic_by_label_{_name}", _traffic_labels(_name), f"""{sql.edges(_name)}, d as ({_DEG}), g as ({_SIG}), p0 as (select id as old, id as new from d), p1 as (select id as old, row_number() over (order by {_H}, id) - 1 as new from d),
+        p2 as (select id as old, row_number() over (order by in_deg desc, id) - 1 as new from d), p3 as (select id as old, row_number() over (order by sig nulls last, id) - 1 as new from g),
+        x as (select y.*, n::double as n, ((n + 15) // 16)::double as k from nn, (""" + " union all ".join(_one.format(l=x, t=f"p{i}") for i, x in enumerate(("original", "random", "degree", "signature"))) + f") y) {_each}")
+for _name in ("kronecker", "page_links", "lineseq"):
+    add(f"traffic_greedy_{_name}", _traffic_labels(_name, greedy=True))
+for _name in ("copurchase", "kronecker"):
+    add(f"traffic_by_width_{_name}", on(_name, lambda g: rounded(rounded(cost.traffic_by_width(g, list(range(4, 18))), "r"), "per_edge", "bundled", to=2)), f"""{sql.edges(_name)},
+        x as (select s, 1::bigint << s as q, n::double as n, ((n + (1::bigint << s) - 1) // (1::bigint << s))::double as k, count(*)::double as m, count(*) / count(distinct (src, dst >> s)) as r from e, nn, range(4, 18) t(s) group by s, n)
+        select s::bigint as shift, q, k::bigint as k, round(r, 10) as r, round(32 * m + n * 24, 2) as per_edge, round(m * (8 + 8 / r + 16 / r) + k * k * 8 + 16 * n, 2) as bundled, q * 8 as block_bytes, greatest(0, q * 8 - 262144) as overflow from x""")
+
+
 def _lines_by_label(s: SparkSession, d: str) -> DataFrame:
     out = None
     for x in ("order", "shipdate", "part"):
@@ -297,8 +355,8 @@ def _sent(g: Graph) -> DataFrame:
     """Values in the streams that the methods really send."""
     g, out = g.persist(), None
     steps.allow_placement(g.spark)
-    shares = rank.first_ranks(g, rank.vertex_table(g, Q).persist())
-    for name in ("bundled", "bundled_rows", "bundled_adjacency", "bundled_arrow", "bundled_resend", "per_edge", "per_edge_resend"):
+    shares = rank.first_ranks(g.n, rank.vertex_table(g, Q).persist())
+    for name in ("bundled", "bundled_nested", "bundled_rows", "bundled_adjacency", "bundled_arrow", "bundled_resend", "per_edge", "per_edge_resend"):
         stream = steps.METHODS[name](g, Q).scatter(shares)
         own = stream.agg(steps.count_values(stream).alias("messages")).select(F.lit(name).alias("method"), "messages")
         out = own if out is None else out.union(own)
@@ -306,7 +364,7 @@ def _sent(g: Graph) -> DataFrame:
 
 
 add("messages_sent", on("copurchase", _sent), f"{_CNT} " + " union all ".join(f"select '{n}' as method, {a}::bigint as messages from c" for n, a in (
-    ("bundled", "b"), ("bundled_rows", "b"), ("bundled_adjacency", "b"), ("bundled_arrow", "b"), ("bundled_resend", "b"), ("per_edge", "m"), ("per_edge_resend", "m"))))
+    ("bundled", "b"), ("bundled_nested", "b"), ("bundled_rows", "b"), ("bundled_adjacency", "b"), ("bundled_arrow", "b"), ("bundled_resend", "b"), ("per_edge", "m"), ("per_edge_resend", "m"))))
 add("buffer_flushes", on("copurchase", lambda g: longs(steps.buffer_flushes(g, Q, 16), "dst_block")), f"{_P} select dst_block, sum(n_ids)::bigint as messages, sum((n_ids + 15) // 16)::bigint as flushes from p group by 1")
 add("bin_switches", on("kronecker", lambda g: cost.count_bin_switches(g, Q)), f"""{sql.edges('kronecker')}, b as (select src, dst, src // {Q} as sb, dst // {Q} as db from e) select 'per_edge' as method, count(*) as switches from (select db, lag(db) over (partition by sb order by src, dst) as p from b) where p is null or p <> db
     union all select 'bundled', count(*) from (select distinct sb, db from b)""")
@@ -365,16 +423,16 @@ def _decoded(g: Graph) -> DataFrame:
 add("udtf_expand_bundle", _expanded, f"{sql.edges('nation_trade')} select dst, round(sum(2 * weight), 4) as x from e group by 1")
 add("sql_block_of", _block_of_sql, f"{sql.edges('lineseq')} select (dst >> 6) as block, count(*) as edges from e group by 1")
 add("udf_decode_ids", on("lineseq", _decoded), f"{sql.edges('lineseq')} select src, {_ADJ} as dsts from e group by src")
-add("udaf_gini_degree", on("cust_part", lambda g: ga.degrees(g).agg(F.round(udf.gini("out_deg"), 8).alias("gini"))), f"{_EC}, d as ({_DEG}), r as (select out_deg, row_number() over (order by out_deg) as i, count(*) over () as n from d) select round(sum((2 * i - n - 1) * out_deg) / (max(n) * sum(out_deg)), 8) as gini from r")
+add("gini_degree", on("cust_part", lambda g: rounded(results.gini(ga.degrees(g), "out_deg"), "gini", to=8)), f"{_EC}, d as ({_DEG}), r as (select out_deg, row_number() over (order by out_deg) as i, count(*) over () as n from d) select round(sum((2 * i - n - 1) * out_deg) / (max(n) * sum(out_deg)), 8) as gini from r")
 
 
-def _udaf_delta(s: SparkSession, d: str) -> DataFrame:
+def _l1_delta(s: SparkSession, d: str) -> DataFrame:
     g = wl.customer_part(s, d).persist()
     both = rank.run(g, iters=3).withColumnRenamed("rank", "a").join(rank.run(g, "pull", iters=4).withColumnRenamed("rank", "b"), "id")
-    return both.agg(F.round(udf.l1_delta("a", "b"), 10).alias("l1"))
+    return both.agg(F.round(results.l1_delta("a", "b"), 10).alias("l1"))
 
 
-add("udaf_l1_delta", _udaf_delta, sql.rank("cust_part", 4, final="select round(sum(abs(a.rank - b.rank)), 10) as l1 from r3 a join r4 b using (id)"))
+add("l1_delta", _l1_delta, sql.rank("cust_part", 4, final="select round(sum(abs(a.rank - b.rank)), 10) as l1 from r3 a join r4 b using (id)"))
 add("events_window_edges", lambda s, d: load_table(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp")).transform(lambda e: rounded(stream.window_counts(e).withColumn("start", F.date_format("start", "yyyy-MM-dd")), "total", to=4)), "select strftime(date_trunc('day', ts), '%Y-%m-%d') as start, event_type, count(*) as events, round(sum(value), 4) as total from events group by 1, 2")
 add("events_session_edges", lambda s, d: load_table(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp")).transform(lambda e: stream.session_counts(e).groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("events").alias("events"))), """with g as (select user_id, ts, case when ts - lag(ts) over (partition by user_id order by ts) < interval 6 hours then 0 else 1 end as fresh from events)
     select user_id, sum(fresh)::bigint as sessions, count(*) as events from g group by 1""")

@@ -9,8 +9,10 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, LongType, StructField, StructType
 
 from bundlemv.graph import Graph
-from bundlemv.operators.blocks import block_count
-from bundlemv.operators.layout import packed_layout, packed_lists
+from bundlemv.operators.blocks import block_count, place
+from bundlemv.operators.layout import Packed, packed_pairs
+from bundlemv.operators.rank import Prepared, vertex_table
+from bundlemv.operators.steps import allow_placement, bundled_on
 
 _FORMATS = {"csv": ("csv", ","), "tsv": ("csv", "\t"), "ssv": ("csv", " "), "json": ("json", None), "parquet": ("parquet", None), "orc": ("orc", None)}
 
@@ -43,12 +45,16 @@ def write_adjacency(g: Graph, path: str) -> None:
 
 
 def write_layout(g: Graph, path: str, q: int) -> None:
-    """The packed layout and lists as Parquet, parted by block, with their numbers beside them."""
-    layout, lists = packed_layout(g, q), packed_lists(g, q, flags=True)
-    layout.repartition("src_block").sortWithinPartitions("src_block", "dst_block").write.parquet(f"{path}/layout")
-    lists.repartition("dst_block").sortWithinPartitions("dst_block", "src_block").write.parquet(f"{path}/lists")
-    sums = g.spark.read.parquet(f"{path}/lists").agg(F.sum(F.size("ids")).alias("m"), F.sum(F.aggregate("flags", F.lit(0), lambda a, f: a + f.cast("int"))).alias("b")).first()
-    meta = {"n": g.n, "m": sums.m or 0, "q": q, "k": block_count(g.n, q), "bundles": sums.b or 0, "weighted": g.weighted}
+    """The packed layout and lists as Parquet, parted by block, the vertices, and their numbers beside them: built once, for any later run."""
+    p = packed_pairs(g, q)
+    p.lists.drop("srcs").write.parquet(f"{path}/lists")
+    p.layout.write.parquet(f"{path}/layout")
+    for df in (p.lists, p.layout):
+        df.unpersist()
+    vertex_table(g, q).write.parquet(f"{path}/vertices")
+    m = g.spark.read.parquet(f"{path}/lists").agg(F.sum(F.size("ids"))).first()[0]
+    b = g.spark.read.parquet(f"{path}/layout").agg(F.sum(F.size("srcs"))).first()[0]
+    meta = {"n": g.n, "m": m or 0, "q": q, "k": block_count(g.n, q), "bundles": b or 0, "weighted": g.weighted, "chunked": p.chunked}
     g.spark.createDataFrame([(json.dumps(meta),)], "value string").coalesce(1).write.text(f"{path}/meta")
 
 
@@ -63,6 +69,15 @@ def open_layout(spark: SparkSession, path: str) -> tuple[dict, DataFrame, DataFr
     return meta, layout, lists
 
 
+def prepared_layout(spark: SparkSession, path: str) -> Prepared:
+    """What ``rank.run(None, prepared=...)`` runs on: the written rows are dealt to this session's parts; edges are neither read nor sorted again."""
+    allow_placement(spark)
+    meta, layout, lists = open_layout(spark, path)
+    p = Packed(layout, lists, meta["q"], meta["weighted"], meta["chunked"]).placed()
+    vertices = place(spark.read.parquet(f"{path}/vertices"), "block").sortWithinPartitions("block", "id").persist()
+    return Prepared(meta["n"], meta["q"], vertices, bundled_on(p))
+
+
 def write_ranks(ranks: DataFrame, path: str, mode: str = "errorifexists") -> None:
     ranks.write.mode(mode).parquet(path)
 

@@ -10,8 +10,10 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StructField, StructType, TimestampType
 
 from bundlemv.graph import Graph
-from bundlemv.operators.layout import packed_layout
-from bundlemv.operators.rank import run
+from bundlemv.operators.blocks import blocked
+from bundlemv.operators.layout import Packed, packed_pairs
+from bundlemv.operators.rank import Prepared, run, vertex_table
+from bundlemv.operators.steps import allow_placement, bundled_on
 
 EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
@@ -62,41 +64,52 @@ def type_transitions(events: DataFrame) -> DataFrame:
     return coded.groupBy("user_id").applyInPandasWithState(step, _OUT, _STATE, "append", "NoTimeout")
 
 
+def late_rows(query) -> int:
+    """Rows that a running or ended stream has dropped behind its watermarks, over the progress it still knows."""
+    return sum(int(op["numRowsDroppedByWatermark"]) for p in query.recentProgress for op in p["stateOperators"])
+
+
 class LiveRank:
-    """Ranks that follow appended edges: only touched block pairs of the layout are built anew, and the rank starts from the last one."""
+    """Ranks that follow appended edges.
+
+    A batch writes its new edges and, of the layout, the rows of the block pairs that they
+    touch; nothing that stands is rewritten, and the newest row of a pair counts. The ranks run
+    on that layout and start from the last ones. Hub blocks are not cut into chunks here.
+    """
 
     def __init__(self, spark: SparkSession, n: int, q: int, path: str, iters: int = 5):
         self.spark, self.n, self.q, self.path, self.iters = spark, n, q, path, iters
         self.version, self.ranks = 0, None
 
-    def _at(self, what: str, version: int) -> str:
-        return f"{self.path}/{what}-{version}"
-
     def edges(self) -> DataFrame:
-        return self.spark.read.parquet(self._at("edges", self.version))
+        return self.spark.read.parquet(f"{self.path}/edges").select("src", "dst")
+
+    def lists(self) -> DataFrame:
+        """dst_block, chunk, src_block, ids, pos, srcs: the newest row of each block pair."""
+        rows = self.spark.read.parquet(f"{self.path}/pairs")
+        newest = rows.groupBy("dst_block", "src_block").agg(F.max("version").alias("version"))
+        return rows.join(newest, ["dst_block", "src_block", "version"], "left_semi").drop("version")
 
     def layout(self) -> DataFrame:
-        return self.spark.read.parquet(self._at("layout", self.version))
+        return self.lists().select("src_block", "dst_block", "chunk", "srcs")
 
     def append(self, new: DataFrame, _batch: int = 0) -> None:
-        """For foreachBatch: add distinct edges (src, dst), update the layout, refresh the ranks."""
+        """For foreachBatch: add distinct edges (src, dst), build touched pairs anew, refresh the ranks."""
         fresh = new.select("src", "dst").distinct()
-        old = self.version
-        whole = fresh if not old else self.edges().union(fresh).distinct()
-        g = Graph(whole, self.n)
-        self.version = old + 1
-        whole.write.parquet(self._at("edges", self.version))
-        g = g.with_edges(self.edges())
-        pair = lambda df: df.select(F.floor(F.col("src") / self.q).cast("int").alias("src_block"), F.floor(F.col("dst") / self.q).cast("int").alias("dst_block")).distinct()
-        touched = pair(fresh)
-        inside = g.edges.withColumn("src_block", F.floor(F.col("src") / self.q).cast("int")).withColumn("dst_block", F.floor(F.col("dst") / self.q).cast("int")).join(touched, ["src_block", "dst_block"], "left_semi")
-        rebuilt = packed_layout(g.with_edges(inside.select("src", "dst")), self.q)
-        if old:
-            kept = self.spark.read.parquet(self._at("layout", old)).join(touched, ["src_block", "dst_block"], "left_anti")
-            rebuilt = kept.unionByName(rebuilt)
-        rebuilt.write.parquet(self._at("layout", self.version))
-        ranks = run(g, q=self.q, iters=self.iters, start=self.ranks)
-        ranks.write.parquet(self._at("ranks", self.version))
-        self.ranks = self.spark.read.parquet(self._at("ranks", self.version))
-
-
+        if self.version:
+            fresh = fresh.join(self.edges(), ["src", "dst"], "left_anti")
+        self.version += 1
+        fresh.write.parquet(f"{self.path}/edges/version={self.version}")
+        fresh = self.spark.read.schema("src long, dst long").parquet(f"{self.path}/edges/version={self.version}")
+        touched = blocked(Graph(fresh, self.n), self.q).select("src_block", "dst_block").distinct()
+        inside = blocked(Graph(self.edges(), self.n), self.q).join(touched, ["src_block", "dst_block"], "left_semi").select("src", "dst")
+        built = packed_pairs(Graph(inside, self.n), self.q, chunk_edges=1 << 62)
+        built.lists.write.parquet(f"{self.path}/pairs/version={self.version}")
+        for df in (built.lists, built.layout):
+            df.unpersist()
+        allow_placement(self.spark)
+        p = Packed(self.layout(), self.lists().drop("srcs"), self.q, False, False).placed()
+        vertices = vertex_table(Graph(self.edges(), self.n), self.q).sortWithinPartitions("block", "id").persist()
+        ranks = run(None, prepared=Prepared(self.n, self.q, vertices, bundled_on(p)), iters=self.iters, start=self.ranks)
+        ranks.write.parquet(f"{self.path}/ranks/version={self.version}")
+        self.ranks = self.spark.read.parquet(f"{self.path}/ranks/version={self.version}")

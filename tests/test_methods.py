@@ -62,7 +62,7 @@ def test_methods_agree_with_a_dense_matrix(spark, method):
         assert np.allclose(ranks_of(rank.run(g, method, q=q, iters=2), 53), dense_rank(edges, 53, 2), atol=1e-12)
 
 
-@pytest.mark.parametrize("method", ["bundled", "bundled_positions", "bundled_rows", "bundled_prefix", "bundled_arrow", "per_edge", "per_edge_resend", "pull", "edge_scan", "naive"])
+@pytest.mark.parametrize("method", ["bundled", "bundled_nested", "bundled_rows", "bundled_prefix", "bundled_arrow", "per_edge", "per_edge_resend", "pull", "edge_scan", "naive"])
 def test_weighted(spark, method):
     rng = np.random.default_rng(3)
     edges = sorted({(int(a), int(b)) for a, b in rng.integers(0, 20, (80, 2))})
@@ -94,6 +94,38 @@ def test_odd_graphs(spark, edges, n):
             assert np.allclose(ranks_of(rank.run(g, method, q=q, iters=2), n), dense_rank(edges, n, 2), atol=1e-12)
 
 
+def test_hub_blocks_are_cut(spark):
+    """One vertex that all point at, and one that points at all: rows and tasks stay bounded, and the ranks are the same."""
+    n = 3000
+    rng = np.random.default_rng(8)
+    edges = sorted({(i, 7) for i in range(n)} | {(9, i) for i in range(n)} | {(int(a), int(b)) for a, b in rng.integers(0, n, (2000, 2))})
+    g = frame(spark, edges, n)
+    p = layout.packed_pairs(g, 256, chunk_edges=500)
+    assert p.chunked and p.place == ("dst_block", "chunk")
+    tasks = [r.e for r in p.lists.groupBy("dst_block", "chunk").agg(F.sum(F.size("ids")).alias("e")).collect()]
+    assert sum(tasks) == len(edges) and max(tasks) < 1000 < layout.packed_pairs(g, 256).lists.groupBy("dst_block").agg(F.sum(F.size("ids")).alias("e")).agg(F.max("e")).first()[0]
+    assert np.allclose(ranks_of(rank.run(g, q=256, iters=3, chunk_edges=500), n), dense_rank(edges, n, 3), atol=1e-12)
+    weighted = g.with_edges(g.edges.withColumn("weight", (F.col("src") % 3 + 1).cast("double")))
+    assert np.allclose(ranks_of(rank.run(weighted, q=256, iters=2, chunk_edges=500), n), dense_rank(edges, n, 2, weights=[u % 3 + 1 for u, _ in edges]), atol=1e-12)
+
+
+def test_four_byte_values(spark):
+    edges = [(0, 1), (1, 2), (2, 0), (2, 1)]
+    exact = dense_rank(edges, 4, 6)
+    for method in ("bundled", "bundled_arrow", "bundled_nested", "per_edge", "per_edge_resend", "pull"):
+        got = ranks_of(rank.run(frame(spark, edges, 4), method, q=2, iters=6, value_type="float"), 4)
+        assert np.allclose(got, exact, rtol=1e-6) and (method == "pull" or not (got == exact).all())
+
+
+def test_nothing_stays_kept(spark):
+    before = spark.sparkContext._jsc.getPersistentRDDs().size()
+    g = frame(spark, [(0, 1), (1, 2), (2, 0), (2, 1)], 4)
+    rank.run(g, q=2, iters=2).collect()
+    m = {r.iteration: r.mass for r in rank.masses(g, iters=3).collect()}
+    assert len(m) == 4 and m[3] == pytest.approx(dense_rank([(0, 1), (1, 2), (2, 0), (2, 1)], 4, 3).sum())
+    assert spark.sparkContext._jsc.getPersistentRDDs().size() == before
+
+
 def test_options(spark):
     g = frame(spark, [(0, 1), (1, 2), (2, 0), (2, 1)], 4)
     settled = ranks_of(rank.run(g, q=2, iters=200, tol=1e-3, dangling="spread"), 4)

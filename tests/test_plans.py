@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from bundlemv.graph import Graph
 from bundlemv.operators import rank, steps
+from bundlemv.operators.layout import packed_pairs
 from bundlemv.plans import check
 from bundlemv.sources import files
 from bundlemv.sources import workloads as wl
@@ -24,7 +25,8 @@ def no_broadcast(spark):
 
 def exchanges_per_iteration(g, method, **flags):
     def of(iters):
-        return check.moved(rank.run(g, method, q=64, iters=iters, **flags))
+        *_, last = rank.iterate(g, method, q=64, iters=iters, **flags)
+        return check.moved(last.select("id", "rank"))
 
     two, three = of(2), of(3)
     return {k: three[k] - two[k] for k in three | two if three[k] != two[k]}
@@ -33,6 +35,7 @@ def exchanges_per_iteration(g, method, **flags):
 def test_exchanges_per_iteration(spark, tiny, no_broadcast):
     g = wl.copurchase(spark, tiny).persist()
     assert exchanges_per_iteration(g, "bundled") == {"ShuffleExchangeExec": 1}
+    assert exchanges_per_iteration(g, "bundled", chunk_edges=50) == {"ShuffleExchangeExec": 2}  # sums of chunks, then of blocks
     assert exchanges_per_iteration(g, "bundled_rows") == {"ShuffleExchangeExec": 1}
     assert exchanges_per_iteration(g, "per_edge") == {"ShuffleExchangeExec": 1}
     assert exchanges_per_iteration(g, "per_edge_resend") == {"ShuffleExchangeExec": 1}
@@ -66,6 +69,10 @@ def test_layout_files(spark, tmp_path):
     files.write_layout(g, f"{tmp_path}/l", 3)
     meta, layout, lists = files.open_layout(spark, f"{tmp_path}/l")
     assert (meta["m"], meta["bundles"], meta["k"]) == (10, 6, 3) and layout.count() == lists.count() == 5
+    prepared = files.prepared_layout(spark, f"{tmp_path}/l")
+    for iters in (1, 4):
+        got, want = rank.run(None, prepared=prepared, iters=iters), rank.run(g, q=3, iters=iters)
+        assert {r.id: round(r.rank, 12) for r in got.collect()} == {r.id: round(r.rank, 12) for r in want.collect()}
     shutil.rmtree(f"{tmp_path}/l/layout")
     g.spark.createDataFrame([], layout.schema).write.parquet(f"{tmp_path}/l/layout")
     with pytest.raises(ValueError):
@@ -102,6 +109,16 @@ def test_streams_equal_batches(spark, event_files):
     assert slid == 2 * batch.count()
 
 
+def test_late_rows_are_counted(spark, tmp_path):
+    times = [["2024-01-10 00:00:00"], ["2024-01-20 00:00:00"], ["2024-01-01 00:00:00", "2024-01-20 01:00:00"]]
+    for i, some in enumerate(times):
+        rows = [(i * 10 + j, t, 1, "a", 1.0, "{}") for j, t in enumerate(some)]
+        spark.createDataFrame(rows, "event_id long, ts string, user_id long, event_type string, value double, props string").withColumn("ts", F.col("ts").cast("timestamp")).coalesce(1).write.mode("append").parquet(f"{tmp_path}/late")
+    q = stream.window_counts(stream.read_events(spark, f"{tmp_path}/late", 1)).writeStream.format("memory").queryName("late1").outputMode("update").trigger(availableNow=True).start()
+    q.awaitTermination(120)
+    assert stream.late_rows(q) == 1
+
+
 def test_state_follows_users(spark, event_files):
     batch, path = event_files
     live = finish(stream.type_transitions(stream.read_events(spark, path, 10)), "t1")
@@ -116,10 +133,8 @@ def test_live_ranks(spark, tmp_path):
     for i in range(3):
         live.append(spark.createDataFrame(edges[i::3], "src long, dst long"))
     g = Graph(spark.createDataFrame(edges, "src long, dst long"), 40)
-    from bundlemv.operators.layout import packed_layout
-
     rows = lambda df: sorted((r.src_block, r.dst_block, tuple(r.srcs)) for r in df.collect())
-    assert rows(live.layout()) == rows(packed_layout(g, 8))
+    assert rows(live.layout()) == rows(packed_pairs(g, 8).layout) and live.edges().count() == len(edges)
     got = {r.id: r.rank for r in live.ranks.collect()}
     want = {r.id: r.rank for r in rank.run(g, q=8, iters=40).collect()}
     assert max(abs(got[i] - want[i]) for i in want) < 2e-3
