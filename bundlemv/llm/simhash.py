@@ -27,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from bundlemv.llm.graphs import components, least_by
+from bundlemv.llm.graphs import components, key_filter, least_by, may_hold
 from bundlemv.session import materialise
 
 SEED = 42
@@ -246,7 +246,7 @@ def signature(h: np.ndarray) -> np.ndarray:
 
 
 def sketches(docs: DataFrame, shingle: int, id_col: str, text_col: str) -> DataFrame:
-    """id_col, node (a hash of the set of shingles), size (of the set), seeds, sig, text."""
+    """id_col, print (a hash of the text), node (a hash of the set of shingles), size (of the set), seeds, sig."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -258,10 +258,34 @@ def sketches(docs: DataFrame, shingle: int, id_col: str, text_col: str) -> DataF
                 rows.append((xxhash.xxh64_intdigest(h.tobytes(), SEED), len(h), least[:SEEDS].view(np.int64).tolist() if len(h) else [], sig))
             node, size, seeds, sig = zip(*rows) if rows else ((), (), (), ())
             node = pa.array(np.array(node, dtype=np.uint64).view(np.int64))
-            yield pa.RecordBatch.from_arrays([b.column(0), node, pa.array(size, pa.int32()), pa.array(seeds, pa.list_(pa.int64())), pa.array(sig, pa.binary()), b.column(1)], names=[id_col, "node", "size", "seeds", "sig", "text"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), node, pa.array(size, pa.int32()), pa.array(seeds, pa.list_(pa.int64())), pa.array(sig, pa.binary())], names=[id_col, "print", "node", "size", "seeds", "sig"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(id_col, F.col(text_col).cast("binary").alias("__text")).mapInArrow(work, f"`{id_col}` {kind}, node long, size int, seeds array<long>, sig binary, text binary")
+    return _texts(docs, id_col, text_col).mapInArrow(work, f"`{id_col}` {kind}, print long, node long, size int, seeds array<long>, sig binary")
+
+
+def _texts(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """id_col, text (bytes), print."""
+    text = F.col(text_col).cast("binary")
+    return docs.select(id_col, text.alias("__text"), F.xxhash64(text).alias("print")).toDF(id_col, "text", "print")
+
+
+def texts_of(docs: DataFrame, asked: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """id, print, text of the rows that ``asked`` (id, print) names, once each; only they are shuffled.
+
+    A filter of bounded size over the prints lets the other rows go where they are read.
+    """
+    named = asked.select("id", "print").distinct()
+    prints = materialise(named.select("print").distinct(), "sketch-prints")
+    bits = docs.sparkSession.sparkContext.broadcast(key_filter(prints, "print", prints.count()))
+
+    @F.arrow_udf("boolean")
+    def maybe(x: pa.Array) -> pa.Array:
+        return pa.array(may_hold(bits.value, x.to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64)))
+
+    rows = _texts(docs, id_col, text_col).withColumnRenamed(id_col, "id").where(maybe("print"))
+    rows = rows.groupBy("id", "print").agg(F.first("text").alias("text"))
+    return rows.join(named, rows["id"].eqNullSafe(named["id"]) & (rows["print"] == named["print"]), "left_semi")
 
 
 def proposed(size: np.ndarray, sigs: np.ndarray, seeds: np.ndarray, place: np.ndarray, similarity: float) -> np.ndarray:
@@ -332,7 +356,7 @@ def _groups(key: np.ndarray) -> list[np.ndarray]:
 
 
 def shard_keys(nodes: DataFrame) -> DataFrame:
-    """node, size, seeds, sig, row -> the same with key, place (number of the seed that is the key, or -1).
+    """node, size, seeds, sig -> the same with key, place (number of the seed that is the key, or -1).
 
     A seed that more than HOT_SEED texts share is no key. Each text that has one gets bands
     of its signature as further keys: texts that share a passage and little else rarely share
@@ -360,8 +384,9 @@ def shard_keys(nodes: DataFrame) -> DataFrame:
 def similar_components(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """id_col, node, component_id (the least id reachable over links of at least ``similarity``)."""
     spark = docs.sparkSession
-    prints = materialise(sketches(docs, shingle, id_col, text_col).withColumn("row", F.monotonically_increasing_id()), "sketches")
-    nodes = materialise(prints.groupBy("node").agg(F.min(id_col).alias("least"), F.min("row").alias("row"), F.first("size").alias("size"), F.first("seeds").alias("seeds"), F.first("sig").alias("sig")), "sketch-nodes")
+    prints = materialise(sketches(docs, shingle, id_col, text_col), "sketches")
+    # a node's text is read again from the row with its least id
+    nodes = materialise(prints.groupBy("node").agg(F.min(F.struct(F.col(id_col).alias("id"), "print")).alias("r"), F.min(id_col).alias("least"), F.first("size").alias("size"), F.first("seeds").alias("seeds"), F.first("sig").alias("sig")).select("node", "r.*", "least", "size", "seeds", "sig"), "sketch-nodes")
     n = nodes.count()
     shuffles = int(spark.conf.get("spark.sql.shuffle.partitions"))
 
@@ -372,7 +397,7 @@ def similar_components(docs: DataFrame, similarity: float = 0.8, shingle: int =
         found = np.zeros(len(key), bool)
         for at in _groups(key):
             found[at] = proposed(size[at], sigs[at], seeds[at], place[at], similarity)
-        return table.select(["node", "row", "key"]).filter(pa.array(found))
+        return table.select(["node", "key"]).filter(pa.array(found))
 
     def solve(table: pa.Table) -> pa.Table:
         node = table.column("node").to_numpy()
@@ -383,11 +408,13 @@ def similar_components(docs: DataFrame, similarity: float = 0.8, shingle: int =
         return pa.table({"u": pa.array(names[edges[:, 0]], pa.int64()), "v": pa.array(names[edges[:, 1]], pa.int64())})
 
     bucket = lambda most: F.pmod(F.xxhash64("key"), F.lit(max(shuffles, most))).alias("b")
-    each = shard_keys(nodes.select("node", "row", "size", "seeds", "sig"))
-    asked = each.select("node", "row", "size", "sig", "seeds", "place", "key", bucket(-(-n * SEEDS // 20_000))).groupBy("b").applyInArrow(propose, "node long, row long, key long")
+    each = shard_keys(nodes.select("node", "size", "seeds", "sig"))
+    asked = each.select("node", "size", "sig", "seeds", "place", "key", bucket(-(-n * SEEDS // 20_000))).groupBy("b").applyInArrow(propose, "node long, key long")
     asked = materialise(asked, "sketch-proposed")
-    texts = asked.join(prints.select("row", "text"), "row").select("node", "key", "text", bucket(-(-asked.count() // SHARD_TEXTS)))
-    edges = texts.groupBy("b").applyInArrow(solve, "u long, v long")
+    named = materialise(nodes.join(asked.select("node").distinct(), "node", "left_semi").select("node", "id", "print"), "sketch-named")
+    texts = texts_of(docs, named, id_col, text_col).withColumnsRenamed({"id": "__id", "print": "__print"})
+    texts = named.join(texts, F.col("print") == F.col("__print"), "inner").where(F.col("id").eqNullSafe(F.col("__id"))).select("node", "text")
+    edges = asked.join(texts, "node").select("node", "key", "text", bucket(-(-asked.count() // SHARD_TEXTS))).groupBy("b").applyInArrow(solve, "u long, v long")
     roots = components(edges)
     named = nodes.select("node", "least").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     heads = least_by(named, "root", "least", "component_id")

@@ -45,6 +45,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from bundlemv.llm.graphs import key_filter, may_hold
 from bundlemv.session import materialise
 
 LENGTH, GRAM = 400, 16
@@ -54,8 +55,6 @@ BATCHES = 4
 BUCKET_BYTES = 32 << 20
 #: Contents that share a part and are compared in one bucket; parts with more are aggregated by window.
 HOT = 4096
-#: Size of the filter over matching keys, at most; it only spares shuffles, a join decides.
-FILTER_BITS = 1 << 27
 #: Texts are fingerprinted in slabs of so many bytes, which overlap by a window.
 SLAB = 1 << 20
 #: Words of a passage and of the strings that are drawn from it (a power of two).
@@ -292,28 +291,6 @@ class SuffixFamily:
 # --- resolution ---------------------------------------------------------------
 
 
-def _key_filter(keys: DataFrame, n: int) -> np.ndarray:
-    """A bit array in which every key of ``keys`` has its two bits set; empty if it could not tell keys apart."""
-    bits = 1 << max(10, min(FILTER_BITS.bit_length() - 1, (16 * n).bit_length()))
-    if 4 * n > bits:
-        return np.zeros(0, np.uint64)
-    shift = 64 - (bits.bit_length() - 1)
-    spots = keys.select(F.explode(F.array(F.shiftrightunsigned("key", shift), F.shiftright("key", 1).bitwiseAND(bits - 1))).alias("spot"))
-    words = spots.groupBy(F.shiftright("spot", 6).alias("word")).agg(F.expr("bit_or(shiftleft(1L, cast(spot & 63 as int)))").alias("b")).toArrow()  # at most FILTER_BITS / 64 rows
-    out = np.zeros(bits // 64, np.int64)
-    out[words.column("word").to_numpy()] = words.column("b").to_numpy()
-    return out.view(np.uint64)
-
-
-def _may_hold(bits: np.ndarray, keys: np.ndarray) -> np.ndarray:
-    if not len(bits):
-        return np.ones(len(keys), bool)
-    shift, out = _U(64 - (len(bits) * 64).bit_length() + 1), np.ones(len(keys), bool)
-    for spot in (keys >> shift, keys >> _U(1) & _U(len(bits) * 64 - 1)):
-        out &= (bits[(spot >> _U(6)).astype(np.int64)] >> (spot & _U(63))) & _U(1) == 1
-    return out
-
-
 def _places(docs: DataFrame, bits: np.ndarray, length: int) -> DataFrame:
     """Suffixes of ``docs`` (__id, __print, __text) whose key may match: where they stand. Kind 5: strings of words, without a place."""
     held = docs.sparkSession.sparkContext.broadcast(bits)
@@ -327,7 +304,7 @@ def _places(docs: DataFrame, bits: np.ndarray, length: int) -> DataFrame:
                 words = word_strings(data, prints)
                 none = np.zeros(len(words), np.int64)
                 for kind, key, content, lo, hi, check in [*suffixes(data, length, True, prints), (5, words, none, none, none, none)]:
-                    some = np.nonzero(_may_hold(held.value, key))[0]
+                    some = np.nonzero(may_hold(held.value, key))[0]
                     if len(some):
                         parts.append((np.full(len(some), kind), key[some].view(np.int64), content[some].view(np.int64), lo[some], hi[some], check[some].view(np.int64)))
                         of.append(np.full(len(some), i))
@@ -439,7 +416,7 @@ def repeated_spans(docs: DataFrame, batches: int = BATCHES, length: int = LENGTH
     for i in range(batches):
         family.insert(named.where(F.pmod(F.xxhash64("__id"), F.lit(batches)) == i), "__text", last=i == batches - 1)
     keys = materialise(family.matches(), "suffix-keys")
-    places = _places(named, _key_filter(keys, keys.count()), length).join(keys, "key", "left_semi")
+    places = _places(named, key_filter(keys, "key", keys.count()), length).join(keys, "key", "left_semi")
     places = materialise(places, "suffix-places")
     # the count is grouped by one key more than the join's, so that the join deals both sides anew and can split a hot stretch
     whole = places.where("kind = 0")
