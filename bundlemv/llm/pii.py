@@ -2,19 +2,24 @@
 
 Every kind has a pattern, a validator and a base score. A span is kept if its validator
 accepts it and its score reaches the threshold. Kinds of the base list start at the
-threshold, so context can only raise them; the further kinds start below it, so they need
-a checksum (mod 97) or a context word close by.
+threshold, so context can only raise them. Further kinds need a checksum (mod 97), a stated
+frame (private keys), or start below it and need a context word close by (secrets by their
+entropy, social security numbers).
 
 Matches are the leftmost ones that do not overlap, per kind; a match that fails is
 dropped without a second try. Positions are code points, the end exclusive.
 
 Defined cases: null is empty; repeated rows come back once each; an empty table gives an
 empty result; long texts are searched whole.
+Columns beside the named ones are not read, whatever they are called; functions that
+return whole rows return them as they are.
 """
 
 from __future__ import annotations
 
+import math
 import re
+from collections import Counter
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
@@ -33,6 +38,10 @@ PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 
 IBAN = re.compile(r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?:\x20?[A-Z0-9]{4}){2,7}(?:\x20?[A-Z0-9]{1,3})?(?![A-Za-z0-9])")
 SSN = re.compile(r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])")
+SECRET = re.compile(r"(?<![A-Za-z0-9_+/=-])[A-Za-z0-9_+/=-]{20,}")
+PRIVATE = re.compile(r"-----BEGIN [A-Z ]{0,40}PRIVATE KEY-----")
+#: Bits a character that a secret has at least; words and numbers in a row have fewer, random hexadecimal digits about 3.7.
+ENTROPY = 3.0
 #: How far, in code points, a context word may stand before or behind a span.
 REACH = 40
 THRESHOLD = 0.5
@@ -72,6 +81,12 @@ def _ssn(s: str) -> bool:
     return a not in ("000", "666") and a < "900" and b != "00" and c != "0000"
 
 
+def _random(s: str) -> bool:
+    """Letters and digits without an order that saves bits."""
+    shares = [n / len(s) for n in Counter(s).values()]
+    return any(c.isdigit() for c in s) and any(c.isalpha() for c in s) and -sum(p * math.log2(p) for p in shares) >= ENTROPY
+
+
 @dataclass(frozen=True)
 class Kind:
     name: str
@@ -91,6 +106,8 @@ KINDS = (
     Kind("phone", PHONE, lambda s: 8 <= len(only_digits(s)) <= 15, 0.6, "+", frozenset({"phone", "tel", "call", "mobile", "fax"})),
     Kind("iban", IBAN, mod97, 0.7, "", frozenset({"iban", "account", "bank"})),
     Kind("ssn", SSN, _ssn, 0.3, "-", frozenset({"ssn", "social", "security"})),
+    Kind("secret", SECRET, _random, 0.3, "", frozenset({"token", "secret", "password", "passwd", "api", "apikey", "key", "auth", "bearer", "credential"})),
+    Kind("private_key", PRIVATE, lambda s: True, 0.9, "-----BEGIN "),
 )
 _WORD = re.compile(r"[a-z-]+")
 
@@ -109,8 +126,9 @@ def _addresses(text: str) -> Iterator[tuple[int, int]]:
         at = text.find("@", floor)
 
 
-def _matches(kind: Kind, text: str) -> Iterator[tuple[int, int]]:
-    if kind.needs not in text:
+def _matches(kind: Kind, text: str, lower: str) -> Iterator[tuple[int, int]]:
+    """Where a kind's pattern matches; nothing where its spans could not reach the threshold."""
+    if kind.needs not in text or kind.score < THRESHOLD and not any(w in lower for w in kind.context):
         return iter(())
     return _addresses(text) if kind.pattern is DOMAIN else (m.span() for m in kind.pattern.finditer(text))
 
@@ -118,8 +136,9 @@ def _matches(kind: Kind, text: str) -> Iterator[tuple[int, int]]:
 def find_spans(text: str | None, kinds: tuple[Kind, ...] = KINDS) -> list[tuple[str, int, int, float]]:
     """(kind, start, end, score), by kind as listed and then start."""
     text, out = text or "", []
+    lower = text.lower()
     for kind in kinds:
-        for start, end in _matches(kind, text):
+        for start, end in _matches(kind, text, lower):
             if kind.valid(text[start:end]):
                 near = (text[max(0, start - REACH) : start] + " " + text[end : end + REACH]).lower()
                 score = min(1.0, kind.score + kind.boost * (not kind.context.isdisjoint(_WORD.findall(near))))
@@ -176,7 +195,7 @@ def op5(spark, sf_dir):
     base = F.filter("found", lambda s: s["kind"].isin(*BASE))
     count = lambda k: F.size(F.filter("found", lambda s: s["kind"] == k)).cast("long").alias(f"n_{k}")
     return out.select(
-        "doc_id", *[count(k) for k in BASE],
+        "doc_id", *[count(k) for k in BASE], F.size("found").cast("long").alias("n_spans"),
         F.sha2(F.array_join(F.transform(base, place), ",").cast("binary"), 256).alias("base_sha256"),
         F.array_join(F.transform("found", place), ",").alias("spans"),
     )

@@ -81,3 +81,13 @@ def test_odd_inputs(spark):
     clean = pii.redact(docs)
     assert clean.columns == docs.columns and clean.count() == 14
     assert pii.detect(docs.limit(0)).collect() == [] == pii.redact(docs.limit(0)).collect()
+
+
+def test_secrets():
+    token = "b44e15e09fd311c3cf3163b66d5a9875b883d8ce"
+    kinds = lambda t: [(k, t[s:e]) for k, s, e, _ in pii.find_spans(t)]
+    assert kinds(f'token = "{token}"') == [("secret", token)] == kinds(f"TOKEN: {token.upper()}".replace(token.upper(), token))
+    assert kinds(f"commit {token} fixes it") == [] == kinds("token " + "ab1" * 20) == kinds("the key is aVeryLongWordWithoutAnyDigitInIt")
+    assert kinds("-----BEGIN RSA PRIVATE KEY-----") == [("private_key", "-----BEGIN RSA PRIVATE KEY-----")]
+    assert pii.redacted(f'api_key="{token}" x') == 'api_key="<SECRET>" x'
+    assert pii.find_spans("key " + "aB3-" * 200_000) is not None
