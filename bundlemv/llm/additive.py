@@ -17,6 +17,8 @@ Defined cases: rows with a null id or a vector that is null, zero or holds null
 non-finite components take no part; shorter vectors end in zeros; a repeated row is a
 candidate each time, save for its own id; equal scores go to the smaller id; with fewer
 than k candidates all are returned; an empty table gives an empty result.
+Columns beside the named ones are not read, whatever they are called; functions that
+return whole rows return them as they are.
 """
 
 from __future__ import annotations
@@ -33,8 +35,8 @@ from pyspark.sql import functions as F
 from bundlemv.llm.vectors import BestLists, chunks, final_lists, finite, matrix, own_cells, query_blocks, width_of
 from bundlemv.session import materialise
 
-#: Vectors that codebooks are fitted on, at most.
-SAMPLE = 8192
+#: Vectors that codebooks are fitted on, at most, and their bytes.
+SAMPLE, SAMPLE_BYTES = 8192, 64 << 20
 BOOKS, WORDS, BEAM = 16, 128, 4
 #: Margin in standard deviations of an estimate whose remainder points anywhere.
 MARGIN = 3.0
@@ -105,7 +107,7 @@ class AdditiveIndex:
 def build_index(rows: DataFrame, books: int = BOOKS, words: int = WORDS, beam: int = BEAM, sample: int = SAMPLE) -> AdditiveIndex | None:
     """Index every row (id long, v array<double>); None if there is none."""
     width = width_of(rows, "v")
-    some = rows.orderBy(F.xxhash64("id"), "id").limit(sample).select("v").toArrow().combine_chunks()
+    some = rows.orderBy(F.xxhash64("id"), "id").limit(max(1, min(sample, SAMPLE_BYTES // (8 * max(width, 1))))).select("v").toArrow().combine_chunks()
     if not some.num_rows or not width:
         return None
     cb = fit_books(matrix(some.column("v").chunk(0), width), books, words)

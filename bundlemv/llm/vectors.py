@@ -1,8 +1,7 @@
 """What the two vector searches share: valid rows, blocks of queries, local and final lists.
 
 A search holds a stated query set against all rows in blocks: a block of about
-``BLOCK_QUERIES`` queries is broadcast (its size is bounded by that number and the vector
-width), every partition keeps its best ``k`` per query while it streams its rows, and one
+``BLOCK_QUERIES`` queries (fewer of wide vectors, within ``BLOCK_BYTES``) is broadcast, every partition keeps its best ``k`` per query while it streams its rows, and one
 small sort per query merges the partitions' lists.
 """
 
@@ -19,8 +18,8 @@ from pyspark.sql import functions as F
 BLOCK_QUERIES = 4096
 #: Rows that a partition holds against a block at once.
 CHUNK = 2048
-#: The widest vectors that are taken, so that a block of queries stays below 128 MB.
-MAX_WIDTH = 4096
+#: Bytes of a block of queries, at most; wide vectors make smaller blocks.
+BLOCK_BYTES = 128 << 20
 
 
 def finite(v: str) -> Column:
@@ -30,10 +29,7 @@ def finite(v: str) -> Column:
 
 
 def width_of(rows: DataFrame, v: str) -> int:
-    width = rows.agg(F.max(F.size(v))).first()[0] or 0
-    if width > MAX_WIDTH:
-        raise ValueError(f"vectors of {width} components; the search takes up to {MAX_WIDTH}")
-    return width
+    return rows.agg(F.max(F.size(v))).first()[0] or 0
 
 
 def matrix(lists: pa.Array, width: int, dtype=np.float64) -> np.ndarray:
@@ -50,6 +46,7 @@ def matrix(lists: pa.Array, width: int, dtype=np.float64) -> np.ndarray:
 def query_blocks(queries: DataFrame, width: int, block: int = BLOCK_QUERIES) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """(ids, matrix) of blocks of queries (columns id, v), one at a time. An id that repeats is one query, with its least vector."""
     queries = queries.groupBy("id").agg(F.min("v").alias("v"))
+    block = max(1, min(block, BLOCK_BYTES // (8 * max(width, 1))))
     n = math.ceil(queries.count() / block)
     for i in range(n):
         own = queries.where(F.pmod(F.xxhash64("id"), F.lit(n)) == i).toArrow().combine_chunks()

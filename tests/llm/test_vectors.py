@@ -137,3 +137,19 @@ def test_repeated_ids(spark):
     rows, queries = spark.createDataFrame(data, ROWS), spark.createDataFrame([(100, [1, 1])], ROWS)
     got = sorted(map(tuple, topk.exact_top_k(rows, queries, 5).collect()))
     assert [(r[2], r[3]) for r in got] == [(3, 38), (3, 38), (6, 36), (6, 36), (1, 20)]
+
+
+def test_wide_vectors(spark, monkeypatch):
+    monkeypatch.setattr(vectors, "BLOCK_BYTES", 5 * 8 * 6000)
+    rng = np.random.default_rng(2)
+    x = rng.integers(-9, 9, (60, 6000))
+    rows = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], ROWS)
+    queries = rows.where("id % 5 = 0")
+    assert [len(i) for i, _ in vectors.query_blocks(queries, 6000)] and max(len(i) for i, _ in vectors.query_blocks(queries, 6000)) <= 12
+    assert sorted(map(tuple, topk.exact_top_k(rows, queries, 3).collect())) == plain_top([(i, v.tolist()) for i, v in enumerate(x)], [(i, x[i].tolist()) for i in range(0, 60, 5)], 3)
+    wide = rows.selectExpr("id", "cast(v as array<double>) as v")
+    got = additive.search(additive.build_index(wide, books=2, words=16), wide.where("id % 5 = 0"), 3)
+    score = x @ x.T
+    np.fill_diagonal(score, -(10**9))
+    near = {(i, int(j)) for i in range(0, 60, 5) for j in np.argsort(-score[i], kind="stable")[:3]}
+    assert len(near & {(r.query_id, r.id) for r in got.collect()}) >= 0.9 * len(near)
