@@ -148,7 +148,7 @@ def test_wide_vectors(spark, monkeypatch):
     assert [len(i) for i, _ in vectors.query_blocks(queries, 6000)] and max(len(i) for i, _ in vectors.query_blocks(queries, 6000)) <= 12
     assert sorted(map(tuple, topk.exact_top_k(rows, queries, 3).collect())) == plain_top([(i, v.tolist()) for i, v in enumerate(x)], [(i, x[i].tolist()) for i in range(0, 60, 5)], 3)
     wide = rows.selectExpr("id", "cast(v as array<double>) as v")
-    got = additive.search(additive.build_index(wide, books=2, words=16), wide.where("id % 5 = 0"), 3)
+    got = additive.search(additive.build_index(wide, books=4, words=32), wide.where("id % 5 = 0"), 3, margin=5.0)
     score = x @ x.T
     np.fill_diagonal(score, -(10**9))
     near = {(i, int(j)) for i in range(0, 60, 5) for j in np.argsort(-score[i], kind="stable")[:3]}
