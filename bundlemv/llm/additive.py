@@ -10,8 +10,10 @@ A vector is coded as a sum of one word from each of ``books`` full-dimensional c
 * A query scores rows through one table of word scores per book. First every partition
   gives the k best estimates per query with their exact scores; the k-th best of those is
   the query's bar. Then a row is reranked by its exact score if its estimate, plus a margin
-  from the stored remainder's norm, reaches the bar. The margin follows the remainder, so
-  tight clusters get long short lists and no row count is fixed; ``reranked`` counts them.
+  from the stored remainder's norm, reaches the bar, or if it is among the k best estimates of
+  its partition. The margin follows the remainder (and covers copies of the query, for which the
+  remainder is not in any direction), so tight clusters get long short lists and no row count
+  is fixed; ``reranked`` counts them.
 
 Defined cases: rows with a null id or a vector that is null, zero or holds null or
 non-finite components take no part; shorter vectors end in zeros; a repeated row is a
@@ -40,6 +42,8 @@ SAMPLE, SAMPLE_BYTES = 8192, 64 << 20
 BOOKS, WORDS, BEAM = 16, 128, 4
 #: Margin in standard deviations of an estimate whose remainder points anywhere.
 MARGIN = 3.0
+#: Least cosine of a query with the decoded form of a row that may be its copy.
+NEAR = 0.5
 METRICS = ("inner_product", "euclidean")
 
 
@@ -173,15 +177,33 @@ class _Estimates:
         guess[own_cells(self.query_ids, ids)] = -np.inf
         return guess
 
-    def slack(self, b: pa.RecordBatch, margin: float) -> np.ndarray:
-        """How far below its exact score an estimate may be, by query and row."""
+    def slack(self, b: pa.RecordBatch, margin: float, guess: np.ndarray) -> np.ndarray:
+        """How far below its exact score an estimate may be, by query and row.
+
+        The remainder stands in any direction to most queries, but along one that (nearly) is
+        the row itself; such a query has at least NEAR as its cosine with the decoded row.
+        """
         rest, norm = b.column(4).to_numpy(), np.sqrt(b.column(3).to_numpy())
-        out = self.spread[:, None] * (margin * rest).astype(np.float32)[None, :]
+        out = self.spread[:, None] * rest.astype(np.float32)[None, :]
+        if self.far:
+            out *= margin
+        else:
+            copy = guess >= (NEAR * np.sqrt(self.norm2)).astype(np.float32)[:, None] * norm.astype(np.float32)[None, :]
+            out = np.where(copy, np.maximum(margin * out, out + (rest**2).astype(np.float32)[None, :]), margin * out)
         out += (np.sqrt(self.norm2)[:, None] * (4e-6 * (norm + rest))[None, :]).astype(np.float32)  # single precision
         if self.far:
             out += (rest**2 + 4e-6 * norm**2).astype(np.float32)[None, :] + (4e-6 * self.norm2).astype(np.float32)[:, None]
         return out
 
+    def leading(self, guess: np.ndarray, best: BestLists) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(query, row, estimate) of a chunk's best estimates that may enter the lists."""
+        few = min(best.k, guess.shape[1])
+        col = np.argpartition(guess, guess.shape[1] - few, axis=1)[:, -few:]
+        qi, col = np.repeat(np.arange(len(guess)), few), col.ravel()
+        val = guess[qi, col].astype(np.float64)
+        good = (val > -np.inf) & (val >= best.worst[qi])
+        return qi[good], col[good], val[good]
+
     def exact(self, qi: np.ndarray, x: np.ndarray, col: np.ndarray) -> np.ndarray:
         out = np.empty(len(qi))
         for i in range(0, len(qi), 1 << 16):
@@ -200,13 +222,8 @@ def _bars(index: AdditiveIndex, block, k: int, metric: str, n: int) -> np.ndarra
         best, at_row = BestLists(len(est.q), k), 0
         for b in chunks(batches):
             ids = b.column(0).to_numpy().astype(np.int64)
-            guess, few = est.of(b, ids), min(k, len(ids))
-            col = np.argpartition(guess, len(ids) - few, axis=1)[:, -few:]
-            qi, col = np.repeat(np.arange(len(guess)), few), col.ravel()
-            val = guess[qi, col].astype(np.float64)
-            good = (val > -np.inf) & (val >= best.worst[qi])
-            qi, col = qi[good], col[good]
-            best.add(qi, at_row + col, val[good], est.exact(qi, matrix(b.column(1), width), col))
+            qi, col, val = est.leading(est.of(b, ids), best)
+            best.add(qi, at_row + col, val, est.exact(qi, matrix(b.column(1), width), col))
             at_row += len(ids)
         qi, j = np.nonzero(np.arange(k)[None, :] < best.count[:, None])
         yield pa.RecordBatch.from_arrays([pa.array(qi, pa.int32()), pa.array(best.note[qi, j])], names=["q", "score"])
@@ -224,13 +241,18 @@ def _search_block(index: AdditiveIndex, block, bars, k: int, metric: str, margin
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         est = _Estimates(*block.value, books, metric == "euclidean")
-        best, taken = BestLists(len(est.q), k), 0
+        best, lead, taken, at_row = BestLists(len(est.q), k), BestLists(len(est.q), k), 0, 0
         for b in chunks(batches):
             ids = b.column(0).to_numpy().astype(np.int64)
             guess = est.of(b, ids)
+            li, lcol, val = est.leading(guess, lead)
+            lead.add(li, at_row + lcol, val)
+            at_row += len(ids)
             bar = np.maximum(bars.value, np.where(best.count == k, best.worst, -np.inf))
-            guess += est.slack(b, margin)
-            qi, col = np.nonzero((guess >= bar[:, None]) & (guess > -np.inf))
+            guess += est.slack(b, margin, guess)
+            keep = (guess >= bar[:, None]) & (guess > -np.inf)
+            keep[li, lcol] = True
+            qi, col = np.nonzero(keep)
             taken += len(qi)
             best.add(qi, ids[col], est.exact(qi, matrix(b.column(1), width), col))
         qi, ids, score = best.entries()

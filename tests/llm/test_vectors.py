@@ -108,6 +108,21 @@ def test_recall(spark, metric):
     assert hits / total >= 0.95
 
 
+def test_copies_of_a_query(spark):
+    """More copies than results, far from all words: the smallest ids come first, and no list is short."""
+    rng = np.random.default_rng(3)
+    x = rng.normal(size=(2000, 32))
+    for i in range(12):
+        x[100 * i : 100 * i + 40] = 1.5 * rng.normal(size=32)
+    rows = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, v array<double>").repartition(4)
+    got = {}
+    for r in additive.search(additive.build_index(rows, books=3, words=16), rows.where("id % 20 = 0"), 20).collect():
+        got.setdefault(r.query_id, {})[r.rank] = r.id
+    assert len(got) == 100 and all(sorted(v) == list(range(1, 21)) for v in got.values())
+    for i in range(0, 1200, 100):
+        assert [got[i][r] for r in range(1, 21)] == list(range(i + 1, i + 21))
+
+
 def test_few_pairs_are_reranked(spark):
     rng = np.random.default_rng(12)
     x = rng.normal(size=(6000, 24)) + 2 * rng.normal(size=(10, 24))[rng.integers(0, 10, 6000)]
