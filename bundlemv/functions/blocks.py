@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -54,6 +55,20 @@ def decode_ids(codes: pa.Array) -> pa.Array:
     return pa.ListArray.from_arrays(codes.offsets, pa.array(flat))
 
 
+@F.pandas_udf(DoubleType())
+def l1_delta(a: pd.Series, b: pd.Series) -> float:
+    """Sum of absolute differences, as an aggregate of one block; ``results.l1_delta`` is its native twin for whole tables."""
+    return float((a.fillna(0) - b.fillna(0)).abs().sum())
+
+
+@F.pandas_udf(DoubleType())
+def gini(x: pd.Series) -> float:
+    """Gini coefficient of nonnegative numbers, as an aggregate of one block; ``results.gini`` is its native twin for whole tables."""
+    v = np.sort(x.to_numpy(dtype=float))
+    n = len(v)
+    return 0.0 if not n or v.sum() == 0 else float((2 * np.arange(1, n + 1) - n - 1) @ v / (n * v.sum()))
+
+
 @F.udtf(returnType=StructType([StructField("dst", LongType()), StructField("v", DoubleType())]))
 class ExpandBundle:
     """(value, ids, weights or null) -> a row (dst, contribution) per id."""

@@ -3,9 +3,10 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from contextlib import contextmanager
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from bundlemv.graph import Graph
@@ -14,9 +15,21 @@ from bundlemv.operators.steps import METHODS, Method, allow_placement
 from bundlemv.session import materialise
 
 DAMPING = 0.85
-#: Iterations between durable copies of the ranks; what a lost executor costs is bounded by them. Options that read
-#: the ranks between iterations make a copy each time: n rows, where an iteration handles m edges.
-CHECKPOINT_EVERY = 10
+#: Iterations between durable copies of the ranks; they bound what a lost executor costs and how long a plan grows.
+#: Options that read the ranks between iterations make a copy each time: n rows, where an iteration handles m edges.
+CHECKPOINT_EVERY = 5
+
+
+@contextmanager
+def settled_plans(spark: SparkSession) -> Iterator[None]:
+    """Plans without adaptive changes: blocks are placed explicitly, and planning each stage of a long loop anew costs more than it runs."""
+    name = "spark.sql.adaptive.enabled"
+    old = spark.conf.get(name)
+    spark.conf.set(name, "false")
+    try:
+        yield
+    finally:
+        spark.conf.set(name, old)
 
 
 def with_sink_loops(g: Graph) -> Graph:
@@ -37,18 +50,17 @@ def vertex_table(g: Graph, q: int, teleport: DataFrame | None = None) -> DataFra
     return place(v.select(block_of("id", q).alias("block"), "id", "out", "tele"), "block")
 
 
-def apply_rank(vertices: DataFrame, sums: DataFrame, damping: float, spread: float = 0.0) -> DataFrame:
+def apply_rank(vertices: DataFrame, sums: DataFrame, damping: float, spread: float = 0.0, value_type: str = "double") -> DataFrame:
     """block, id, rank, share: teleport, damping, and the division by what a vertex sends."""
     rank = (1 - damping) * F.col("tele") + damping * (F.coalesce("s", F.lit(0.0)) + F.lit(spread))
-    met = vertices.join(sums, ["block", "id"], "left").select("block", "id", "out", rank.alias("rank"))
-    return met.select("block", "id", "rank", (F.col("rank") / F.col("out")).alias("share"))
+    return vertices.join(sums, ["block", "id"], "left").select("block", "id", rank.alias("rank"), (rank / F.col("out")).cast(value_type).alias("share"))
 
 
-def first_ranks(n: int, vertices: DataFrame, start: DataFrame | None = None) -> DataFrame:
+def first_ranks(n: int, vertices: DataFrame, start: DataFrame | None = None, value_type: str = "double") -> DataFrame:
     own = vertices.select("block", "id", "out", F.lit(1.0 / max(n, 1)).alias("rank"))
     if start is not None:
         own = vertices.join(start.select("id", "rank"), "id", "left").select("block", "id", "out", F.coalesce("rank", F.lit(0.0)).alias("rank"))
-    return own.select("block", "id", "rank", (F.col("rank") / F.col("out")).alias("share"))
+    return own.select("block", "id", "rank", (F.col("rank") / F.col("out")).cast(value_type).alias("share"))
 
 
 @dataclass
@@ -85,15 +97,16 @@ def iterate(
         raise ValueError("dangling is drop, spread or self")
     if value_type not in ("double", "float"):
         raise ValueError("value_type is double or float")
-    if prepared is None:
+    own = prepared is None
+    if own:
         prepared = prepare(with_sink_loops(g) if dangling == "self" else g, method, q, personalization, **flags)
     elif dangling == "self":
         raise ValueError("a prepared layout has its loops or not")
     vertices, work, n = prepared.vertices, prepared.method, prepared.n
     allow_placement(vertices.sparkSession)
-    if kept is not None:
+    if own and kept is not None:
         kept += [vertices, *work.kept]
-    cur = first_ranks(n, vertices, start)
+    cur = first_ranks(n, vertices, start, value_type)
     yield cur
     watch = tol is not None or dangling == "spread"
     for i in range(1, iters + 1):
@@ -101,10 +114,10 @@ def iterate(
         if dangling == "spread":
             lost = cur.where("share is null").agg(F.sum("rank")).first()[0]
             spread = (lost or 0.0) / n
-        sums = work.step(cur.withColumn("share", F.col("share").cast(value_type)))
-        new = apply_rank(vertices, sums, damping, spread)
+        new = apply_rank(vertices, work.step(cur), damping, spread, value_type)
         if watch or i % every == 0 and i < iters:
-            new = place(materialise(new, "ranks"), "block")
+            with settled_plans(vertices.sparkSession):
+                new = place(materialise(new, "ranks"), "block")
         done = False
         if tol is not None:
             moved = new.select("id", "rank").join(cur.select("id", F.col("rank").alias("was")), "id").agg(F.sum(F.abs(F.col("rank") - F.col("was")))).first()[0]
@@ -116,12 +129,13 @@ def iterate(
 
 
 def run(g: Graph | None, method: str = "bundled", **options) -> DataFrame:
-    """id, rank after the last iteration; options as for ``iterate``. The ranks are written, and all that was kept for them is released."""
+    """id, rank after the last iteration; options as for ``iterate``. The ranks are written, and all that was kept for them is released, but for what came ``prepared``."""
     kept: list[DataFrame] = []
     last = None
     for last in iterate(g, method, kept=kept, **options):
         pass
-    out = materialise(last.select("id", "rank"), "ranks")
+    with settled_plans(last.sparkSession):
+        out = materialise(last.select("id", "rank"), "ranks")
     for df in kept:
         df.unpersist()
     return out

@@ -119,8 +119,7 @@ def bundled_resend(g: Graph, q: int) -> Method:
 def _block_vectors(shares: DataFrame) -> DataFrame:
     """block, vals: the share of every id of a block, in id order (0 where a vertex sends nothing)."""
     x = F.coalesce("share", F.lit(0).cast(shares.schema["share"].dataType))
-    pairs = shares.groupBy("block").agg(F.sort_array(F.collect_list(F.struct("id", x.alias("x")))).alias("p"))
-    return pairs.select("block", F.col("p.x").alias("vals"))
+    return shares.groupBy("block").agg(F.sort_array(F.collect_list(F.struct("id", x.alias("x")))).getField("x").alias("vals"))
 
 
 def _scatter_packed(shares: DataFrame, layout: DataFrame, q: int) -> DataFrame:
@@ -142,22 +141,24 @@ def bundled_on(p: Packed) -> Method:
     """
     w = ["weights"] if p.weighted else []
     lists = p.lists.select("dst_block", "chunk", "src_block", "ids", "pos", *w)
+    # built once, used in every iteration
+    picked, near = F.transform("srcs", lambda s: F.get("vals", s)).alias("vals"), F.col("block") == p.layout.src_block
+    value = F.get("vals", F.get("pos", F.col("i")))
+    value = value * F.get("weights", F.col("i")) if w else value
+    whole = (F.col("block").cast("long") * p.q + F.col("local")).alias("id")
+    unnested = [F.col("dst_block").alias("block"), "chunk", "vals", "pos", *w, F.posexplode("ids").alias("i", "local")]
 
     def scatter(shares: DataFrame) -> DataFrame:
-        met = _block_vectors(shares).join(p.layout, F.col("block") == p.layout.src_block)
-        return place(met.select("dst_block", "chunk", "src_block", F.transform("srcs", lambda s: F.get("vals", s)).alias("vals")), *p.place)
+        return place(_block_vectors(shares).join(p.layout, near).select("dst_block", "chunk", "src_block", picked), *p.place)
 
     def gather(sent: DataFrame) -> DataFrame:
-        met = sent.join(lists, ["dst_block", "chunk", "src_block"])
-        each = met.select(F.col("dst_block").alias("block"), "chunk", "vals", "pos", *w, F.posexplode("ids").alias("i", "local"))
-        value = F.get("vals", F.get("pos", F.col("i")))
-        value = value * F.get("weights", F.col("i")) if w else value
+        each = sent.join(lists, ["dst_block", "chunk", "src_block"]).select(*unnested)
         if p.chunked:
             part = each.groupBy("block", "chunk", "local").agg(F.sum(value).alias("v"))
             sums = place(part.select("block", "local", "v"), "block").groupBy("block", "local").agg(F.sum("v").alias("s"))
         else:
             sums = each.groupBy("block", "local").agg(F.sum(value).alias("s"))
-        return sums.select("block", (F.col("block").cast("long") * p.q + F.col("local")).alias("id"), "s")
+        return sums.select("block", whole, "s")
 
     return Method(gather, [p.layout, p.lists], scatter)
 

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from bundlemv import graph as ga
 from bundlemv.functions import blocks as udf
 from bundlemv.graph import Graph, Matrix
-from bundlemv.operators import blocks, cost, labels, layout, rank, results, spmv, steps
+from bundlemv.operators import blocks, cost, dense, labels, layout, rank, results, spmv, steps
 from bundlemv.plans import oracles as sql
 from bundlemv.session import drop_at_exit, scratch_path
 from bundlemv.sources import files
@@ -140,6 +140,33 @@ def _range_blocks(g: Graph) -> DataFrame:
 
 add("range_blocks", on("cust_part", _range_blocks), f"{_BAL} select id, block from z")
 
+_PLANS = [(10**9, 128 << 20, 10), (100, 1 << 30, 8), (20_000, 32 << 20, 16), (3, 8, 1), (1, 1, 64), (5_000_000_000, 32 << 20, 4000)]
+add("plan_width", lambda s, d: s.createDataFrame([(n, b, t, blocks.plan_width(n, b, t)) for n, b, t in _PLANS], "n long, task_bytes long, tasks long, width long"),
+    "select n, task_bytes, tasks, (1::bigint << floor(log2(least(greatest(1, task_bytes // 8), greatest(1, n // tasks))))::int) as width from (values " + ", ".join(f"({n}::bigint, {b}::bigint, {t}::bigint)" for n, b, t in _PLANS) + ") t(n, task_bytes, tasks)")
+
+# --- files ------------------------------------------------------------------------
+
+
+def _through(write: Callable[[Graph, str], None], read: Callable[[SparkSession, str], DataFrame]) -> Query:
+    """Written to the shared folder and read again."""
+
+    def query(s: SparkSession, d: str) -> DataFrame:
+        path = scratch_path(s, "files")
+        write(wl.line_sequence(s, d), path)
+        drop_at_exit(s, path)
+        return read(s, path)
+
+    return query
+
+
+_LINES = f"{sql.edges('lineseq')} select src, dst from e"
+for _fmt, _sep in (("csv", ","), ("tsv", "\t"), ("ssv", " ")):
+    add(f"read_edges_{_fmt}", _through(lambda g, p, x=_sep: g.edges.write.option("sep", x).csv(p), lambda s, p, f=_fmt: files.read_edges(s, p, f)), _LINES)
+for _fmt in ("json", "parquet", "orc"):
+    add(f"read_edges_{_fmt}", _through(lambda g, p, f=_fmt: g.edges.write.format(f).save(p), lambda s, p, f=_fmt: files.read_edges(s, p, f)), _LINES)
+add("read_adjacency", _through(files.write_adjacency, files.read_adjacency), _LINES)
+add("write_ranks", _through(lambda g, p: files.write_ranks(rank.run(g, iters=2), p), lambda s, p: rounded(s.read.parquet(p), "rank")), sql.rank("lineseq", 2))
+
 # --- one step and ranks -----------------------------------------------------------
 
 
@@ -182,6 +209,8 @@ def _four_bytes(s: SparkSession, d: str) -> DataFrame:
     return a.join(b, "id").agg(F.count("*").alias("vertices"), (F.max(F.abs(F.col("float") / F.col("double") - 1)) < 1e-5).alias("close"))
 
 
+for _name, _mode in (("kronecker", "drop"), ("worked9", "spread"), ("nation_trade", "drop"), ("worked9", "self")):
+    add(f"rank_dense_{_name}_{_mode}", on(_name, lambda g, m=_mode: rounded(dense.dense_rank(g, ITERS, dangling=m), "rank")), sql.rank(_name, dangling=_mode, weighted=_name == "nation_trade"))
 add("rank_from_layout", _from_layout, sql.rank("copurchase"))
 add("rank_four_bytes", _four_bytes, f"{_E} select n as vertices, true as close from nn")
 add("rank_pull_balanced", _ranked("copurchase", "pull", balanced=True), sql.rank("copurchase"))
@@ -426,14 +455,18 @@ add("udf_decode_ids", on("lineseq", _decoded), f"{sql.edges('lineseq')} select s
 add("gini_degree", on("cust_part", lambda g: rounded(results.gini(ga.degrees(g), "out_deg"), "gini", to=8)), f"{_EC}, d as ({_DEG}), r as (select out_deg, row_number() over (order by out_deg) as i, count(*) over () as n from d) select round(sum((2 * i - n - 1) * out_deg) / (max(n) * sum(out_deg)), 8) as gini from r")
 
 
-def _l1_delta(s: SparkSession, d: str) -> DataFrame:
+add("udaf_gini_degree", on("cust_part", lambda g: longs(ga.degrees(g).withColumn("block", blocks.block_of("id", 256)).groupBy("block").agg(F.round(udf.gini("out_deg"), 8).alias("gini")), "block")), f"{_EC}, d as ({_DEG}), r as (select id // 256 as block, out_deg, row_number() over w as i, count(*) over (partition by id // 256) as n from d window w as (partition by id // 256 order by out_deg)) select block, coalesce(round(sum((2 * i - n - 1) * out_deg) / nullif(max(n) * sum(out_deg), 0), 8), 0.0) as gini from r group by 1")
+
+
+def _two_ranks(s: SparkSession, d: str) -> DataFrame:
     g = wl.customer_part(s, d).persist()
-    both = rank.run(g, iters=3).withColumnRenamed("rank", "a").join(rank.run(g, "pull", iters=4).withColumnRenamed("rank", "b"), "id")
-    return both.agg(F.round(results.l1_delta("a", "b"), 10).alias("l1"))
+    return rank.run(g, iters=3).withColumnRenamed("rank", "a").join(rank.run(g, "pull", iters=4).withColumnRenamed("rank", "b"), "id")
 
 
-add("l1_delta", _l1_delta, sql.rank("cust_part", 4, final="select round(sum(abs(a.rank - b.rank)), 10) as l1 from r3 a join r4 b using (id)"))
+add("udaf_l1_delta", lambda s, d: longs(_two_ranks(s, d).withColumn("block", blocks.block_of("id", 256)).groupBy("block").agg(F.round(udf.l1_delta("a", "b"), 10).alias("l1")), "block"), sql.rank("cust_part", 4, final="select id // 256 as block, round(sum(abs(a.rank - b.rank)), 10) as l1 from r3 a join r4 b using (id) group by 1"))
+add("l1_delta", lambda s, d: _two_ranks(s, d).agg(F.round(results.l1_delta("a", "b"), 10).alias("l1")), sql.rank("cust_part", 4, final="select round(sum(abs(a.rank - b.rank)), 10) as l1 from r3 a join r4 b using (id)"))
 add("events_window_edges", lambda s, d: load_table(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp")).transform(lambda e: rounded(stream.window_counts(e).withColumn("start", F.date_format("start", "yyyy-MM-dd")), "total", to=4)), "select strftime(date_trunc('day', ts), '%Y-%m-%d') as start, event_type, count(*) as events, round(sum(value), 4) as total from events group by 1, 2")
+add("events_sliding_edges", lambda s, d: load_table(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp")).transform(lambda e: rounded(stream.window_counts(e, "2 days", "1 day").withColumn("start", F.date_format("start", "yyyy-MM-dd")), "total", to=4)), "select strftime(date_trunc('day', ts) - i * interval 1 day, '%Y-%m-%d') as start, event_type, count(*) as events, round(sum(value), 4) as total from events, range(2) t(i) group by 1, 2")
 add("events_session_edges", lambda s, d: load_table(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp")).transform(lambda e: stream.session_counts(e).groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("events").alias("events"))), """with g as (select user_id, ts, case when ts - lag(ts) over (partition by user_id order by ts) < interval 6 hours then 0 else 1 end as fresh from events)
     select user_id, sum(fresh)::bigint as sessions, count(*) as events from g group by 1""")
 
