@@ -111,5 +111,7 @@ class LiveRank:
         p = Packed(self.layout(), self.lists().drop("srcs"), self.q, False, False).placed()
         vertices = vertex_table(Graph(self.edges(), self.n), self.q).sortWithinPartitions("block", "id").persist()
         ranks = run(None, prepared=Prepared(self.n, self.q, vertices, bundled_on(p)), iters=self.iters, start=self.ranks)
+        for df in (p.layout, p.lists, vertices):  # the next batch reads the same folders, which hold more then
+            df.unpersist()
         ranks.write.parquet(f"{self.path}/ranks/version={self.version}")
         self.ranks = self.spark.read.parquet(f"{self.path}/ranks/version={self.version}")
