@@ -4,7 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from bundlemv.graph import Graph
-from bundlemv.operators import labels, twins
+from bundlemv.operators import cost, labels, twins
 from bundlemv.sources import workloads as wl
 
 
@@ -46,3 +46,23 @@ def test_pages_fold_only_with_dense_ids(spark, tiny, tmp_path):
     assert wl.page_links(spark, tiny).twins is not None
     spark.read.parquet(f"{tiny}/pages.parquet").withColumn("page_id", F.col("page_id") * 2).write.parquet(f"{tmp_path}/pages.parquet")
     assert wl.page_links(spark, str(tmp_path)).twins is None
+
+
+@pytest.mark.parametrize("bits", [twins.BITS, 0])
+def test_counters_by_classes(both, monkeypatch, bits):
+    plain, folded = both
+    monkeypatch.setattr(twins, "BITS", bits)
+    for make in (labels.original, labels.random, labels.by_degree, labels.parent_signature):
+        perm = make(plain)
+        assert rows(make(folded)) == rows(perm)
+        for q in (8, 16):
+            assert rows(cost.labelled_compression(folded, perm, q)) == rows(cost.compression_ratio(labels.relabel(plain, perm), q))
+            assert rows(cost.labelled_params(folded, perm, q)) == rows(cost.measured_params(labels.relabel(plain, perm), q))
+
+
+def test_counters_over_several_parts(both, monkeypatch):
+    plain, folded = both
+    monkeypatch.setattr(twins, "LINES", 64)
+    monkeypatch.setattr(twins, "BLOCKS", 2)
+    perm = labels.random(plain)
+    assert rows(cost.labelled_params(folded, perm, 8)) == rows(cost.measured_params(labels.relabel(plain, perm), 8))
