@@ -4,7 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from bundlemv.graph import Graph
-from bundlemv.operators import cost, labels, twins
+from bundlemv.operators import cost, labels, rank, twins
 from bundlemv.sources import workloads as wl
 
 
@@ -66,3 +66,11 @@ def test_counters_over_several_parts(both, monkeypatch):
     monkeypatch.setattr(twins, "BLOCKS", 2)
     perm = labels.random(plain)
     assert rows(cost.labelled_params(folded, perm, 8)) == rows(cost.measured_params(labels.relabel(plain, perm), 8))
+
+
+@pytest.mark.parametrize("method", ["bundled", "pull"])
+@pytest.mark.parametrize("dangling", ["drop", "self"])
+def test_ranks_by_classes(both, method, dangling):
+    plain, folded = both
+    got, want = (dict(rows(df)) for df in (rank.run_folded(folded.twins, method, iters=4, dangling=dangling), rank.run(plain, iters=4, dangling=dangling)))
+    assert got.keys() == want.keys() == set(range(62)) and all(abs(got[i] - want[i]) < 1e-12 for i in want)
