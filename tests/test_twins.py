@@ -5,6 +5,7 @@ from pyspark.sql import functions as F
 
 from bundlemv.graph import Graph
 from bundlemv.operators import cost, labels, rank, twins
+from bundlemv.plans import catalog
 from bundlemv.sources import workloads as wl
 
 
@@ -74,3 +75,8 @@ def test_ranks_by_classes(both, method, dangling):
     plain, folded = both
     got, want = (dict(rows(df)) for df in (rank.run_folded(folded.twins, method, iters=4, dangling=dangling), rank.run(plain, iters=4, dangling=dangling)))
     assert got.keys() == want.keys() == set(range(62)) and all(abs(got[i] - want[i]) < 1e-12 for i in want)
+
+
+def test_compression_by_label_by_classes(both):
+    plain, folded = both
+    assert rows(catalog._by_label(folded)) == rows(catalog._by_label(plain))
