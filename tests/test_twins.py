@@ -80,3 +80,9 @@ def test_ranks_by_classes(both, method, dangling):
 def test_compression_by_label_by_classes(both):
     plain, folded = both
     assert rows(catalog._by_label(folded)) == rows(catalog._by_label(plain))
+
+
+def test_traffic_by_label_by_classes(both):
+    plain, folded = both
+    perms = {"original": labels.original(plain), "signature": labels.parent_signature(plain)}
+    assert rows(cost.traffic_by_label(folded, perms, 16)) == rows(cost.traffic_by_label(plain, perms, 16))
