@@ -8,6 +8,7 @@ from bundlemv.session import read_by
 READS = {
     "assign_blocks": "part",
     "bin_switches": "lineitem",
+    "block_pairs": "lineitem",
 }
 
 
