@@ -9,6 +9,7 @@ READS = {
     "assign_blocks": "part",
     "bin_switches": "lineitem",
     "block_pairs": "lineitem",
+    "block_pivot": "lineitem",
 }
 
 
