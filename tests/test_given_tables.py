@@ -10,6 +10,7 @@ READS = {
     "bin_switches": "lineitem",
     "block_pairs": "lineitem",
     "block_pivot": "lineitem",
+    "branch_misses_literal": "lineitem",
 }
 
 
