@@ -11,6 +11,7 @@ READS = {
     "block_pairs": "lineitem",
     "block_pivot": "lineitem",
     "branch_misses_literal": "lineitem",
+    "crossover_literal": "lineitem",
 }
 
 
