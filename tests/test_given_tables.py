@@ -12,6 +12,7 @@ READS = {
     "block_pivot": "lineitem",
     "branch_misses_literal": "lineitem",
     "crossover_literal": "lineitem",
+    "custom_blocks": "part",
 }
 
 
