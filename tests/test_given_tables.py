@@ -13,6 +13,7 @@ READS = {
     "branch_misses_literal": "lineitem",
     "crossover_literal": "lineitem",
     "custom_blocks": "part",
+    "edges_loops_dropped": "events",
 }
 
 
