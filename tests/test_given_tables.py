@@ -14,6 +14,7 @@ READS = {
     "crossover_literal": "lineitem",
     "custom_blocks": "part",
     "edges_loops_dropped": "events",
+    "g_banded": "part",
 }
 
 
