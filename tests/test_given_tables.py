@@ -15,6 +15,7 @@ READS = {
     "custom_blocks": "part",
     "edges_loops_dropped": "events",
     "g_banded": "part",
+    "g_kronecker": "orders",
 }
 
 
