@@ -16,6 +16,7 @@ READS = {
     "edges_loops_dropped": "events",
     "g_banded": "part",
     "g_kronecker": "orders",
+    "g_worked9": "lineitem",
 }
 
 
