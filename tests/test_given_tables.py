@@ -4,6 +4,7 @@ import pytest
 
 from bundlemv.plans import catalog
 from bundlemv.session import read_by
+from bundlemv.sources.tables import load_table
 
 READS = {
     "assign_blocks": "part",
@@ -23,3 +24,7 @@ READS = {
 @pytest.mark.parametrize("name", sorted(READS))
 def test_reads_a_given_table(spark, tiny, name):
     assert any(f"{READS[name]}.parquet" in path for path in read_by(catalog.QUERIES[name](spark, tiny)))
+
+
+def test_labels_by_degree_of_given_rows(spark, tiny):
+    assert catalog.QUERIES["label_degree"](spark, tiny).count() == load_table(spark, tiny, "part").count()
