@@ -10,7 +10,7 @@ def exchanges(df):
     return df._jdf.queryExecution().executedPlan().toString().count("Exchange hashpartitioning")
 
 
-@pytest.mark.parametrize("name, made", [("bundled_rows", [2, 1]), ("bundled_adjacency", [1, 1])])
+@pytest.mark.parametrize("name, made", [("bundled_rows", [2, 1]), ("bundled_adjacency", [1, 1]), ("bundled_prefix", [2, 1])])
 def test_edges_are_shuffled_once_for_each_kept_table(spark, name, made):
     """The layout is read off the lists: its plan holds theirs and one more shuffle, of the bundles."""
     steps.allow_placement(spark)
