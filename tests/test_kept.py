@@ -3,6 +3,7 @@
 import pytest
 
 from bundlemv.operators import steps
+from bundlemv.plans import catalog
 from bundlemv.sources import workloads as wl
 
 
@@ -17,3 +18,22 @@ def test_edges_are_shuffled_once_for_each_kept_table(spark, name, made):
     method = steps.METHODS[name](wl.banded(spark, 300, 8), 16)
     assert [exchanges(df) for df in method.kept] == made
     method.release()
+
+
+def test_messages_sent_keeps_one_method_at_a_time(spark, monkeypatch):
+    alive, most = set(), []
+
+    def watched(make):
+        def build(*a, **kw):
+            m = make(*a, **kw)
+            alive.add(id(m))
+            most.append(len(alive))
+            free = m.release
+            m.release = lambda: (alive.discard(id(m)), free())
+            return m
+
+        return build
+
+    monkeypatch.setattr(steps, "METHODS", {k: watched(f) for k, f in steps.METHODS.items()})
+    assert catalog._sent(wl.banded(spark, 300, 8)).count() == 8
+    assert max(most) == 1 and not alive
