@@ -215,16 +215,20 @@ def near_duplicate_components(docs: DataFrame, reach: int = 2, shingle: int = 3,
 # Links at a stated similarity of shingle sets, for which few differing bits are not enough:
 # at a similarity of 0.8 fingerprints differ in about 10 of 64 bits, and at that radius the
 # distances of a vantage point to all nodes (32, give or take 4) leave nothing to prune.
-# Nodes are dealt to shards by shared seeds instead (least values of independent hashes of
-# their shingles; two texts share each with their similarity as the probability). In a
-# shard, signatures of least values and the sizes of the sets only propose pairs; the texts
-# of proposed nodes meet again under the same seed, where their whole sets decide.
-
+# Fingerprints of the sets are linked within few bits, through the trees, and nodes of one
+# component meet first. The trees do not reach the other pairs; for those, nodes are dealt
+# to shards by shared seeds as well (least values of independent hashes of their shingles;
+# two texts share each with their similarity as the probability). In a component or shard,
+# signatures of least values and the sizes of the sets only propose pairs; the texts of
+# proposed nodes meet again under the same key, where their whole sets decide.
+
+#: Bits within which fingerprints of sets are linked.
+REACH = 2
 #: Seeds per text: 1 - 0.2 ** 8 of the pairs at similarity 0.8 share one.
 SEEDS = 8
 #: Least values in a signature, a byte each; the estimate's deviation at 0.8 is 0.035, so the bar for proposals stands six below.
 SIGNATURE, SLACK = 128, 0.215
-#: A seed with more texts is left out; its texts get further keys.
+#: A component of fingerprints, or a seed, with more texts is left out; its texts get further keys.
 HOT_SEED = 20_000
 #: A further key is so many bytes of the signature: 1 - 0.59 ** 30 of the pairs at similarity 0.8 share one.
 BAND = 4
@@ -248,7 +252,7 @@ def signature(h: np.ndarray) -> np.ndarray:
 
 
 def sketches(docs: DataFrame, shingle: int, id_col: str, text_col: str) -> DataFrame:
-    """id_col, print (a hash of the text), node (a hash of the set of shingles), size (of the set), seeds, sig."""
+    """id_col, print (a hash of the text), node (a hash of the set of shingles), fp (the set's fingerprint), size (of the set), seeds, sig."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -257,13 +261,13 @@ def sketches(docs: DataFrame, shingle: int, id_col: str, text_col: str) -> DataF
                 h = shingle_set(t.as_py(), shingle)
                 least = signature(h)
                 sig = (least >> np.uint64(7)).astype(np.uint8).tobytes()
-                rows.append((xxhash.xxh64_intdigest(h.tobytes(), SEED), len(h), least[:SEEDS].view(np.int64).tolist() if len(h) else [], sig))
-            node, size, seeds, sig = zip(*rows) if rows else ((), (), (), ())
-            node = pa.array(np.array(node, dtype=np.uint64).view(np.int64))
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), node, pa.array(size, pa.int32()), pa.array(seeds, pa.list_(pa.int64())), pa.array(sig, pa.binary())], names=[id_col, "print", "node", "size", "seeds", "sig"])
+                rows.append((xxhash.xxh64_intdigest(h.tobytes(), SEED), majority(h), len(h), least[:SEEDS].view(np.int64).tolist() if len(h) else [], sig))
+            node, fp, size, seeds, sig = zip(*rows) if rows else ((), (), (), (), ())
+            node, fp = (pa.array(np.array(x, dtype=np.uint64).view(np.int64)) for x in (node, fp))
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), node, fp, pa.array(size, pa.int32()), pa.array(seeds, pa.list_(pa.int64())), pa.array(sig, pa.binary())], names=[id_col, "print", "node", "fp", "size", "seeds", "sig"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return _texts(docs, id_col, text_col).mapInArrow(work, f"`{id_col}` {kind}, print long, node long, size int, seeds array<long>, sig binary")
+    return _texts(docs, id_col, text_col).mapInArrow(work, f"`{id_col}` {kind}, print long, node long, fp long, size int, seeds array<long>, sig binary")
 
 
 def _texts(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -357,8 +361,16 @@ def _groups(key: np.ndarray) -> list[np.ndarray]:
     return [g for g in np.split(order, cuts) if len(g) > 1]
 
 
+def near_first(nodes: DataFrame, reach: int) -> DataFrame:
+    """``nodes`` with shingles (.., fp, .., seeds): before the seeds, a key that nodes share whose fingerprints are linked, by way of others too, within ``reach`` bits."""
+    fps = materialise(nodes.where("size > 0").select("fp").distinct(), "sketch-fps")
+    roots = components(near_pairs_forest(fps, reach)).withColumnRenamed("node", "fp")
+    key = F.xxhash64(F.lit("fp"), F.coalesce("root", "fp"))
+    return nodes.where("size > 0").join(roots, "fp", "left").withColumn("seeds", F.concat(F.array(key), "seeds")).drop("fp", "root")
+
+
 def shard_keys(nodes: DataFrame) -> DataFrame:
-    """node, size, seeds, sig -> the same with key, place (number of the seed that is the key, or -1).
+    """node, size, seeds (what ``near_first`` puts before them among them), sig -> the same with key, place (number of the seed that is the key, or -1).
 
     A seed that more than HOT_SEED texts share is no key. Each text that has one gets bands
     of its signature as further keys: texts that share a passage and little else rarely share
@@ -388,14 +400,14 @@ def similar_components(docs: DataFrame, similarity: float = 0.8, shingle: int =
     spark = docs.sparkSession
     prints = materialise(sketches(docs, shingle, id_col, text_col), "sketches")
     # a node's text is read again from the row with its least id
-    nodes = materialise(prints.groupBy("node").agg(F.min(F.struct(F.col(id_col).alias("id"), "print")).alias("r"), F.min(id_col).alias("least"), F.first("size").alias("size"), F.first("seeds").alias("seeds"), F.first("sig").alias("sig")).select("node", "r.*", "least", "size", "seeds", "sig"), "sketch-nodes")
+    nodes = materialise(prints.groupBy("node").agg(F.min(F.struct(F.col(id_col).alias("id"), "print")).alias("r"), F.min(id_col).alias("least"), F.first("fp").alias("fp"), F.first("size").alias("size"), F.first("seeds").alias("seeds"), F.first("sig").alias("sig")).select("node", "r.*", "least", "fp", "size", "seeds", "sig"), "sketch-nodes")
     n = nodes.count()
     shuffles = int(spark.conf.get("spark.sql.shuffle.partitions"))
 
     def propose(table: pa.Table) -> pa.Table:
         key, size, place = (table.column(c).to_numpy() for c in ("key", "size", "place"))
         sigs = np.frombuffer(b"".join(table.column("sig").to_pylist()), np.uint8).reshape(-1, SIGNATURE)
-        seeds = table.column("seeds").combine_chunks().flatten().to_numpy().reshape(-1, SEEDS)
+        seeds = table.column("seeds").combine_chunks().flatten().to_numpy().reshape(-1, 1 + SEEDS)
         found = np.zeros(len(key), bool)
         for at in _groups(key):
             found[at] = proposed(size[at], sigs[at], seeds[at], place[at], similarity)
@@ -410,8 +422,9 @@ def similar_components(docs: DataFrame, similarity: float = 0.8, shingle: int =
         return pa.table({"u": pa.array(names[edges[:, 0]], pa.int64()), "v": pa.array(names[edges[:, 1]], pa.int64())})
 
     bucket = lambda most: F.pmod(F.xxhash64("key"), F.lit(max(shuffles, most))).alias("b")
-    each = shard_keys(nodes.select("node", "size", "seeds", "sig"))
-    asked = each.select("node", "size", "sig", "seeds", "place", "key", bucket(-(-n * SEEDS // 20_000))).groupBy("b").applyInArrow(propose, "node long, key long")
+    keyed = materialise(near_first(nodes.select("node", "fp", "size", "seeds", "sig"), REACH), "sketch-keyed")
+    each = shard_keys(keyed.select("node", "size", "seeds", "sig"))
+    asked = each.select("node", "size", "sig", "seeds", "place", "key", bucket(-(-n * (1 + SEEDS) // 20_000))).groupBy("b").applyInArrow(propose, "node long, key long")
     asked = materialise(asked, "sketch-proposed")
     named = materialise(nodes.join(asked.select("node").distinct(), "node", "left_semi").select("node", "id", "print"), "sketch-named")
     texts = texts_of(docs, named, id_col, text_col).withColumnsRenamed({"id": "__id", "print": "__print"})

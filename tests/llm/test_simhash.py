@@ -169,3 +169,20 @@ def test_hot_seed_is_no_key(spark, monkeypatch):
     assert max(r["count"] for r in keys.groupBy("key").count().collect()) <= 40
     copies = [f"{' '.join(f's{k}' for k in range(100))} t{i}" for i in range(90)]  # bands are frequent, too
     assert {r.component_id for r in simhash.similar_components(docs_frame(spark, copies)).collect()} == {0}
+
+
+def test_near_fingerprints_meet(spark, monkeypatch):
+    """Two texts without a common seed meet by their fingerprints; sets decide on texts whose fingerprints are near."""
+    monkeypatch.setattr(simhash, "SEEDS", 1)
+    rng = random.Random(4)
+    for _ in range(5000):
+        words = [f"w{rng.randrange(10**6)}" for _ in range(120)]
+        texts = [" ".join(words), " ".join(words[:-3] + ["x", "y", "z"])]
+        a, b = (simhash.shingle_set(t.encode(), 5) for t in texts)
+        if simhash.distance(*(np.uint64(simhash.majority(h)) for h in (a, b))) <= 2 and simhash.signature(a)[0] != simhash.signature(b)[0]:
+            break
+    assert len(np.intersect1d(a, b)) / len(np.union1d(a, b)) >= 0.8
+    assert {r.component_id for r in simhash.similar_components(docs_frame(spark, texts)).collect()} == {0}
+    monkeypatch.setattr(simhash, "REACH", 64)
+    far = [" ".join(words[:60] + [f"v{i}" for i in range(60)]), "one", None, ""]
+    assert [r.component_id for r in simhash.similar_components(docs_frame(spark, texts + far)).orderBy("doc_id").collect()] == [0, 0, 2, 3, 4, 4]
