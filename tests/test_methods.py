@@ -242,3 +242,23 @@ def test_greedy_order_appends_the_rest(spark, monkeypatch):
     monkeypatch.setattr(labels, "GREEDY_LIMIT", 5)
     perm = {r.old: r.new for r in labels.shared_parents(g).collect()}
     assert sorted(perm.values()) == list(range(9)) and [perm[i] for i in range(5, 9)] == [5, 6, 7, 8]
+
+
+def test_small_chunks_are_dealt_together(spark):
+    """With chunks far below a task's share the rows stay as small, but few sums of a vertex are dealt; small groups are neither hashed nor sorted again."""
+    n = 400
+    rng = np.random.default_rng(9)
+    edges = sorted({(i, 7) for i in range(n)} | {(int(a), int(b)) for a, b in rng.integers(0, n, (9000, 2))})
+    g = frame(spark, edges, n)
+    p = layout.packed_pairs(g, 128, chunk_edges=20)
+    size = F.size("ids")
+    rows = p.lists.groupBy("dst_block", "slice").agg(F.sum(size).alias("e"), F.count_distinct("chunk").alias("c")).agg(F.max("e"), F.max("c"), F.sum("e")).first()
+    assert p.chunked and rows[0] < 80 and rows[1:] == (1, len(edges))
+    share = len(edges) / int(spark.conf.get("spark.sql.shuffle.partitions"))
+    assert p.lists.groupBy(*p.place).agg(F.sum(size).alias("e")).agg(F.max("e")).first()[0] < share
+    dealt, slices = (p.lists.select("dst_block", c).distinct().count() for c in ("chunk", "slice"))
+    assert dealt * 5 < slices
+    plan = p.lists._jdf.queryExecution().executedPlan().toString()
+    assert "SortAggregate(key=[dst_block" in plan and "ObjectHashAggregate" not in plan
+    for weights, h in ((None, g), ([u % 3 + 1 for u, _ in edges], g.with_edges(g.edges.withColumn("weight", (F.col("src") % 3 + 1).cast("double"))))):
+        assert np.allclose(ranks_of(rank.run(h, q=128, iters=3, chunk_edges=20), n), dense_rank(edges, n, 3, weights=weights), atol=1e-12)
