@@ -1,5 +1,6 @@
 """Vertices with the same links, folded, against the edges themselves."""
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -86,3 +87,15 @@ def test_traffic_by_label_by_classes(both):
     plain, folded = both
     perms = {"original": labels.original(plain), "signature": labels.parent_signature(plain)}
     assert rows(cost.traffic_by_label(folded, perms, 16)) == rows(cost.traffic_by_label(plain, perms, 16))
+
+
+def test_equal_sets_of_classes_are_joined_once(monkeypatch):
+    """Blocks that see the same classes share one union of lines."""
+    calls, own = [], twins.joined
+    monkeypatch.setattr(twins, "joined", lambda bits: calls.append(len(bits)) or own(bits))
+    place, at = np.array([0, 0, 1, 2, 2]), np.array([3, 9, 9, 3, 70])
+    groups = [np.array(g, np.int64) for g in ([0, 1], [2], [0, 1], [0, 2], [], [0, 1], [2])]
+    want = [2, 2, 2, 3, 0, 2, 2]
+    assert list(twins.lines_of(groups, place, at, 3)) == want and len(calls) == 3
+    monkeypatch.setattr(twins, "BITS", 0)
+    assert list(twins.lines_of(groups, place, at, 3)) == want
