@@ -50,6 +50,24 @@ def test_pages_fold_only_with_dense_ids(spark, tiny, tmp_path):
     assert wl.page_links(spark, str(tmp_path)).twins is None
 
 
+@pytest.mark.parametrize("piece", [1, 3, twins.PIECE])
+def test_pairs_by_classes(spark, both, monkeypatch, piece):
+    """Classes of several pieces, ids with gaps, an id that is null and a key that nobody shares."""
+    monkeypatch.setattr(twins, "PIECE", piece)
+    own = shared(spark).select((F.col("id") * 7 - 100).alias("id"), "key").union(spark.sql("select null, 'hub' union all select 5, 'own'"))
+    want = [(a * 7 - 100, b * 7 - 100) for a, b in rows(both[0].edges)]
+    assert rows(twins.pairs(own)) == want
+
+
+def test_pairs_of_pages_are_not_shuffled(spark, tiny):
+    """Before, every pair of pages was dealt out to be told from its copies."""
+    node, kinds = wl.page_links(spark, tiny).edges._jdf.queryExecution().optimizedPlan(), []
+    while (kind := node.getClass().getSimpleName()) in ("Filter", "Project", "Generate", "Repartition"):
+        kinds.append(kind)
+        node = node.children().head()
+    assert kind == "RepartitionByExpression" and kinds.count("Generate") == 2
+
+
 @pytest.mark.parametrize("bits", [twins.BITS, 0])
 def test_counters_by_classes(both, monkeypatch, bits):
     plain, folded = both
