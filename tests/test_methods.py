@@ -244,6 +244,28 @@ def test_greedy_order_appends_the_rest(spark, monkeypatch):
     assert sorted(perm.values()) == list(range(9)) and [perm[i] for i in range(5, 9)] == [5, 6, 7, 8]
 
 
+def test_greedy_order_takes_all(spark):
+    """Before, vertices beyond the first 50,000 followed by id, whatever their links."""
+    n = 50_010
+    perm = dict(map(tuple, labels.shared_parents(frame(spark, [(n - 1, n - 4), (n - 9, n - 4), (n - 2, n - 6)], n)).collect()))
+    assert sorted(perm.values()) == list(range(n))
+    assert [perm[n - i] for i in (4, 9, 1, 6, 2)] == [0, 1, 2, 3, 4] and perm[0] == 5
+
+
+@pytest.mark.parametrize("piece", [5, labels.PIECE_LINKS])
+def test_greedy_order_is_that_of_its_definition(spark, monkeypatch, piece):
+    """Against the scores of all vertices counted anew for each place, with loops, a hub and vertices without edges."""
+    monkeypatch.setattr(labels, "PIECE_LINKS", piece)
+    n, rng = 40, np.random.default_rng(3)
+    edges = {(3, i) for i in range(30)} | {(4, 4)} | {(int(a), int(b)) for a, b in rng.integers(0, n - 4, (70, 2))}
+    into, want = [{u for u, v in edges if v == i} for i in range(n)], []
+    score = lambda v, last: sum(len(into[u] & into[v]) + ((u, v) in edges) + ((v, u) in edges) for u in last)
+    while len(want) < n:
+        want.append(min(set(range(n)) - set(want), key=lambda v: (-score(v, want[-3:]), -len(into[v]), v)))
+    perm = dict(map(tuple, labels.shared_parents(frame(spark, sorted(edges), n), window=3).collect()))
+    assert sorted(range(n), key=perm.get) == want
+
+
 def test_small_chunks_are_dealt_together(spark):
     """With chunks far below a task's share the rows stay as small, but few sums of a vertex are dealt; small groups are neither hashed nor sorted again."""
     n = 400

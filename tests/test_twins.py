@@ -44,6 +44,17 @@ def test_greedy_order_by_classes_appends_the_rest(both, monkeypatch):
     assert sorted(perm.values()) == list(range(62)) and {i for i in perm if perm[i] < len(first)} == first
 
 
+def test_greedy_order_takes_all_classes(spark):
+    """Before, classes beyond the first 50,000 followed by id, whatever their links."""
+    n = 50_010
+    members = spark.range(n).select("id", F.least("id", F.lit(n - 3)).alias("cls"))  # the last class has three members
+    links = spark.createDataFrame([(n - 3, n - 3), (n - 3, n - 8), (n - 8, n - 3)], "a long, b long")
+    unread = spark.range(1).select(F.raise_error(F.lit("edges are read")).cast("long").alias("src"), F.lit(0).cast("long").alias("dst"))
+    g = Graph(unread, n, lambda: twins.Twins(members, members.groupBy("cls").agg(F.count("*").alias("size")), links, n))
+    perm = dict(rows(labels.shared_parents(g)))
+    assert sorted(perm.values()) == list(range(n)) and [perm[i] for i in (n - 8, n - 3, n - 2, n - 1, 0)] == [0, 1, 2, 3, 4]
+
+
 def test_pages_fold_only_with_dense_ids(spark, tiny, tmp_path):
     assert wl.page_links(spark, tiny).twins is not None
     spark.read.parquet(f"{tiny}/pages.parquet").withColumn("page_id", F.col("page_id") * 2).write.parquet(f"{tmp_path}/pages.parquet")
