@@ -1,8 +1,12 @@
 """What methods keep, and what they shuffle to make it."""
 
+import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
+from bundlemv.graph import Graph
 from bundlemv.operators import steps
+from bundlemv.operators.blocks import place
 from bundlemv.plans import catalog
 from bundlemv.sources import workloads as wl
 
@@ -20,6 +24,31 @@ def test_edges_are_shuffled_once_for_each_kept_table(spark, name, made):
     method.release()
 
 
+@pytest.mark.parametrize("weighted", [False, True])
+def test_flags_are_walked_within_pairs_of_blocks(spark, weighted):
+    """Before, each step sorted all edges to meet their values. A pair's flags are one array; small chunks and weights are met too."""
+    steps.allow_placement(spark)
+    rng = np.random.default_rng(5)
+    edges = sorted({(i, 7) for i in range(100)} | {(int(a), int(b)) for a, b in rng.integers(0, 100, (900, 2))})
+    g = Graph(spark.createDataFrame([(u, v, float(u % 3 + 1)) for u, v in edges], "src long, dst long, weight double"), 100)
+    g = g if weighted else g.with_edges(g.edges.drop("weight"))
+    want = np.zeros(100)
+    for u, v in edges:
+        want[v] += (u + 1) * (u % 3 + 1 if weighted else 1)
+    shares = place(spark.range(100).select((F.col("id") / 16).cast("int").alias("block"), "id", (F.col("id") + 1.0).alias("share")), "block")
+    for options in ({}, {"chunk_edges": 20}):
+        method = steps.METHODS["bundled_prefix"](g, 16, **options)
+        lists = method.kept[1]
+        assert lists.count() == lists.select("dst_block", "chunk", *(["slice"] if "slice" in lists.columns else []), "src_block").distinct().count()
+        sums = method.step(shares)
+        got = {r.id: r.s for r in sums.collect()}
+        assert np.allclose([got.get(i, 0.0) for i in range(100)], want)
+        if not options:
+            made = sums._jdf.queryExecution().sparkPlan().toString()
+            assert "Window" not in made.split("InMemoryRelation")[0] and lists.count() < len(edges) / 5
+        method.release()
+
+
 def test_messages_sent_keeps_one_method_at_a_time(spark, monkeypatch):
     alive, most = set(), []
 
