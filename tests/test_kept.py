@@ -49,6 +49,15 @@ def test_flags_are_walked_within_pairs_of_blocks(spark, weighted):
         method.release()
 
 
+def test_pairs_are_made_from_one_shuffle_of_the_rows(spark):
+    """Before, members were made distinct and then dealt twice more, to be joined with themselves."""
+    rows = spark.createDataFrame([(1, 5), (1, 5), (1, 6), (None, 5), (None, 7), (2, None), (2, 8), (2, 5), (3, 9)], "k long, m long")
+    pairs = wl._pairs(rows, "k", "m")
+    assert sorted(map(tuple, pairs.collect())) == [(5, 6), (5, 8), (6, 5), (8, 5)]
+    pairs = wl._pairs(rows, "k", "m")
+    assert exchanges(pairs) == 2 and "Join" not in pairs._jdf.queryExecution().executedPlan().toString()
+
+
 def test_messages_sent_keeps_one_method_at_a_time(spark, monkeypatch):
     alive, most = set(), []
 
