@@ -58,6 +58,12 @@ def test_pairs_are_made_from_one_shuffle_of_the_rows(spark):
     assert exchanges(pairs) == 2 and "Join" not in pairs._jdf.queryExecution().executedPlan().toString()
 
 
+def test_degrees_of_parts_deal_no_edges(spark, tiny):
+    """Before, a row for nearly each edge was dealt to count the edges of a part."""
+    g = wl.copurchase(spark, tiny)
+    assert exchanges(g.edges.groupBy("src").count()) == exchanges(g.edges) == 2
+
+
 def test_messages_sent_keeps_one_method_at_a_time(spark, monkeypatch):
     alive, most = set(), []
 
